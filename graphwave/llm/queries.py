@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from . import language_id
+import public_tokenizers
+
+from . import bpe, language_id
 from .common import documents
 
 
@@ -13,8 +15,13 @@ def op1_language_id(spark, sf_dir):
     return found.select("doc_id", language_id.is_held_out().alias("held_out"), "lang_pred", "score", "bits", "rejected")
 
 
+def op2_byte_bpe(spark, sf_dir):
+    docs = documents(spark, sf_dir, "doc_id", "text")
+    return bpe.digests(bpe.encode(docs, public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN))
+
+
 def queries():
-    return {"op1_language_id": op1_language_id}
+    return {"op1_language_id": op1_language_id, "op2_byte_bpe": op2_byte_bpe}
 
 
 def oracle_sql():
