@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import public_tokenizers
 
-from . import bpe, language_id
+from . import bpe, language_id, token_count
 from .common import documents
 
 
@@ -20,8 +20,12 @@ def op2_byte_bpe(spark, sf_dir):
     return bpe.digests(bpe.encode(docs, public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN))
 
 
+def op4_token_counts(spark, sf_dir):
+    return token_count.count_tokens(documents(spark, sf_dir, "doc_id", "text"), public_tokenizers.path("byte_bpe_50k.json"))
+
+
 def queries():
-    return {"op1_language_id": op1_language_id, "op2_byte_bpe": op2_byte_bpe}
+    return {"op1_language_id": op1_language_id, "op2_byte_bpe": op2_byte_bpe, "op4_token_counts": op4_token_counts}
 
 
 def oracle_sql():
