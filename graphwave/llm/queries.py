@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import public_tokenizers
 
-from . import bpe, language_id, token_count
+from . import bpe, language_id, license_scan, quality_rules, token_count
 from .common import documents
 
 
@@ -20,12 +20,27 @@ def op2_byte_bpe(spark, sf_dir):
     return bpe.digests(bpe.encode(docs, public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN))
 
 
+def op3_license_scan(spark, sf_dir):
+    return license_scan.scan(documents(spark, sf_dir, "doc_id", "text")).drop("places")
+
+
 def op4_token_counts(spark, sf_dir):
     return token_count.count_tokens(documents(spark, sf_dir, "doc_id", "text"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op5_quality_rules(spark, sf_dir):
+    docs = documents(spark, sf_dir, "doc_id", "text", "lang")
+    return quality_rules.judge(docs, quality_rules.fit(docs))
+
+
 def queries():
-    return {"op1_language_id": op1_language_id, "op2_byte_bpe": op2_byte_bpe, "op4_token_counts": op4_token_counts}
+    return {
+        "op1_language_id": op1_language_id,
+        "op2_byte_bpe": op2_byte_bpe,
+        "op3_license_scan": op3_license_scan,
+        "op4_token_counts": op4_token_counts,
+        "op5_quality_rules": op5_quality_rules,
+    }
 
 
 def oracle_sql():
