@@ -21,6 +21,7 @@ import unicodedata
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -334,7 +335,7 @@ def count_tokens(docs: DataFrame, path: str, limit: int = 512, id_column: str =
         own = counter(shared.value, added)
 
         def run(batch):
-            size = pa.compute.fill_null(pa.compute.binary_length(batch.column(1)), 0).cast(pa.int64())
+            size = pc.fill_null(pc.binary_length(batch.column(1)), 0).cast(pa.int64())
             return pa.RecordBatch.from_arrays([batch.column(0), size, pa.array(own.of(texts_of(batch.column(1))), pa.int64())], [id_column, "n_bytes", "n_tokens"])
 
         return run
