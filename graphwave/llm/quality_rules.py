@@ -183,7 +183,7 @@ def fit(docs: DataFrame, text: str = "text", lang: str = "lang") -> References:
     return References(languages, table[:, :k], table[:, k:])
 
 
-def judge(docs: DataFrame, references: References, char_limit: float = 0.35, word_limit: float = 0.75, min_words: int = 50, id_column: str = "doc_id", text: str = "text") -> DataFrame:
+def judge(docs: DataFrame, references: References, char_limit: float = 0.28, word_limit: float = 0.36, min_words: int = 50, id_column: str = "doc_id", text: str = "text") -> DataFrame:
     """One row per document: the counts, base_failed, the distances to the nearest language, and kept."""
     shared = docs.sparkSession.sparkContext.broadcast(references)  # a few rows per language
     kind = dict(docs.dtypes)[id_column]

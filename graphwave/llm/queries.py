@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import public_tokenizers
 
-from . import bpe, language_id, license_scan, quality_rules, token_count
+from . import bpe, html_extract, language_id, license_scan, quality_rules, token_count
 from .common import documents
 
 
@@ -33,6 +33,10 @@ def op5_quality_rules(spark, sf_dir):
     return quality_rules.judge(docs, quality_rules.fit(docs))
 
 
+def op8_html_extract(spark, sf_dir):
+    return html_extract.extract(spark.read.parquet(f"{sf_dir}/pages.parquet"))
+
+
 def queries():
     return {
         "op1_language_id": op1_language_id,
@@ -40,6 +44,7 @@ def queries():
         "op3_license_scan": op3_license_scan,
         "op4_token_counts": op4_token_counts,
         "op5_quality_rules": op5_quality_rules,
+        "op8_html_extract": op8_html_extract,
     }
 
 
