@@ -134,13 +134,18 @@ def runs(flag: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return edge[::2], edge[1::2]
 
 
+_PLAIN = np.ones(256, dtype=bool)
+_PLAIN[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = False
+
+
 class Words:
-    """Lower-cased, blank-separated words of a slice's texts, as 64-bit hashes with the row each word belongs to."""
+    """Lower-cased words of a slice's texts, as 64-bit hashes with the row each word belongs to. Words are what stands between
+    blanks, or, with letters_only, runs of letters and digits."""
 
-    def __init__(self, texts: list[str]):
+    def __init__(self, texts: list[str], letters_only: bool = False):
         encoded = [t.lower().encode("utf-8", "surrogatepass") for t in texts]
         data = np.frombuffer(b"\n".join(encoded) + b"\n", dtype=np.uint8)
-        starts, ends = runs(~_SPACE[data])
+        starts, ends = runs(~(_PLAIN if letters_only else _SPACE)[data])
         limits = np.cumsum([len(e) + 1 for e in encoded])
         self.hash = span_hashes(data, starts, ends)
         self.row = np.searchsorted(limits, starts, side="right")

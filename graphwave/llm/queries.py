@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import public_tokenizers
 
-from . import bpe, html_extract, language_id, license_scan, quality_rules, token_count
+from . import bpe, decontaminate, html_extract, language_id, license_scan, quality_rules, token_count
 from .common import documents
 
 
@@ -37,6 +37,10 @@ def op8_html_extract(spark, sf_dir):
     return html_extract.extract(spark.read.parquet(f"{sf_dir}/pages.parquet"))
 
 
+def op10_decontamination(spark, sf_dir):
+    return decontaminate.find_leaks(documents(spark, sf_dir, "doc_id", "text"), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+
+
 def queries():
     return {
         "op1_language_id": op1_language_id,
@@ -45,6 +49,7 @@ def queries():
         "op4_token_counts": op4_token_counts,
         "op5_quality_rules": op5_quality_rules,
         "op8_html_extract": op8_html_extract,
+        "op10_decontamination": op10_decontamination,
     }
 
 
