@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import public_tokenizers
 
-from . import bpe, decontaminate, html_extract, language_id, license_scan, quality_rules, token_count
+from . import bpe, decontaminate, html_extract, language_id, license_scan, pii, quality_rules, token_count
 from .common import documents
 
 
@@ -33,6 +33,10 @@ def op5_quality_rules(spark, sf_dir):
     return quality_rules.judge(docs, quality_rules.fit(docs))
 
 
+def op6_pii_surrogates(spark, sf_dir):
+    return pii.pseudonymise(documents(spark, sf_dir, "doc_id", "text"))
+
+
 def op8_html_extract(spark, sf_dir):
     return html_extract.extract(spark.read.parquet(f"{sf_dir}/pages.parquet"))
 
@@ -48,6 +52,7 @@ def queries():
         "op3_license_scan": op3_license_scan,
         "op4_token_counts": op4_token_counts,
         "op5_quality_rules": op5_quality_rules,
+        "op6_pii_surrogates": op6_pii_surrogates,
         "op8_html_extract": op8_html_extract,
         "op10_decontamination": op10_decontamination,
     }
