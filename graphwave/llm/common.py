@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: UTF-8 bytes of text that one slice holds at most, but for a longer single row.
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 1 << 20
 
 
 def documents(spark: SparkSession, sf_dir: str, *columns: str) -> DataFrame:
@@ -40,6 +40,16 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+#: Rows that one task takes without strain; a smaller table is kept in one partition, and then needs no exchange.
+TASK_ROWS = 15_000
+
+
+def compact(df: DataFrame) -> DataFrame:
+    """A written table in as many partitions as its rows are worth: a few rows aren't dealt over hundreds of tasks."""
+    n = max(1, -(-df.count() // TASK_ROWS))
+    return df.coalesce(n) if n < df.rdd.getNumPartitions() else df
+
+
 def slices(batch: pa.RecordBatch, column: int, most: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
     """Consecutive rows of a batch, each slice with at most `most` bytes of text or one row."""
     rows = batch.num_rows

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import public_tokenizers
 
-from . import bpe, decontaminate, html_extract, language_id, license_scan, pii, quality_rules, token_count
+from . import bpe, decontaminate, html_extract, language_id, license_scan, near_dedup, pii, quality_rules, token_count
 from .common import documents
 
 
@@ -41,6 +41,10 @@ def op8_html_extract(spark, sf_dir):
     return html_extract.extract(spark.read.parquet(f"{sf_dir}/pages.parquet"))
 
 
+def op9_near_duplicates(spark, sf_dir):
+    return near_dedup.classes(documents(spark, sf_dir, "doc_id", "text"))
+
+
 def op10_decontamination(spark, sf_dir):
     return decontaminate.find_leaks(documents(spark, sf_dir, "doc_id", "text"), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
@@ -54,6 +58,7 @@ def queries():
         "op5_quality_rules": op5_quality_rules,
         "op6_pii_surrogates": op6_pii_surrogates,
         "op8_html_extract": op8_html_extract,
+        "op9_near_duplicates": op9_near_duplicates,
         "op10_decontamination": op10_decontamination,
     }
 
