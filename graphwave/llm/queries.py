@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import public_tokenizers
 
-from . import bpe, decontaminate, html_extract, language_id, license_scan, near_dedup, pii, quality_rules, token_count
+from . import bpe, decontaminate, html_extract, language_id, license_scan, near_dedup, pii, quality_lm, quality_rules, token_count
 from .common import documents
 
 
@@ -37,6 +37,10 @@ def op6_pii_surrogates(spark, sf_dir):
     return pii.pseudonymise(documents(spark, sf_dir, "doc_id", "text"))
 
 
+def op7_quality_lm(spark, sf_dir):
+    return quality_lm.classify(documents(spark, sf_dir, "doc_id", "text", "lang"), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
 def op8_html_extract(spark, sf_dir):
     return html_extract.extract(spark.read.parquet(f"{sf_dir}/pages.parquet"))
 
@@ -49,6 +53,12 @@ def op10_decontamination(spark, sf_dir):
     return decontaminate.find_leaks(documents(spark, sf_dir, "doc_id", "text"), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
+def pipeline(spark, sf_dir):
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries():
     return {
         "op1_language_id": op1_language_id,
@@ -57,9 +67,11 @@ def queries():
         "op4_token_counts": op4_token_counts,
         "op5_quality_rules": op5_quality_rules,
         "op6_pii_surrogates": op6_pii_surrogates,
+        "op7_quality_lm": op7_quality_lm,
         "op8_html_extract": op8_html_extract,
         "op9_near_duplicates": op9_near_duplicates,
         "op10_decontamination": op10_decontamination,
+        "pipeline": pipeline,
     }
 
 
