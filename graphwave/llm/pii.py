@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_map, cut
+from .common import arrow_map, compact, cut
 
 KEY = b"surrogates"
 #: Clashing entities that are broadcast at most; beyond it they are joined by document.
@@ -302,18 +302,18 @@ def assign(found: DataFrame, key: bytes = KEY) -> DataFrame:
     def draw(df: DataFrame) -> DataFrame:
         return arrow_map(df.select("kind", "canon", "attempt"), "kind string, canon string, attempt int, made string", make)
 
-    real = found.select("kind", "canon")
-    table = cut(draw(found.select("kind", "canon", F.lit(0).alias("attempt"))))
+    real = compact(cut(found.select("kind", "canon")))
+    table = compact(cut(draw(real.select("kind", "canon", F.lit(0).alias("attempt")))))
     while True:
         # the entity that keeps a shared surrogate is the smallest of those drawn earliest, so that settled ones stay settled
         firsts = table.groupBy("kind", "made").agg(F.min(F.struct("attempt", "canon")).alias("first"), F.count("*").alias("n")).where("n > 1")
         shared = table.join(firsts, ["kind", "made"]).where("canon != first.canon").select("kind", "canon")
         occurs = table.join(real.withColumnRenamed("canon", "made"), ["kind", "made"], "left_semi").select("kind", "canon")
-        again = cut(shared.unionByName(occurs).distinct())
+        again = compact(cut(shared.unionByName(occurs).distinct()))
         if again.isEmpty():
             return table
         old = table.join(again, ["kind", "canon"], "left_semi").withColumn("attempt", F.col("attempt") + 1)
-        table = cut(table.join(again, ["kind", "canon"], "left_anti").select("kind", "canon", "attempt", "made").unionByName(draw(old)))
+        table = compact(cut(table.join(again, ["kind", "canon"], "left_anti").select("kind", "canon", "attempt", "made").unionByName(draw(old))))
 
 
 def replace_text(text: str, attempts: dict[tuple[str, str], int], key: bytes = KEY) -> tuple[str, list[tuple[int, int, str]]]:
