@@ -228,7 +228,7 @@ def _bytes_of_bitmaps(s, sf):
         return pd.Series([list(pack_bitmap(a, int(n))) for a, n in zip(slots, n_bits, strict=True)])
 
     packed = _members(s, sf).groupBy(*KEYS).agg(F.array_sort(F.collect_list("slot")).alias("slots"), F.max("n_bits").alias("n_bits"))
-    return packed.select(F.explode(values("slots", "n_bits")).cast("long").alias("byte")).groupBy("byte").agg(F.count("*").alias("n"))
+    return packed.select(F.explode(values("slots", "n_bits")).alias("byte")).groupBy(F.col("byte").cast("long").alias("byte")).agg(F.count("*").alias("n"))
 
 
 _BYTE_SQL = f"SELECT CAST(v AS BIGINT) AS byte, count(*) AS n FROM (SELECT coalesce(s.v, 0) AS v FROM (SELECT DISTINCT level, owner_block, n_bits, unnest(range((n_bits + 7) // 8)) AS k FROM ({q.own_members()}) m1) f LEFT JOIN (SELECT level, owner_block, slot // 8 AS k, sum(1 << (7 - slot % 8)::INTEGER) AS v FROM ({q.own_members()}) m2 GROUP BY ALL) s ON s.level = f.level AND s.owner_block = f.owner_block AND s.k = f.k) z GROUP BY v"
@@ -367,7 +367,7 @@ _COUNT_ROWS = ", ".join(f"({i + 1}, {n})" for i, n in enumerate(PUBLISHED_COUNTS
 register(
     "w2_published_counts",
     lambda s, sf: k.encoding_sizes(s.createDataFrame(list(enumerate(PUBLISHED_COUNTS, 1)), "level long, n long"), None),
-    f"SELECT CAST(level AS BIGINT) AS level, CAST(sum(n) AS BIGINT) AS n, CAST(sum((tt + 7) // 8) AS BIGINT) AS bitmap_bytes, CAST(sum(n * 8) AS BIGINT) AS sparse_bytes FROM (SELECT *, sum(n::BIGINT) OVER () AS tt FROM (VALUES {_COUNT_ROWS}) t(level, n)) z GROUP BY ROLLUP (level)",
+    f"SELECT CAST(level AS BIGINT) AS level, CAST(sum(n) AS BIGINT) AS n, CAST(sum((tt + 7) // 8) AS BIGINT) AS bitmap_bytes, CAST(sum(n * 8) AS BIGINT) AS sparse_bytes FROM (SELECT level, n::BIGINT AS n, sum(n::BIGINT) OVER () AS tt FROM (VALUES {_COUNT_ROWS}) t(level, n)) z GROUP BY ROLLUP (level)",
 )
 
 #: Published totals at 512 nodes, fixed: seconds and seconds of communication.

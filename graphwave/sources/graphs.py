@@ -222,6 +222,15 @@ _BENCH_SQL = _dictionary_sql(
     "SELECT DISTINCT i.a, d.b FROM (SELECT CAST(item_id AS VARCHAR) AS a, unnest(string_split(text, chr(10))) AS line FROM benchmark) i JOIN (SELECT CAST(doc_id AS VARCHAR) AS b, unnest(string_split(text, chr(10))) AS line FROM documents) d ON i.line = d.line WHERE i.line <> ''", ("item", "page")
 )
 
+def knn(spark, sf_dir):
+    from ..operators.relational import nearest
+
+    found = cut(nearest(load(spark, sf_dir, "embeddings", "vec_id", "embedding"), 5))
+    return Tuples(_pair(found, F.col("a"), F.col("b")), size(spark, sf_dir, "embeddings"))
+
+
+_KNN_SQL = """SELECT a AS u, b AS v FROM (SELECT p.vec_id AS a, w.vec_id AS b, row_number() OVER (PARTITION BY p.vec_id ORDER BY list_cosine_similarity(p.embedding::DOUBLE[], w.embedding::DOUBLE[]) DESC, w.vec_id) AS k FROM embeddings p JOIN embeddings w ON p.vec_id <> w.vec_id) z WHERE k <= 5"""
+
 #: The eight-vertex example, fixed.
 TOY = ((0, 2), (0, 3), (0, 5), (1, 6), (1, 7), (2, 4), (3, 5), (3, 6), (4, 7), (5, 7))
 
@@ -273,6 +282,7 @@ UNION ALL SELECT l_partkey + {_n("region", "nation", "supplier", "customer")}, l
         Graph("user_key", user_key, f"SELECT user_id AS u, CAST(json_extract_string(props, '$.k') AS BIGINT) + {_USERS} AS v FROM events", f"({_USERS} + (SELECT max(CAST(json_extract_string(props, '$.k') AS BIGINT)) + 1 FROM events))", _USERS, depth=8),
         Graph("links", links, *_LINKS_SQL, depth=18),
         Graph("doc_line", doc_line, *_DOC_LINE_SQL, depth=24),
+        Graph("knn", knn, _KNN_SQL, _n("embeddings"), depth=10),
         Graph("turns", turns, *_TURNS_SQL, directed=True, depth=12),
         Graph("bench_doc", bench_doc, *_BENCH_SQL, depth=6),
         Graph("kron", kron(KRON_SCALE), kronecker_sql(KRON_SCALE), str(1 << KRON_SCALE), p=8, depth=8),
