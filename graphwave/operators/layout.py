@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+import uuid
 from dataclasses import dataclass, field
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.bits import block_of, block_size, slot_of
-from ..plans.lineage import cut
+from ..plans.lineage import shared_dir
 from ..sources.graphs import GRAPHS, Tuples
 
 
@@ -61,8 +63,13 @@ def symmetrised(tuples: DataFrame, directed: bool = False) -> DataFrame:
 
 
 def build(found: Tuples, p: int, directed: bool = False, name: str = "") -> GraphLayout:
-    """Deals the edges by src once and writes them, so that no search moves them again: each level only moves its frontier."""
-    edges = cut(symmetrised(found.edges, directed).repartition("src"))
+    """Writes the edges to the shared folder and keeps them in memory dealt by src, so that no search moves them again: each level only
+    moves its frontier. What an executor loses is read again from the written table."""
+    spark = found.edges.sparkSession
+    path = f"{shared_dir(spark)}/edges-{uuid.uuid4().hex}"
+    symmetrised(found.edges, directed).write.parquet(path)
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
+    edges = spark.read.schema("src long, dst long").parquet(path).repartition(parts, "src").persist(StorageLevel.MEMORY_AND_DISK)
     return GraphLayout(edges, found.edges, found.n, p, found.source, directed, name, edges.count())
 
 

@@ -6,8 +6,9 @@ Edge i draws one quadrant for each bit of its two ends, from the most significan
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 #: Fixed values of the generator.
@@ -17,27 +18,42 @@ SHARES = (57, 76, 95)
 SEED_STEP = 1000003
 
 
+def draws(i: np.ndarray, b: int, seed: int) -> np.ndarray:
+    """A number from 0 to 99 for bit b of each edge."""
+    x = (i * 64 + (b + seed * SEED_STEP)) % PRIME
+    for a, c in ROUNDS:
+        x = (x * a + c) % PRIME
+        x = (x * x + x) % PRIME
+    return x % 100
+
+
+def ends(i: np.ndarray, scale: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
+    """u and v of the edges with these numbers."""
+    u, v = np.zeros(len(i), dtype=np.int64), np.zeros(len(i), dtype=np.int64)
+    one, two, three = SHARES
+    for b in range(scale):
+        r = draws(i, b, seed)
+        u = u << 1 | (r >= two)
+        v = v << 1 | (((r >= one) & (r < two)) | (r >= three))
+    return u, v
+
+
 def kronecker_edges(spark: SparkSession, scale: int, edge_factor: int = 16, seed: int = 42, relabel: int | None = None, partitions: int | None = None) -> DataFrame:
-    """(u, v) of edge_factor * 2^scale tuples, duplicates and self-loops included. relabel: an odd factor that permutes ids."""
+    """(u, v) of edge_factor * 2^scale tuples, duplicates and self-loops included. relabel: an odd factor that permutes ids.
+
+    A column expression would repeat each draw's chain of congruences for every use of it, beyond what code generation takes; so batches
+    of edge numbers are worked out as arrays."""
     n = 1 << scale
-    u = v = F.lit(0).cast("long")
-    for b in range(scale):
-        r = draw(F.col("id") * 64 + b + seed * SEED_STEP)
-        u = F.shiftleft(u, 1) + (r >= SHARES[1]).cast("long")
-        v = F.shiftleft(v, 1) + ((r >= SHARES[0]) & (r < SHARES[1]) | (r >= SHARES[2])).cast("long")
-    if relabel is not None:
-        u, v = F.pmod(u * relabel + 17, F.lit(n)), F.pmod(v * relabel + 17, F.lit(n))
-    ids = spark.range(0, edge_factor * n, 1, partitions) if partitions else spark.range(edge_factor * n)
-    return ids.select(u.alias("u"), v.alias("v"))
 
+    def run(batches):
+        for batch in batches:
+            u, v = ends(np.asarray(batch.column(0), dtype=np.int64), scale, seed)
+            if relabel is not None:
+                u, v = (u * relabel + 17) % n, (v * relabel + 17) % n
+            yield pa.RecordBatch.from_arrays([pa.array(u), pa.array(v)], ["u", "v"])
 
-def draw(x):
-    """A number from 0 to 99."""
-    x = F.pmod(x, F.lit(PRIME))
-    for a, c in ROUNDS:
-        x = F.pmod(x * a + c, F.lit(PRIME))
-        x = F.pmod(x * x + x, F.lit(PRIME))
-    return F.pmod(x, F.lit(100))
+    ids = spark.range(0, edge_factor * n, 1, partitions) if partitions else spark.range(edge_factor * n)
+    return ids.mapInArrow(run, "u long, v long")
 
 
 def kronecker_sql(scale: int, edge_factor: int = 16, seed: int = 42) -> str:
