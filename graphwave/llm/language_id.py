@@ -190,7 +190,7 @@ def is_held_out(id_column: str = "doc_id"):
     return F.coalesce(F.crc32(F.col(id_column).cast("string").cast("binary")) % 4 == 2, F.lit(False))
 
 
-def train(docs: DataFrame, id_column: str = "doc_id", text: str = "text", lang: str = "lang", per_language: int = 600, calibrate: int = 200, margin: float = 1.0) -> Model:
+def train(docs: DataFrame, id_column: str = "doc_id", text: str = "text", lang: str = "lang", per_language: int = 600, calibrate: int = 200, margin: float = 2.0) -> Model:
     """Fits on a bounded sample of labelled rows that aren't held out: about `per_language` texts of each language for the
     counts and `calibrate` more for the rejection limit, drawn by a hash of the id. Whole texts are used."""
     labelled = docs.where(F.col(lang).isNotNull() & F.col(text).isNotNull() & ~is_held_out(id_column))
@@ -199,12 +199,12 @@ def train(docs: DataFrame, id_column: str = "doc_id", text: str = "text", lang:
     if not sizes:
         return Model([])
     share = F.create_map(*[x for k, n in sizes.items() for x in (F.lit(k), F.lit((per_language + calibrate) / n))])
-    split = per_language / (per_language + calibrate)
-    drawn = labelled.select(F.col(lang).alias("lang"), F.col(text).alias("text"), (draw / share[F.col(lang)]).alias("u")).where("u < 1")
+    aside = F.pmod(F.xxhash64(F.col(id_column).cast("string"), F.lit("calibration")), F.lit(per_language + calibrate)) < calibrate
+    drawn = labelled.where(draw < share[F.col(lang)]).select(F.col(lang).alias("lang"), F.col(text).alias("text"), aside.alias("aside"))
 
     def count():
         def run(batch):
-            keep = np.asarray(batch.column(2)) < split
+            keep = [not x for x in batch.column(2).to_pylist()]
             names, texts = batch.column(0).to_pylist(), texts_of(batch.column(1))
             out = {"lang": [], "gram": [], "n": []}
             for name in sorted(set(names)):
@@ -238,7 +238,7 @@ def train(docs: DataFrame, id_column: str = "doc_id", text: str = "text", lang:
             cost, n = shared.value.cross_entropy(texts_of(batch.column(1)))
             known = {x: i for i, x in enumerate(shared.value.languages)}
             own = np.array([known.get(x, -1) for x in batch.column(0).to_pylist()])
-            keep = (np.asarray(batch.column(2)) >= split) & (own >= 0) & (n > 0)
+            keep = np.array(batch.column(2).to_pylist(), dtype=bool) & (own >= 0) & (n > 0)
             at = np.flatnonzero(keep)
             return pa.RecordBatch.from_arrays([pa.array(own[at]), pa.array(cost[at, own[at]])], ["own", "bits"])
 
