@@ -34,16 +34,17 @@ def shared_dir(spark: SparkSession) -> str:
     return sc._jsc.sc().getCheckpointDir().get()
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """The same rows, written to the shared checkpoint folder, so that a lost executor costs no recomputation."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
-
-
 #: Rows that one task takes without strain; a smaller table is kept in one partition, and then needs no exchange.
 TASK_ROWS = 15_000
 
 
+def cut(df: DataFrame, rows: int | None = None, per: int = TASK_ROWS) -> DataFrame:
+    """The same rows, written to the shared checkpoint folder, so that a lost executor costs no recomputation. rows: how many there are
+    at most or about; then no more than rows / per files are written. A large table keeps all its partitions."""
+    shared_dir(df.sparkSession)
+    return (df if rows is None else df.coalesce(max(1, -(-rows // per)))).checkpoint(eager=True)
+
+
 def compact(df: DataFrame) -> DataFrame:
     """A written table in as many partitions as its rows are worth: a few rows aren't dealt over hundreds of tasks."""
     n = max(1, -(-df.count() // TASK_ROWS))
@@ -69,6 +70,17 @@ def slices(batch: pa.RecordBatch, column: int, most: int = SLICE_BYTES) -> Itera
         start = stop
 
 
+#: Rows that Spark hands to Python at once, so that a batch of long texts stays small.
+BATCH_ROWS = 2_000
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Lowers the session's Arrow batch size, if it is larger; it is a setting that may change while a session runs."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key, "10000")) <= BATCH_ROWS:
+        spark.conf.set(key, str(BATCH_ROWS))
+
+
 def arrow_map(df: DataFrame, schema: str, make: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch]], column: int = 1) -> DataFrame:
     """mapInArrow over bounded slices. make() runs once per task and returns the function for a slice."""
 
@@ -80,6 +92,7 @@ def arrow_map(df: DataFrame, schema: str, make: Callable[[], Callable[[pa.Record
                 if out is not None and out.num_rows:
                     yield out
 
+    small_batches(df.sparkSession)
     return df.mapInArrow(run, schema)
 
 

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Words, arrow_map, compact, cut, mix64, shingles, texts_of
+from .common import TASK_ROWS, Words, arrow_map, compact, cut, mix64, shingles, texts_of
 
 SHINGLE, SIMILARITY = 5, 0.8
 BANDS, ROWS = 24, 5
@@ -157,57 +157,64 @@ def keep_ids(df: DataFrame, ids: DataFrame, column: str, how: str = "left_semi")
     return df.join(F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids, column, how)
 
 
-def components(links: DataFrame) -> DataFrame:
+def components(links: DataFrame, most: int) -> DataFrame:
     """(rep, label) of every end of a link (a, b): the smallest id it is connected to. Labels travel along links and then jump to
-    their label's label, so a chain of length n takes about log2(n) rounds."""
-    both = compact(cut(links.select("a", "b").unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct()))
-    labels = compact(cut(both.groupBy(F.col("a").alias("rep")).agg(F.least(F.col("a"), F.min("b")).alias("label"))))
+    their label's label, so a chain of length n takes about log2(n) rounds. most: a bound on the ids that are linked."""
+    both = compact(cut(links.select("a", "b").unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), 2 * most))
+    labels = compact(cut(both.groupBy(F.col("a").alias("rep")).agg(F.least(F.col("a"), F.min("b")).alias("label")), most))
     while True:
         near = both.join(labels, both.b == labels.rep).groupBy(F.col("a").alias("rep")).agg(F.min("label").alias("near"))
         step = labels.join(near, "rep").select("rep", "label", F.least("label", "near").alias("low"))
         far = labels.select(F.col("rep").alias("low"), F.col("label").alias("far"))
-        step = compact(cut(step.join(far, "low", "left").select("rep", F.col("label").alias("old"), F.least("low", F.coalesce("far", "low")).alias("label"))))
+        step = compact(cut(step.join(far, "low", "left").select("rep", F.col("label").alias("old"), F.least("low", F.coalesce("far", "low")).alias("label")), most))
         if step.where("old != label").isEmpty():
             return step.select("rep", "label")
         labels = step.select("rep", "label")
 
 
-def _buckets(entries: DataFrame, docs: DataFrame, id_column: str, text: str) -> tuple[DataFrame | None, DataFrame | None]:
-    """(bucket, rep, rank) of every bucket with two members or more, and (rep, elements) of all these members. Rank 1 is the most
-    central member."""
+def _overlap(size_a, size_b):
+    """Elements that two sets of these sizes must share."""
+    return F.lit(SIMILARITY / (1 + SIMILARITY)) * (size_a + size_b) - F.lit(1e-9)
+
+
+def _buckets(entries: DataFrame, docs: DataFrame, id_column: str, text: str, most: int) -> tuple[DataFrame | None, DataFrame | None, int]:
+    """(bucket, rep, rank, size, shared, nth) of every bucket with two members or more, and (rep, elements) of all these members.
+    Rank 1 is the most central member, shared counts the elements that others hold too, and nth is the place of the bucket's element
+    among the member's by rarity (1 in buckets that are bands)."""
     sizes = entries.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
-    entries = cut(entries.join(sizes, "bucket"))
-    members = cut(entries.groupBy("rep").agg(F.max("n").alias("n")))
-    if members.isEmpty():
-        return None, None
-    texts = cut(element_lists(keep_ids(docs, members.select(F.col("rep").alias(id_column)), id_column), id_column, text).dropDuplicates(["rep"]))
+    entries = cut(entries.join(sizes, "bucket"), most * BANDS, 20 * TASK_ROWS)
+    members = cut(entries.groupBy("rep").agg(F.max("n").alias("n")), most)
+    most = members.count()
+    if not most:
+        return None, None, 0
+    texts = cut(element_lists(keep_ids(docs, members.select(F.col("rep").alias(id_column)), id_column), id_column, text).dropDuplicates(["rep"]), most, 2_000)
     crowd = members.where(F.col("n") > CROWDED).select("rep")
-    held = texts.join(crowd, "rep", "left_semi").select("rep", F.explode("elements").alias("element"))
-    rarity = held.groupBy("element").agg(F.count("*").alias("holders"))
+    # each of these texts becomes hundreds of rows, so they are dealt out evenly, a hundred or so to a task
+    deal = max(1, min(-(-crowd.count() // 100), 8 * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions", "200"))))
+    held = texts.join(crowd, "rep", "left_semi").repartition(deal).select("rep", F.explode("elements").alias("element"))
+    held = held.withColumn("holders", F.count("*").over(Window.partitionBy("element")))
     by = Window.partitionBy("rep")
-    held = held.join(rarity, "element").select(
-        "rep", "element", "holders", F.row_number().over(by.orderBy("holders", "element")).alias("nth"), F.count("*").over(by).alias("size"), F.sum((F.col("holders") > 1).cast("long")).over(by).alias("shared")
-    )
-    rare = held.where((F.col("holders") > 1) & (F.col("nth") <= F.col("size") - F.ceil(F.col("size") * F.lit(SIMILARITY) - F.lit(1e-9)) + 1))
-    rare = rare.select(F.col("element").alias("bucket"), "rep", (F.col("shared") / F.col("size")).alias("central"))
-    few = entries.where(F.col("n") <= CROWDED).select("bucket", "rep", F.lit(0.0).alias("central"))
-    ranked = few.unionByName(rare).withColumn("rank", F.row_number().over(Window.partitionBy("bucket").orderBy(F.desc("central"), "rep")))
-    return compact(cut(ranked.select("bucket", "rep", "rank"))), texts
+    held = held.select("rep", "element", "holders", F.row_number().over(by.orderBy("holders", "element")).alias("nth"), F.count("*").over(by).alias("size"), F.sum((F.col("holders") > 1).cast("long")).over(by).alias("shared"))
+    first = F.col("nth") <= F.col("size") - F.ceil(F.col("size") * F.lit(SIMILARITY) - F.lit(1e-9)) + 1
+    rare = held.where((F.col("holders") > 1) & first).select(F.col("element").alias("bucket"), "rep", "size", "shared", "nth")
+    size = texts.select("rep", F.size("elements").cast("long").alias("size"))
+    few = entries.where(F.col("n") <= CROWDED).select("bucket", "rep").join(size, "rep").select("bucket", "rep", "size", F.col("size").alias("shared"), F.lit(1).alias("nth"))
+    together = Window.partitionBy("bucket")
+    ranked = few.unionByName(rare).withColumns({"rank": F.row_number().over(together.orderBy(F.desc(F.col("shared") / F.col("size")), "rep")), "most": F.count("*").over(together)})
+    return compact(cut(ranked.where("most > 1").drop("most"), most, 1_000)), texts, most
 
 
 def _compare(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     """The pairs (a, b) whose similarity reaches the threshold."""
     left = texts.select(F.col("rep").alias("a"), F.col("elements").alias("x"))
     right = texts.select(F.col("rep").alias("b"), F.col("elements").alias("y"))
-    both = F.size(F.array_intersect("x", "y"))
-    fit = F.least(F.size("x"), F.size("y")) >= F.lit(SIMILARITY) * F.greatest(F.size("x"), F.size("y"))
-    joined = pairs.join(right, "b").join(left, "a").where(fit)
-    return joined.where(both >= F.lit(SIMILARITY) * (F.size("x") + F.size("y") - both) - F.lit(1e-9)).select("a", "b")
+    joined = pairs.join(right, "b").join(left, "a")
+    return joined.where(F.size(F.array_intersect("x", "y")) >= _overlap(F.size("x"), F.size("y"))).select("a", "b")
 
 
-def link_classes(entries: DataFrame, docs: DataFrame, id_column: str, text: str) -> DataFrame | None:
+def link_classes(entries: DataFrame, docs: DataFrame, id_column: str, text: str, most: int) -> DataFrame | None:
     """(rep, label) of every text that is linked to another; None if there are no links."""
-    buckets, texts = _buckets(entries, docs, id_column, text)
+    buckets, texts, most = _buckets(entries, docs, id_column, text, most)
     if buckets is None:
         return None
     links = labels = None
@@ -217,40 +224,51 @@ def link_classes(entries: DataFrame, docs: DataFrame, id_column: str, text: str)
         own = own.withColumn("label", F.col("rep") if labels is None else F.coalesce("label", "rep"))
         # buckets whose members are of one class are finished, and so are those whose members have all been compared
         mixed = own.groupBy("bucket").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.max("rank").alias("most")).where((F.col("lo") < F.col("hi")) & (F.col("most") > done + 1)).select("bucket")
-        own = compact(cut(own.join(mixed, "bucket", "left_semi")))
+        own = compact(cut(own.join(mixed, "bucket", "left_semi"), most, 1_000))
         if own.isEmpty():
             return labels
-        pivots = own.where((F.col("rank") > done) & (F.col("rank") <= done + take)).select("bucket", F.col("rep").alias("a"), F.col("rank").alias("ra"), F.col("label").alias("la"))
-        pairs = own.join(pivots, "bucket").where((F.col("rank") > F.col("ra")) & (F.col("label") != F.col("la")))
-        pairs = pairs.select(F.least("a", "rep").alias("a"), F.greatest("a", "rep").alias("b")).distinct()
-        new = compact(cut(_compare(pairs, texts)))
+        pivots = own.where((F.col("rank") > done) & (F.col("rank") <= done + take)).select("bucket", *[F.col(c).alias(f"{c}_a") for c in ("rep", "rank", "size", "shared", "nth", "label")])
+        # what two sets must share bounds the elements they share with anybody; and where they first meet in order of rarity, enough
+        # must be left in both, so a pair that is linked passes in the bucket of its first common element
+        enough = _overlap(F.col("size"), F.col("size_a"))
+        fit = (
+            (F.col("rank") > F.col("rank_a"))
+            & (F.col("label") != F.col("label_a"))
+            & (F.least("shared", "shared_a") >= enough)
+            & (F.col("size") - F.col("nth") + 1 >= enough)
+            & (F.col("size_a") - F.col("nth_a") + 1 >= enough)
+        )
+        pairs = own.join(pivots, "bucket").where(fit).select(F.least("rep_a", "rep").alias("a"), F.greatest("rep_a", "rep").alias("b")).distinct()
+        new = compact(cut(_compare(pairs, texts), most, 2_000))
         if not new.isEmpty():
             links = new if links is None else links.unionByName(new)
-            labels = components(links)
-        done, take = done + take, take * 4
+            labels = components(links, most)
+        done, take = done + take, take * 16
 
 
 def classes(docs: DataFrame, id_column: str = "doc_id", text: str = "text") -> DataFrame:
     """(id, class_id, n_copies, kept) of every row: its class, how many rows have the same words, and whether it stands for its class."""
     docs = docs.select(id_column, text)
     signed = cut(sign(docs, id_column, text))
+    rows = signed.count()
     texts = signed.where("w1 is not null").groupBy("w1", "w2").agg(F.min(id_column).alias("rep"), F.count("*").alias("n_copies"), F.first("bands").alias("bands"))
-    texts = cut(texts)
+    texts = cut(texts, rows)
     entries = texts.select("rep", F.explode("bands").alias("bucket"))
-    labels = link_classes(entries, docs, id_column, text)
+    labels = link_classes(entries, docs, id_column, text, rows)
     named = texts.select("w1", "w2", "rep", "n_copies")
     if labels is not None:
         named = named.join(labels, "rep", "left").withColumn("rep", F.coalesce("label", "rep"))
     out = signed.select(id_column, "w1", "w2").join(named.select("w1", "w2", "rep", "n_copies"), ["w1", "w2"], "left")
     class_id = F.coalesce("rep", id_column)
-    return out.select(id_column, class_id.alias("class_id"), F.coalesce("n_copies", F.lit(1)).cast("long").alias("n_copies"), (class_id == F.col(id_column)).alias("kept"))
+    out = out.select(id_column, class_id.alias("class_id"), F.coalesce("n_copies", F.lit(1)).cast("long").alias("n_copies"), (class_id == F.col(id_column)).alias("kept"))
+    return out.coalesce(max(1, -(-rows // TASK_ROWS)))
 
 
 def deduplicate(docs: DataFrame, id_column: str = "doc_id", text: str = "text") -> DataFrame:
     """One row of each class, with all its columns. Rows that repeat an id with the same words are one row."""
     found = cut(classes(docs, id_column, text))
     gone = found.where("not kept").select(id_column)
-    twice = cut(found.where("kept").groupBy(id_column).count().where("count > 1").select(id_column))
+    twice = cut(found.where("kept").groupBy(id_column).count().where("count > 1").select(id_column), 1)
     rest = keep_ids(docs, gone, id_column, "left_anti")
     if twice.isEmpty():
         return rest
