@@ -5,7 +5,7 @@ collected. Texts are dealt into blocks of one language and bounded size. Each bl
 requests are joined with the model's shards, and the answers meet the block's texts again, where every text's perplexity is worked
 out. A text is kept if its perplexity is at most a quantile of what held-back trusted texts of its language show.
 
-Characters are taken as they stand, runs of white space as one blank; those from U+1000 on share 1,024 codes. Null, empty and blank
+Characters are taken as they stand, runs of white space as one blank; those from U+0C00 on share 1,024 codes. Null, empty and blank
 texts have no perplexity and aren't kept. A null language is `und`. A language without trusted text has no model: perplexity null,
 kept. Without held-back texts the quantile is taken over all trusted ones. Repeated rows are scored one by one; a label that occurs
 twice for an id counts once, trusted only if all say so.
@@ -15,15 +15,17 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import arrow_map, cut, texts_of
+from .common import TASK_ROWS, cut, small_batches, texts_of
 
 ORDER, BITS = 5, 12
 #: Bytes of text in a block, about.
-BLOCK_BYTES = 12 << 20
+BLOCK_BYTES = 40 << 20
 BROADCAST_IDS = 500_000
+#: Rows of grams in a file of a written table, about.
+FILE_ROWS = 100_000
 _BASE = 1.0 / (1 << BITS)
 
 
@@ -32,7 +34,10 @@ def grams(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
     plain = [" ".join(t.split()) for t in texts]
     lead = "\0" * (ORDER - 1)
     codes = np.frombuffer("".join([lead + t for t in plain]).encode("utf-32-le", "surrogatepass"), dtype=np.uint32)
-    codes = np.where(codes < 0x1000 - 0x400, codes, 0xC00 + codes % 0x400).astype(np.int64)
+    far = len(codes) and int(codes.max()) >= 0xC00
+    codes = codes.astype(np.int64)
+    if far:
+        codes = np.where(codes < 0xC00, codes, 0xC00 + codes % 0x400)
     key = codes.copy()
     for j in range(1, ORDER):
         key[j:] |= codes[:-j] << (BITS * j)
@@ -44,6 +49,52 @@ def grams(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
     return key[~skip], np.concatenate(([0], np.cumsum(sizes)))
 
 
+class Table:
+    """Grams to numbers, for lookups of long arrays: one slot per hash, and a sorted overflow for grams whose slot is taken."""
+
+    def __init__(self):
+        self.keys = np.zeros(0, dtype=np.int64)
+        self.values = np.zeros(0)
+        self._build()
+
+    def _build(self) -> None:
+        self.shift = np.uint64(64 - max(10, int(4 * len(self.keys) + 1).bit_length()))
+        self.slot_keys = np.full(1 << (64 - int(self.shift)), -1, dtype=np.int64)
+        self.slot_at = np.zeros(len(self.slot_keys), dtype=np.int64)
+        slot = self._slot(self.keys)
+        self.slot_keys[slot] = self.keys
+        self.slot_at[slot] = np.arange(len(self.keys))
+        over = np.flatnonzero(self.slot_keys[slot] != self.keys)
+        over = over[np.argsort(self.keys[over])]
+        self.over_keys, self.over_at = self.keys[over], over
+
+    def _slot(self, g: np.ndarray) -> np.ndarray:
+        return ((g.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> self.shift).view(np.int64)
+
+    def find(self, g: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Where each gram's number stands, and which grams are missing (as positions)."""
+        slot = self._slot(g)
+        at = self.slot_at[slot]
+        miss = np.flatnonzero(self.slot_keys[slot] != g)
+        if len(miss) and len(self.over_keys):
+            rest = g[miss]
+            spot = np.minimum(np.searchsorted(self.over_keys, rest), len(self.over_keys) - 1)
+            found = self.over_keys[spot] == rest
+            at[miss[found]] = self.over_at[spot[found]]
+            miss = miss[~found]
+        return at, miss
+
+    def add(self, keys: np.ndarray, values: np.ndarray | None = None) -> None:
+        self.keys = np.concatenate((self.keys, keys))
+        self.values = np.concatenate((self.values, np.zeros(len(keys)) if values is None else values))
+        self._build()
+
+    def learn(self, g: np.ndarray) -> None:
+        miss = self.find(g)[1]
+        if len(miss):
+            self.add(np.unique(g[miss]))
+
+
 def tagged(k: int, gram: np.ndarray) -> np.ndarray:
     """A gram's key: its length above its characters."""
     return gram & ((1 << (BITS * k)) - 1) | (k << 60)
@@ -76,6 +127,23 @@ def log2_probabilities(full: np.ndarray, keys: np.ndarray, share: np.ndarray, we
     return np.log2(p)
 
 
+def _bundle(batches):
+    """Rows (id, lang, text, part) as (lang, part, packed): the rows of a batch that go to one block, in one compressed piece."""
+    options = pa.ipc.IpcWriteOptions(compression=pa.Codec("zstd", compression_level=4))
+    for batch in batches:
+        blocks = batch.select(["lang", "part"]).to_pandas().groupby(["lang", "part"], sort=False).indices
+        for (lang, part), at in blocks.items():
+            sink = pa.BufferOutputStream()
+            piece = batch.take(pa.array(at))
+            with pa.ipc.new_stream(sink, piece.schema, options=options) as stream:
+                stream.write_batch(piece)
+            yield pa.RecordBatch.from_arrays([pa.array([lang], pa.string()), pa.array([part], pa.int64()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], ["lang", "part", "packed"])
+
+
+def _unbundle(packed: pa.Scalar) -> pa.Table:
+    return pa.ipc.open_stream(packed.as_buffer()).read_all()
+
+
 def count_grams(docs: DataFrame, lang: str = "lang", text: str = "text") -> DataFrame:
     """(lang, g, c): how often each window occurs in each language."""
 
@@ -107,17 +175,18 @@ def count_grams(docs: DataFrame, lang: str = "lang", text: str = "text") -> Data
     return docs.select(lang, text).mapInArrow(run, "lang string, g long, c long").groupBy("lang", "g").agg(F.sum("c").alias("c"))
 
 
-def model(counts: DataFrame) -> DataFrame:
-    """(lang, key, share, weight) of every gram and context of all lengths."""
+def model(counts: DataFrame, docs: int) -> DataFrame:
+    """(lang, key, share, weight) of every gram and context of all lengths. docs: how many texts were counted, for the number of files."""
+    counts = cut(counts, 50 * docs, FILE_ROWS)
     level = counts.select(F.lit(ORDER).alias("k"), "lang", "g", "c")
-    levels = [level]
+    levels = []
     for k in range(ORDER - 1, 0, -1):
         level = level.groupBy("lang", F.col("g").bitwiseAND(F.lit((1 << (BITS * k)) - 1)).alias("g")).agg(F.count("*").alias("c")).select(F.lit(k).alias("k"), "lang", "g", "c")
         levels.append(level)
-    rows = levels[0]
+    lower = levels[0]
     for x in levels[1:]:
-        rows = rows.unionByName(x)
-    rows = cut(rows)
+        lower = lower.unionByName(x)
+    rows = counts.select(F.lit(ORDER).alias("k"), "lang", "g", "c").unionByName(cut(lower, counts.count(), FILE_ROWS))
     found: dict[tuple, dict] = {}
     for r in rows.where("c <= 4").groupBy("lang", "k", "c").count().collect():
         found.setdefault((r["lang"], r["k"]), {})[r["c"]] = r["count"]
@@ -129,14 +198,16 @@ def model(counts: DataFrame) -> DataFrame:
         discounts = [(i + 1) - (i + 2) * y * n[i + 1] / n[i] if n[i] and n[i + 1] else 0.5 * (i + 1) for i in range(3)]
         table.append((lang, k, *[min(max(d, 0.05), i + 0.95) for i, d in enumerate(discounts)]))
     if not table:
-        return counts.sparkSession.createDataFrame([], "lang string, key long, share double, weight double")
+        return counts.sparkSession.createDataFrame([], "lang string, key long, share float, weight float")
     by = F.broadcast(counts.sparkSession.createDataFrame(table, "lang string, k int, d1 double, d2 double, d3 double"))  # five rows a language
     rows = rows.join(by, ["lang", "k"]).select("k", "lang", "g", "c", F.when(F.col("c") == 1, F.col("d1")).when(F.col("c") == 2, F.col("d2")).otherwise(F.col("d3")).alias("d"), F.shiftright("g", BITS).alias("h"))
-    contexts = rows.groupBy("lang", "k", "h").agg(F.sum("c").alias("total"), F.sum("d").alias("spare"))
+    context = Window.partitionBy("lang", "k", "h")
+    rows = rows.withColumns({"total": F.sum("c").over(context), "weight": F.sum("d").over(context) / F.sum("c").over(context), "nth": F.row_number().over(context.orderBy("g"))})
     key = lambda k, g: F.shiftleft(k.cast("long"), 60).bitwiseOR(g)
-    shares = rows.join(contexts, ["lang", "k", "h"]).select("lang", key(F.col("k"), F.col("g")).alias("key"), ((F.col("c") - F.col("d")) / F.col("total")).alias("share"), F.lit(None).cast("double").alias("weight"))
-    weights = contexts.select("lang", key(F.col("k") - 1, F.col("h")).alias("key"), F.lit(None).cast("double").alias("share"), (F.col("spare") / F.col("total")).alias("weight"))
-    return shares.unionByName(weights).groupBy("lang", "key").agg(F.coalesce(F.max("share"), F.lit(0.0)).alias("share"), F.coalesce(F.max("weight"), F.lit(1.0)).alias("weight"))
+    share = F.struct(key(F.col("k"), F.col("g")).alias("key"), ((F.col("c") - F.col("d")) / F.col("total")).alias("share"), F.lit(None).cast("double").alias("weight"))
+    weight = F.struct(key(F.col("k") - 1, F.col("h")).alias("key"), F.lit(None).cast("double").alias("share"), F.col("weight"))
+    parts = rows.select("lang", F.explode(F.when(F.col("nth") == 1, F.array(share, weight)).otherwise(F.array(share))).alias("x")).select("lang", "x.*")
+    return parts.groupBy("lang", "key").agg(F.coalesce(F.max("share"), F.lit(0.0)).cast("float").alias("share"), F.coalesce(F.max("weight"), F.lit(1.0)).cast("float").alias("weight"))
 
 
 def perplexities(docs: DataFrame, table: DataFrame, id_column: str = "doc_id", text: str = "text", lang: str = "lang") -> DataFrame:
@@ -147,22 +218,19 @@ def perplexities(docs: DataFrame, table: DataFrame, id_column: str = "doc_id", t
     many = F.create_map(*[x for k, n in sizes.items() for x in (F.lit(k), F.lit(max(1, -(-(n or 0) // BLOCK_BYTES))))]) if sizes else F.create_map(F.lit("und"), F.lit(1))
     blocks = max(1, sum(max(1, -(-(n or 0) // BLOCK_BYTES)) for n in sizes.values()))
     dealt = docs.select(F.col(id_column), name.alias("lang"), F.col(text).alias("text"), F.pmod(F.xxhash64(F.col(id_column).cast("string")), many[name]).alias("part"))
-    dealt = dealt.repartition(blocks, "lang", "part")  # the one shuffle of texts; both uses below read it
+    # the one shuffle of texts, which both uses below read; a task's texts of a block travel together, compressed
+    dealt = dealt.mapInArrow(_bundle, "lang string, part long, packed binary").repartition(min(4 * blocks, max(blocks, 2_000)), "lang", "part")
 
     def ask(batches):
-        held: dict[tuple, list] = {}
+        held: dict[tuple, Table] = {}
         for batch in batches:
-            names, parts, texts = batch.column(1).to_pylist(), batch.column(3).to_pylist(), texts_of(batch.column(2))
-            groups: dict[tuple, list] = {}
-            for n, p, t in zip(names, parts, texts, strict=True):
-                groups.setdefault((n, p), []).append(t)
-            for block, mine in groups.items():
-                for i in range(0, len(mine), 400):
-                    held.setdefault(block, []).append(np.unique(grams(mine[i : i + 400])[0]))
-                if len(held[block]) > 8:
-                    held[block] = [np.unique(np.concatenate(held[block]))]
-        for (n, p), found in held.items():
-            keys = needed(np.unique(np.concatenate(found)))
+            for n, p, packed in zip(*(batch.column(i) for i in range(3)), strict=True):
+                seen = held.setdefault((n.as_py(), p.as_py()), Table())
+                mine = texts_of(_unbundle(packed).column(2))
+                for i in range(0, len(mine), 200):
+                    seen.learn(grams(mine[i : i + 200])[0])
+        for (n, p), seen in held.items():
+            keys = needed(np.sort(seen.keys))
             for i in range(0, len(keys), 100_000):
                 some = keys[i : i + 100_000]
                 yield pa.RecordBatch.from_arrays([pa.array([n] * len(some), pa.string()), pa.array(np.full(len(some), p, dtype=np.int64)), pa.array(some)], ["lang", "part", "key"])
@@ -173,29 +241,27 @@ def perplexities(docs: DataFrame, table: DataFrame, id_column: str = "doc_id", t
     def score(docs: pa.Table, answers: pa.Table) -> pa.Table:
         keys = answers.column("key").to_numpy()
         order = np.argsort(keys)
-        keys, share, weight = keys[order], answers.column("share").to_numpy()[order], answers.column("weight").to_numpy()[order]
-        ids, names, texts = docs.column(id_column).combine_chunks(), docs.column("lang").combine_chunks(), docs.column("text")
-        n_all, value_all, known = [], [], np.zeros(0, dtype=np.int64)
-        bits = np.zeros(0)
-        for i in range(0, docs.num_rows, 300):
-            g, at = grams(texts_of(texts.slice(i, 300)))
-            n = np.diff(at)
-            sums = np.zeros(len(n))
-            if len(g) and len(keys):
-                spot = np.minimum(np.searchsorted(known, g), max(len(known) - 1, 0))
-                fresh = np.unique(g[known[spot] != g]) if len(known) else np.unique(g)
-                if len(fresh):
-                    bits = np.concatenate((bits, log2_probabilities(fresh, keys, share, weight)))
-                    known = np.concatenate((known, fresh))
-                    by = np.argsort(known, kind="stable")
-                    known, bits = known[by], bits[by]
-                    spot = np.searchsorted(known, g)
-                sums[n > 0] = np.add.reduceat(bits[spot], at[:-1][n > 0])
-            n_all.append(n)
-            value_all.append(np.exp2(-sums / np.maximum(n, 1)))
-        n = np.concatenate(n_all) if n_all else np.zeros(0, dtype=np.int64)
-        value = np.concatenate(value_all) if value_all else np.zeros(0)
-        return pa.Table.from_arrays([ids, names, pa.array(n), pa.array(value, mask=(n == 0) | (len(keys) == 0))], [id_column, "lang", "n_chars", "perplexity"])
+        keys, share, weight = keys[order], answers.column("share").to_numpy()[order].astype(np.float64), answers.column("weight").to_numpy()[order].astype(np.float64)
+        known, out = Table(), []
+        for packed in docs.column("packed"):
+            table = _unbundle(packed)
+            n_all, value_all = [], []
+            for i in range(0, table.num_rows, 200):
+                g, at = grams(texts_of(table.column(2).slice(i, 200)))
+                n = np.diff(at)
+                sums = np.zeros(len(n))
+                if len(g) and len(keys):
+                    spot, miss = known.find(g)
+                    if len(miss):
+                        fresh = np.unique(g[miss])
+                        known.add(fresh, log2_probabilities(fresh, keys, share, weight))
+                        spot = known.find(g)[0]
+                    sums[n > 0] = np.add.reduceat(known.values[spot], at[:-1][n > 0])
+                n_all.append(n)
+                value_all.append(np.exp2(-sums / np.maximum(n, 1)))
+            n, value = np.concatenate(n_all), np.concatenate(value_all)
+            out.append(pa.Table.from_arrays([table.column(0), table.column(1), pa.array(n), pa.array(value, mask=(n == 0) | (len(keys) == 0))], [id_column, "lang", "n_chars", "perplexity"]))
+        return pa.concat_tables(out) if out else pa.table({id_column: [], "lang": [], "n_chars": [], "perplexity": []})
 
     return dealt.groupBy("lang", "part").cogroup(answers.groupBy("lang", "part")).applyInArrow(score, f"{id_column} {kind}, lang string, n_chars long, perplexity double")
 
@@ -208,16 +274,19 @@ def held_back(id_column: str):
 def classify(docs: DataFrame, labels: DataFrame, quantile: float = 0.995, slack: float = 1.1, short: float = 3.0, id_column: str = "doc_id", text: str = "text", lang: str = "lang", quality: str = "quality") -> DataFrame:
     """(id, lang, n_chars, perplexity, highest, kept) of every row; `highest` is the quantile of the held-back trusted texts of its
     language times slack + short / sqrt(n_chars), since a short text's perplexity scatters."""
-    marks = cut(labels.groupBy(id_column).agg(F.min(quality).alias("q")).where("q = 1").select(id_column))
+    marks = cut(labels.groupBy(id_column).agg(F.min(quality).alias("q")).where("q = 1").select(id_column), labels.count())
     ids = F.broadcast(marks) if marks.count() <= BROADCAST_IDS else marks
     trusted = docs.join(ids, id_column, "left_semi").where(~held_back(id_column) & F.col(text).isNotNull())
     counts = count_grams(trusted.select(F.coalesce(F.col(lang), F.lit("und")).alias("lang"), F.col(text).alias("text")))
-    table = cut(model(counts))
-    scored = cut(perplexities(docs, table, id_column, text, lang))
+    small_batches(docs.sparkSession)
+    n = docs.count()
+    table = model(counts, n)
+    files = max(1, -(-n // TASK_ROWS))
+    scored = cut(perplexities(docs, table, id_column, text, lang).repartition(files))  # a few numbers a row
     own = scored.join(ids, id_column, "left_semi").where("perplexity is not null")
     back = F.when(held_back(id_column), F.col("perplexity"))
     limits = own.groupBy("lang").agg((F.coalesce(F.percentile_approx(back, quantile, 100_000), F.percentile_approx("perplexity", quantile, 100_000))).alias("quantile"))
     limits = F.broadcast(limits) if limits.count() <= BROADCAST_IDS else limits
     kept = F.when(F.col("n_chars") == 0, F.lit(False)).otherwise(F.coalesce(F.col("perplexity") <= F.col("highest"), F.lit(True)))
-    scored = scored.join(limits, "lang", "left").withColumn("highest", F.col("quantile") * (F.lit(slack) + F.lit(short) / F.sqrt(F.col("n_chars"))))
+    scored = scored.join(limits, "lang", "left").withColumn("highest", F.col("quantile") * (F.lit(slack) + F.lit(short) / F.sqrt(F.greatest(F.col("n_chars"), F.lit(1)))))
     return scored.select(id_column, "lang", "n_chars", "perplexity", "highest", kept.alias("kept"))
