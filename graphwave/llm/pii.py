@@ -288,8 +288,9 @@ def entities(docs: DataFrame, id_column: str = "doc_id", text: str = "text") ->
     return arrow_map(docs.select(id_column, text), "kind string, canon string", make).distinct()
 
 
-def assign(found: DataFrame, key: bytes = KEY) -> DataFrame:
-    """(kind, canon, attempt, made): a surrogate for each entity, no two alike within a kind and none that occurs itself."""
+def assign(found: DataFrame, key: bytes = KEY, rows: int | None = None) -> DataFrame:
+    """(kind, canon, attempt, made): a surrogate for each entity, no two alike within a kind and none that occurs itself. rows: about how
+    many entities there are, for the number of files."""
 
     def make():
         def run(batch):
@@ -302,18 +303,18 @@ def assign(found: DataFrame, key: bytes = KEY) -> DataFrame:
     def draw(df: DataFrame) -> DataFrame:
         return arrow_map(df.select("kind", "canon", "attempt"), "kind string, canon string, attempt int, made string", make)
 
-    real = compact(cut(found.select("kind", "canon")))
-    table = compact(cut(draw(real.select("kind", "canon", F.lit(0).alias("attempt")))))
+    real = compact(cut(found.select("kind", "canon"), rows))
+    table = compact(cut(draw(real.select("kind", "canon", F.lit(0).alias("attempt"))), rows))
     while True:
         # the entity that keeps a shared surrogate is the smallest of those drawn earliest, so that settled ones stay settled
         firsts = table.groupBy("kind", "made").agg(F.min(F.struct("attempt", "canon")).alias("first"), F.count("*").alias("n")).where("n > 1")
         shared = table.join(firsts, ["kind", "made"]).where("canon != first.canon").select("kind", "canon")
         occurs = table.join(real.withColumnRenamed("canon", "made"), ["kind", "made"], "left_semi").select("kind", "canon")
-        again = compact(cut(shared.unionByName(occurs).distinct()))
+        again = compact(cut(shared.unionByName(occurs).distinct(), rows))
         if again.isEmpty():
             return table
         old = table.join(again, ["kind", "canon"], "left_semi").withColumn("attempt", F.col("attempt") + 1)
-        table = compact(cut(table.join(again, ["kind", "canon"], "left_anti").select("kind", "canon", "attempt", "made").unionByName(draw(old))))
+        table = compact(cut(table.join(again, ["kind", "canon"], "left_anti").select("kind", "canon", "attempt", "made").unionByName(draw(old)), rows))
 
 
 def replace_text(text: str, attempts: dict[tuple[str, str], int], key: bytes = KEY) -> tuple[str, list[tuple[int, int, str]]]:
@@ -336,7 +337,7 @@ def replace_text(text: str, attempts: dict[tuple[str, str], int], key: bytes = K
 def pseudonymise(docs: DataFrame, key: bytes = KEY, id_column: str = "doc_id", text: str = "text", spans: bool = True) -> DataFrame:
     """All rows with all their columns, texts with surrogates; with `spans` also n_entities and entities (start, end, kind in the
     new text)."""
-    drawn = cut(assign(entities(docs, id_column, text), key).where("attempt > 0").select("kind", "canon", "attempt"))
+    drawn = assign(entities(docs, id_column, text), key, docs.count()).where("attempt > 0").select("kind", "canon", "attempt")
     n = drawn.count()
     column = docs.columns.index(text)
     schema = docs.schema
