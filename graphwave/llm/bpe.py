@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from .common import arrow_map, texts_of
 
 #: Pieces remembered by a worker, and the longest that is.
-MEMO_PIECES, MEMO_CHARS = 250_000, 48
+MEMO_PIECES, MEMO_CHARS = 200_000, 48
 _READY: dict[tuple[int, int], Vocabulary] = {}
 
 
@@ -80,7 +80,7 @@ class Vocabulary:
         key = (left, right)
         known = self.fits.get(key)
         if known is None:
-            if len(self.fits) > 1_000_000:
+            if len(self.fits) > 400_000:
                 self.fits.clear()
             known = self.fits[key] = self._stand_together(left, right)
         return known

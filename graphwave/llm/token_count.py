@@ -215,7 +215,7 @@ class Transducer:
     A state is (open, trail): open is the longest end of what was read that begins some token, trail has for each place from
     open's start on to the present the last token before that place and the count there less the count now."""
 
-    MOST = 400_000
+    MOST = 250_000
 
     def __init__(self, merges: Merges):
         self.merges = merges
@@ -264,7 +264,7 @@ class Transducer:
 
 
 class _Counts(dict):
-    MOST, CHARS = 400_000, 48
+    MOST, CHARS = 300_000, 48
 
     def __init__(self, transducer: Transducer):
         super().__init__()
@@ -285,6 +285,8 @@ class Counter:
         self.added = re.compile("|".join(map(re.escape, sorted(added, key=len, reverse=True)))) if added else None
 
     def of(self, texts: list[str]) -> list[int]:
+        if not texts:
+            return []
         total, parts, owner = [0] * len(texts), [], []
         for i, t in enumerate(texts):
             if self.added is not None and self.added.search(t):
