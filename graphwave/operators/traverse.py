@@ -12,7 +12,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.lineage import cut, gated
+from ..plans.lineage import BROADCAST_ROWS, cut, gated
 from .directory import build_needs
 from .exchange import deliver, message_ledger, pack, unpack
 from .layout import GraphLayout
@@ -76,8 +76,9 @@ def _union(parts: list[DataFrame]) -> DataFrame:
     return out
 
 
-def bfs(g: GraphLayout, source=None, method: str = "relational", combine_by: str = "max", max_level: int | None = None, target: int | None = None, profile: bool = False, needs: DataFrame | None = None) -> Run:
-    """source: one id or several. method: relational, auto (two-directional), grid_2d or one of METHODS."""
+def bfs(g: GraphLayout, source=None, method: str = "relational", combine_by: str = "max", max_level: int | None = None, target: int | None = None, profile: bool = False, needs: DataFrame | None = None, broadcast_rows: int = BROADCAST_ROWS) -> Run:
+    """source: one id or several. method: relational, auto (two-directional), grid_2d or one of METHODS. An all-gather of at most
+    broadcast_rows members is a broadcast, decoded once; a larger one is shuffled to every block."""
     source = g.source if source is None else source
     start = cut(_seed(g, source))
     if g.n == 0:
@@ -91,17 +92,19 @@ def bfs(g: GraphLayout, source=None, method: str = "relational", combine_by: str
     level = 0
     while sizes[-1] and (max_level is None or level < max_level):
         frontier = levels[-1].select("vid")
-        visited = gated(_union([x.select("vid") for x in levels]), sum(sizes))
+        visited = gated(_union([x.select("vid") for x in levels]), sum(sizes), broadcast_rows)
         if codec:
             messages = clock.step(pack(g, frontier, codec, needs if sieved else None), level, "compression_sieve")
             if not profile:
                 messages = cut(messages)  # read twice: for the ledger and for delivery
             books.append(message_ledger(messages, g, level, not sieved))
-            sent = clock.step(deliver(g, messages, not sieved), level, "communication")
-            arrived = unpack(g, sent, codec)
-            b = g.size
-            rows = g.edges.withColumn("needer_block", F.floor(F.col("dst") / b).cast("long"))
-            found = combine(rows.join(arrived, ["src", "needer_block"]).select("dst", "src"), combine_by)
+            if not sieved and sizes[-1] <= broadcast_rows:
+                arrived = clock.step(unpack(g, messages, codec).select("src"), level, "communication")
+                found = combine(g.edges.join(F.broadcast(arrived), "src").select("dst", "src"), combine_by)
+            else:
+                arrived = unpack(g, clock.step(deliver(g, messages, not sieved), level, "communication"), codec)
+                rows = g.edges.withColumn("needer_block", F.floor(F.col("dst") / g.size).cast("long"))
+                found = combine(rows.join(arrived, ["src", "needer_block"]).select("dst", "src"), combine_by)
         elif method == "grid_2d":
             found = _grid_step(g, frontier, combine_by)
         elif method == "auto" and sum(sizes) * 3 > g.n and combine_by == "max":

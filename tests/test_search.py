@@ -45,6 +45,11 @@ def test_every_method_gives_the_toy_tree(toy, method):
     assert rows(bfs(toy, 0, method).tree.select("vid", "level", "parent")) == TOY_TREE
 
 
+@pytest.mark.parametrize("method", ["relational", "bitmap_allgather", "wah_allgather", "zlib6_allgather", "wah_sieved"])
+def test_searches_without_broadcasts(toy, method):
+    assert rows(bfs(toy, 0, method, broadcast_rows=0).tree.select("vid", "level", "parent")) == TOY_TREE
+
+
 def test_toy_directory(toy):
     needs = build_needs(toy)
     got = {}
