@@ -8,7 +8,7 @@ proportion to its length. Pieces are what the public pattern matches, and each i
 
 Null and empty texts have no ids and decode to no bytes. Repeated rows, ties and extra columns need no care: rows are mapped one
 by one and only the id and text columns are read. The automaton and the memos live in the worker process; the piece memo is
-emptied when it is full.
+kept in two generations of bounded size.
 """
 
 from __future__ import annotations
@@ -26,8 +26,8 @@ from pyspark.sql import functions as F
 
 from .common import arrow_map, texts_of
 
-#: Pieces remembered by a worker, and the longest that is.
-MEMO_PIECES, MEMO_CHARS = 200_000, 48
+#: Pieces remembered by a worker in each of two generations, and the longest that is.
+MEMO_PIECES, MEMO_CHARS = 180_000, 48
 _READY: dict[tuple[int, int], Vocabulary] = {}
 
 
@@ -159,16 +159,21 @@ class Vocabulary:
 
 
 class _Pieces(dict):
-    """Piece of text to ids; forgets everything when full."""
+    """Piece of text to ids, in two generations: when the young one is full it becomes the old one, and what is still used comes back from
+    there, so frequent pieces stay."""
 
     def __init__(self, vocabulary: Vocabulary):
         super().__init__()
         self.vocabulary = vocabulary
+        self.old: dict[str, tuple[int, ...]] = {}
 
     def __missing__(self, piece: str) -> tuple[int, ...]:
-        ids = self.vocabulary.encode_piece(piece if piece.isascii() else piece.encode("utf-8", "surrogatepass").decode("latin-1"))
+        ids = self.old.get(piece)
+        if ids is None:
+            ids = self.vocabulary.encode_piece(piece if piece.isascii() else piece.encode("utf-8", "surrogatepass").decode("latin-1"))
         if len(piece) <= MEMO_CHARS:
             if len(self) >= MEMO_PIECES:
+                self.old = dict(self)
                 self.clear()
             self[piece] = ids
         return ids
