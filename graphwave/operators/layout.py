@@ -14,6 +14,10 @@ from ..plans.lineage import shared_dir
 from ..sources.graphs import GRAPHS, Tuples
 
 
+#: Edges that a partition has at least, if there is more than one.
+PART_EDGES = 25_000
+
+
 @dataclass
 class GraphLayout:
     """edges(src, dst) distinct and without self-loops, dealt by src and written; p blocks of `size` ids."""
@@ -68,9 +72,11 @@ def build(found: Tuples, p: int, directed: bool = False, name: str = "") -> Grap
     spark = found.edges.sparkSession
     path = f"{shared_dir(spark)}/edges-{uuid.uuid4().hex}"
     symmetrised(found.edges, directed).write.parquet(path)
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
-    edges = spark.read.schema("src long, dst long").parquet(path).repartition(parts, "src").persist(StorageLevel.MEMORY_AND_DISK)
-    return GraphLayout(edges, found.edges, found.n, p, found.source, directed, name, edges.count())
+    written = spark.read.schema("src long, dst long").parquet(path)
+    m = written.count()
+    parts = max(1, min(int(spark.conf.get("spark.sql.shuffle.partitions", "200")), -(-m // PART_EDGES)))  # few for a small graph
+    edges = written.repartition(parts, "src").persist(StorageLevel.MEMORY_AND_DISK)
+    return GraphLayout(edges, found.edges, found.n, p, found.source, directed, name, m)
 
 
 def layout(spark: SparkSession, sf_dir: str, name: str, p: int | None = None) -> GraphLayout:
