@@ -8,6 +8,10 @@ cross-entropy lies above what held-back texts of that language show.
 Null text, empty text and text without letters: `und`, score 0, rejected. A language needs one labelled row to be learned; with
 none at all everything is `und`. Repeated rows are scored one by one and give the same answer; ties go to the language that
 sorts first. Only the id and text columns are read when predicting.
+
+What held-back texts show is taken per language and length: for each of a list of lengths, the cross-entropies of their first so
+many letters have a high quantile, and the limit lies above it by a share of its distance from the median. Between two lengths
+the limit is interpolated in 1 / sqrt(length). A text above its limit is judged once more by how many distinct windows it has.
 """
 
 from __future__ import annotations
@@ -23,6 +27,10 @@ from .common import arrow_map, texts_of
 
 ORDER = 4
 UND = "und"
+#: Lengths in letters at which held-back texts set a limit, and how many of them suffice. Longer texts are held to the last one:
+#: what sets a text apart from others, such as its subject, doesn't average out.
+LENGTHS = tuple(4 << i for i in range(7))
+FEWEST = 30
 _LETTER: np.ndarray | None = None
 
 
@@ -134,9 +142,8 @@ class Model:
     levels: list[list[Level]] = field(default_factory=list)
     table: np.ndarray = field(default_factory=lambda: np.zeros(0, dtype=np.uint64))
     bits: np.ndarray = field(default_factory=lambda: np.zeros((0, 0), dtype=np.float32))
-    #: Highest cross-entropy per letter at which a text still counts as this language, before the allowance for short texts.
-    limit: np.ndarray = field(default_factory=lambda: np.zeros(0))
-    spread: float = 3.0
+    #: By language, 1 / sqrt(length) ascending and the highest cross-entropy per letter at which a text of that length still counts.
+    limit: list[tuple[np.ndarray, np.ndarray]] = field(default_factory=list)
 
     def cross_entropy(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """Bits per letter by text and language, and the number of letters."""
@@ -149,14 +156,34 @@ class Model:
         missing = np.flatnonzero(~seen)
         firsts = at[:-1][n > 0]
         for j in range(len(self.languages)):
-            bits = self.bits[j][row]
-            if len(missing):
-                bits[missing] = -np.log2(_resolve(self.levels[j], keys[missing], self.letters))
             sums = np.zeros(len(texts))
-            sums[n > 0] = np.add.reduceat(bits, firsts, dtype=np.float64)
+            sums[n > 0] = np.add.reduceat(self._bits(j, keys, row, missing), firsts, dtype=np.float64)
             out[:, j] = sums / np.maximum(n, 1)
         return out, n
 
+    def _bits(self, j: int, keys: np.ndarray, row: np.ndarray, missing: np.ndarray) -> np.ndarray:
+        bits = self.bits[j][row]
+        if len(missing):
+            bits[missing] = -np.log2(_resolve(self.levels[j], keys[missing], self.letters))
+        return bits
+
+    def beginnings(self, texts: list[str], j: int) -> tuple[np.ndarray, np.ndarray]:
+        """Language j's bits per letter over the first so many letters of each text, for all LENGTHS that the text reaches."""
+        keys, at = windows(*normalised(texts))
+        row, seen = _find(self.table, _hash(keys))
+        sums = np.concatenate(([0.0], np.cumsum(self._bits(j, keys, row, np.flatnonzero(~seen)), dtype=np.float64)))
+        n, start = np.diff(at), at[:-1]
+        reach = [start[n >= k] for k in LENGTHS]
+        return np.repeat(LENGTHS, [len(x) for x in reach]), np.concatenate([(sums[x + k] - sums[x]) / k for x, k in zip(reach, LENGTHS, strict=True)])
+
+    def limits(self, best: np.ndarray, n: np.ndarray) -> np.ndarray:
+        out = np.full(len(n), np.inf)
+        for j, (at, bits) in enumerate(self.limit):
+            mine = best == j
+            if len(at):
+                out[mine] = np.interp(1 / np.sqrt(np.maximum(n[mine], 1)), at, bits)
+        return out
+
     def predict(self, texts: list[str]) -> tuple[list[str], np.ndarray, np.ndarray, np.ndarray]:
         """Language, score, cross-entropy and rejection of each text."""
         if not self.languages:
@@ -167,7 +194,10 @@ class Model:
         low = cost[np.arange(len(texts)), best]
         score = 1.0 / np.exp2(-(cost - low[:, None]) * np.minimum(n, 40)[:, None]).sum(axis=1)
         score[n == 0] = 0
-        reject = (n == 0) | (low > self.limit[best] + self.spread / np.sqrt(np.maximum(n, 1)))
+        reject = (n == 0) | (low > self.limits(best, n))
+        for i in np.flatnonzero(reject & (n > 0)):  # a passage said again is no further evidence
+            once = len(np.unique(windows(*normalised([texts[i]]))[0]))
+            reject[i] = low[i] > self.limits(best[i : i + 1], np.array([once]))[0]
         return [self.languages[b] if k else UND for b, k in zip(best.tolist(), n.tolist(), strict=True)], score, low, reject
 
 
@@ -182,7 +212,7 @@ def build(counts: dict[str, tuple[np.ndarray, np.ndarray]]) -> Model:
     order = np.argsort(_hash(union))
     union = union[order]
     bits = np.stack([-np.log2(_resolve(lv, union, letters)) for lv in levels]).astype(np.float32)
-    return Model(languages, letters, levels, _hash(union), bits, np.full(len(languages), np.inf))
+    return Model(languages, letters, levels, _hash(union), bits)
 
 
 def is_held_out(id_column: str = "doc_id"):
@@ -190,9 +220,10 @@ def is_held_out(id_column: str = "doc_id"):
     return F.coalesce(F.crc32(F.col(id_column).cast("string").cast("binary")) % 4 == 2, F.lit(False))
 
 
-def train(docs: DataFrame, id_column: str = "doc_id", text: str = "text", lang: str = "lang", per_language: int = 600, calibrate: int = 200, margin: float = 2.0) -> Model:
+def train(docs: DataFrame, id_column: str = "doc_id", text: str = "text", lang: str = "lang", per_language: int = 600, calibrate: int = 200, quantile: float = 0.995, allowance: float = 0.5) -> Model:
     """Fits on a bounded sample of labelled rows that aren't held out: about `per_language` texts of each language for the
-    counts and `calibrate` more for the rejection limit, drawn by a hash of the id. Whole texts are used."""
+    counts and `calibrate` more for the rejection limits, drawn by a hash of the id. Whole texts are used. A limit is the `quantile` of the held-back texts at a length plus
+    `allowance` times its distance from their median."""
     labelled = docs.where(F.col(lang).isNotNull() & F.col(text).isNotNull() & ~is_held_out(id_column))
     draw = F.pmod(F.xxhash64(F.col(id_column).cast("string"), F.lit("language sample")), F.lit(1 << 30)) / float(1 << 30)
     sizes = {r[0]: r[1] for r in labelled.groupBy(lang).count().collect()}
@@ -235,22 +266,38 @@ def train(docs: DataFrame, id_column: str = "doc_id", text: str = "text", lang:
 
     def score():
         def run(batch):
-            cost, n = shared.value.cross_entropy(texts_of(batch.column(1)))
-            known = {x: i for i, x in enumerate(shared.value.languages)}
-            own = np.array([known.get(x, -1) for x in batch.column(0).to_pylist()])
-            keep = np.array(batch.column(2).to_pylist(), dtype=bool) & (own >= 0) & (n > 0)
-            at = np.flatnonzero(keep)
-            return pa.RecordBatch.from_arrays([pa.array(own[at]), pa.array(cost[at, own[at]])], ["own", "bits"])
+            names, aside, texts = batch.column(0).to_pylist(), batch.column(2).to_pylist(), texts_of(batch.column(1))
+            own, length, bits = [np.zeros(0, dtype=np.int64)], [np.zeros(0, dtype=np.int64)], [np.zeros(0)]
+            for j, name in enumerate(shared.value.languages):
+                mine = [t for t, x, k in zip(texts, names, aside, strict=True) if x == name and k]
+                if mine:
+                    at, found = shared.value.beginnings(mine, j)
+                    own.append(np.full(len(at), j))
+                    length.append(at)
+                    bits.append(found)
+            return pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (own, length, bits)], ["own", "length", "bits"])
 
         return run
 
-    held = arrow_map(drawn, "own long, bits double", score).groupBy("own").agg(F.expr("percentile(bits, 0.995)").alias("p")).collect()
-    limit = {r["own"]: r["p"] + margin for r in held}
-    widest = max(limit.values(), default=np.inf)
-    model.limit = np.array([limit.get(i, widest) for i in range(len(model.languages))])
+    shown = arrow_map(drawn, "own long, length long, bits double", score).groupBy("own", "length").agg(F.count("*").alias("n"), F.percentile("bits", F.lit(0.5)).alias("middle"), F.percentile("bits", F.lit(quantile)).alias("high")).collect()
+    model.limit = _curves(len(model.languages), [(r["own"], r["length"], r["n"], r["high"] + allowance * (r["high"] - r["middle"])) for r in shown])
     return model
 
 
+def _curves(languages: int, shown: list[tuple[int, int, int, float]]) -> list[tuple[np.ndarray, np.ndarray]]:
+    """Limits by language from (language, length, texts, bits). A length that under FEWEST and under half of its
+    texts reach is left out; a language without held-back texts gets the others' highest limits."""
+    found: list[dict[int, float]] = [{} for _ in range(languages)]
+    widest: dict[int, float] = {}
+    most = {j: max(n for k, _, n, _ in shown if k == j) for j, *_ in shown}
+    for j, length, n, bits in shown:
+        if n >= min(FEWEST, most[j] / 2):
+            found[j][length] = bits
+            widest[length] = max(bits, widest.get(length, bits))
+    curves = [sorted((1 / np.sqrt(k), v) for k, v in (x or widest).items()) for x in found]
+    return [(np.array([a for a, _ in x]), np.array([b for _, b in x])) for x in curves]
+
+
 def identify(docs: DataFrame, model: Model, id_column: str = "doc_id", text: str = "text") -> DataFrame:
     """(id, lang_pred, score, bits, rejected) of every row."""
     shared = docs.sparkSession.sparkContext.broadcast(model)

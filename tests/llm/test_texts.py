@@ -6,6 +6,8 @@ import pytest
 
 pytest.importorskip("numpy")
 
+from pyspark.sql import functions as F  # noqa: E402
+
 from graphwave.llm import html_extract, language_id, pii, quality_lm  # noqa: E402
 
 
@@ -51,6 +53,17 @@ def test_unknown_language_is_rejected(model):
     assert reject.all()
 
 
+@pytest.mark.parametrize("left_out", ["de", "en", "es", "fr"])
+def test_a_language_left_out_of_training_is_rejected(spark, left_out):
+    """Nearly all texts of a language that wasn't learned go, and nearly all of the learned ones stay."""
+    docs = spark.read.parquet("/root/testdata/sf0.1/documents.parquet").where("length(text) >= 200")
+    model = language_id.train(docs.where(F.col("lang") != left_out))
+    found = language_id.identify(docs, model).join(docs.select("doc_id", "lang"), "doc_id").where(language_id.is_held_out())
+    share = dict(found.groupBy((F.col("lang") == left_out).alias("unknown")).agg(F.avg(F.col("rejected").cast("int"))).collect())
+    print(left_out, share)
+    assert share[True] > 0.97 and share[False] < 0.03
+
+
 def test_no_training_rows(spark):
     df = spark.createDataFrame([(1, "some text", None)], "doc_id long, text string, lang string")
     empty = language_id.train(df)
