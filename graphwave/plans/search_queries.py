@@ -193,6 +193,11 @@ register(
     lambda s, sf: apps.hop_distance(graph(s, sf, "star"), 0, graph(s, sf, "star").vertices().where("vid % 97 = 0")),
     q.tree_sql("star", "SELECT CAST(i AS BIGINT) AS vid, tree.level AS hops FROM range((SELECT n FROM g)) r(i) LEFT JOIN tree ON tree.vid = i WHERE i % 97 = 0"),
 )
+register(
+    "w16_hops_all",
+    lambda s, sf: apps.hop_distance(graph(s, sf, "star"), 0, graph(s, sf, "star").vertices()),
+    q.tree_sql("star", "SELECT CAST(i AS BIGINT) AS vid, tree.level AS hops FROM range((SELECT n FROM g)) r(i) LEFT JOIN tree ON tree.vid = i"),
+)
 register("w16_spanning_tree", lambda s, sf: apps.spanning_tree(tree(s, sf, "star")), q.tree_sql("star", "SELECT parent, vid FROM tree WHERE level > 0"))
 
 
