@@ -189,26 +189,28 @@ for codec in ("zlib1", "zlib6", "zlib9", "huffman", "bbc", "sparse_zlib"):
     register(f"codec_{codec}", _byte_codec(codec))
 
 
-def _logical(op: str):
-    """(level, words, n_set): each level's bitmap of the whole graph against the next one's, on word lists; levels meet in one row each."""
+def _logical(op: str, whole: bool = False):
+    """(level, words, n_set): each level's bitmap of the whole graph against the next one's, on word lists; levels meet in one row each. whole:
+    with the last block, which may be shorter than the others."""
 
     def build(s, sf):
         g = graph(s, sf, "order_part")
-        wah, n = Wah(32), g.size
+        wah = Wah(32)
 
         @F.pandas_udf("struct<words long, n_set long>")
-        def run_op(a: pd.Series, b: pd.Series) -> pd.DataFrame:
+        def run_op(a: pd.Series, b: pd.Series, bits: pd.Series) -> pd.DataFrame:
             rows = []
-            for p, r in zip(a, b, strict=True):
+            for p, r, n in zip(a, b, bits.tolist(), strict=True):
                 left, right = wah.words(p, n), wah.words(r if r is not None else p[:0], n)
                 out = left if op == "count" else wah_not(left, n, wah) if op == "not" else wah_logical(left, right, n, op, wah)
                 rows.append((len(out), wah_count(out, n, wah)))
             return pd.DataFrame(rows, columns=["words", "n_set"])
 
-        sets = _members(s, sf).where(F.col("owner_block") < g.blocks - 1).groupBy("level", "owner_block").agg(F.array_sort(F.collect_list("slot")).alias("slots"))
+        members = _members(s, sf) if whole else _members(s, sf).where(F.col("owner_block") < g.blocks - 1)
+        sets = members.groupBy("level", "owner_block").agg(F.array_sort(F.collect_list("slot")).alias("slots"), F.max("n_bits").alias("n_bits"))
         nxt = sets.select((F.col("level") - 1).alias("level"), "owner_block", F.col("slots").alias("other"))
         both = sets.join(nxt, ["level", "owner_block"], "left")
-        return both.select("level", "owner_block", run_op("slots", "other").alias("r")).select("level", "owner_block", F.col("r.n_set").alias("n_set"))
+        return both.select("level", "owner_block", run_op("slots", "other", "n_bits").alias("r")).select("level", "owner_block", F.col("r.n_set").alias("n_set"))
 
     return build
 
@@ -219,6 +221,11 @@ _PAIRED = "(SELECT level, owner_block, count(*) AS a FROM m GROUP BY ALL) x LEFT
 for op, value in (("and", "CAST(0 AS BIGINT)"), ("or", "a + coalesce(c, 0)"), ("not", "b - a"), ("count", "a"), ("andnot", "a")):
     register(f"wah_{op}", _logical(op), q.query(_HEAD, f"SELECT x.level, x.owner_block, {value} AS n_set FROM {_PAIRED}"))
 
+_BITS = "(SELECT level, owner_block, max(n_bits) AS bits, count(*) AS a FROM m GROUP BY ALL) x LEFT JOIN (SELECT level - 1 AS level, owner_block, count(*) AS c FROM m GROUP BY ALL) y ON y.level = x.level AND y.owner_block = x.owner_block"
+_EVERY = q.base("order_part") + q.levels("order_part") + [f"m AS MATERIALIZED ({q.own_members()})"]
+for op, value in (("and", "CAST(0 AS BIGINT)"), ("or", "a + coalesce(c, 0)"), ("not", "bits - a"), ("count", "a"), ("andnot", "a")):
+    register(f"wah_{op}_all", _logical(op, whole=True), q.query(_EVERY, f"SELECT x.level, x.owner_block, {value} AS n_set FROM {_BITS}"))
+
 
 def _bytes_of_bitmaps(s, sf):
     """(byte, n): how often each byte value stands in the plain bitmaps; what Huffman codes are made from."""

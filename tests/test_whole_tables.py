@@ -36,3 +36,14 @@ def test_full_join_has_unmatched_keys_on_both_sides(spark):
     edges = graph(spark, SMALL, "order_part").edges
     assert sum((r["a"] or 0) * r["k"] for r in rows) == edges.count()
     assert sum(r["b"] or 0 for r in rows) == catalog.queries()["tree_order_part"](spark, SMALL).count()
+
+
+@pytest.mark.parametrize("op", ["and", "or", "not", "count", "andnot"])
+def test_word_operations_take_the_last_block(spark, con, op):
+    name = f"wah_{op}_all"
+    assert differences(catalog.queries()[name](spark, SMALL), con, catalog.oracle_sql()[name]) == ""
+    found = catalog.queries()[name](spark, SMALL).collect()
+    g = graph(spark, SMALL, "order_part")
+    assert max(r["owner_block"] for r in found) == g.blocks - 1
+    if op == "count":
+        assert sum(r["n_set"] for r in found) == catalog.queries()["tree_order_part"](spark, SMALL).count()
