@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from math import isqrt
+
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
@@ -42,13 +44,14 @@ register("op_join_full_all", lambda s, sf: DEGREES(s, sf).join(tree(s, sf, "orde
 register("op_join_left", lambda s, sf: graph(s, sf, "order_part").vertices().select("vid").join(tree(s, sf, "order_part").select("vid", "level"), "vid", "left"), q.query(T, "SELECT CAST(i AS BIGINT) AS vid, level FROM range((SELECT n FROM g)) r(i) LEFT JOIN tree ON vid = i"))
 
 
-def _uneven(s, sf):
-    """Ids in uneven blocks whose bounds are squares."""
-    bounds = s.range(200).select((F.col("id") * F.col("id")).alias("lo"), ((F.col("id") + 1) * (F.col("id") + 1)).alias("hi"), F.col("id").alias("block"))
+def _uneven(s, sf, most: int | None = 200):
+    """Ids in uneven blocks whose bounds are squares; most: how many blocks, or as many as the graph's ids need."""
+    bounds = s.range(most or isqrt(max(0, graph(s, sf, "order_part").n - 1)) + 1).select((F.col("id") * F.col("id")).alias("lo"), ((F.col("id") + 1) * (F.col("id") + 1)).alias("hi"), F.col("id").alias("block"))
     return r.range_join(tree(s, sf, "order_part").select("vid"), "vid", bounds, 256).select("vid", "block")
 
 
 register("op_join_range", _uneven, q.query(T, "SELECT vid, CAST(k AS BIGINT) AS block FROM tree JOIN range(200) r(k) ON vid >= k * k AND vid < (k + 1) * (k + 1)"))
+register("op_join_range_all", lambda s, sf: _uneven(s, sf, None), q.query(T, "SELECT vid, CAST(k AS BIGINT) AS block FROM tree JOIN range((SELECT CAST(ceil(sqrt(n)) AS BIGINT) FROM g)) r(k) ON vid >= k * k AND vid < (k + 1) * (k + 1)"))
 register("op_join_interval", lambda s, sf: r.interval_pairs(L(s, sf, "events", "event_id", "ts", "user_id"), "user_id", "ts", "event_id", 1800), "SELECT x.event_id AS a, y.event_id AS b FROM events x JOIN events y ON x.user_id = y.user_id AND y.ts - x.ts <= INTERVAL 1800 SECOND AND (y.ts > x.ts OR (y.ts = x.ts AND y.event_id > x.event_id))")
 
 

@@ -47,3 +47,13 @@ def test_word_operations_take_the_last_block(spark, con, op):
     assert max(r["owner_block"] for r in found) == g.blocks - 1
     if op == "count":
         assert sum(r["n_set"] for r in found) == catalog.queries()["tree_order_part"](spark, SMALL).count()
+
+
+def test_range_join_reaches_every_id(spark, con):
+    assert differences(catalog.queries()["op_join_range_all"](spark, SMALL), con, catalog.oracle_sql()["op_join_range_all"]) == ""
+    large = "/root/testdata/sf0.1"
+    rows = catalog.queries()["op_join_range_all"](spark, large)
+    part, whole = catalog.queries()["op_join_range"](spark, large).count(), rows.count()
+    print("rows", part, whole)
+    assert whole == catalog.queries()["tree_order_part"](spark, large).count() > 40_000
+    assert rows.where("block * block > vid or (block + 1) * (block + 1) <= vid").count() == 0
