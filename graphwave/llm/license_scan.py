@@ -3,7 +3,8 @@
 One Aho-Corasick automaton holds every phrase as its words with a blank on either side, and runs over a text's words joined by
 single blanks, so a hit is always whole words in a row and hits may overlap. Where the words of an identifier tag occur, the text
 itself is read for the expression behind the tag; a shunting-yard parser turns it into postfix order and evaluates `and`, `or`
-and `with`.
+and `with`. What the expressions allow is returned and decides the score: several expressions of one text hold together, so
+the worst of them counts; without any, the worst of the licences that notices name.
 
 Words are runs of a-z, 0-9 and non-ASCII characters after A-Z is lower-cased. Null and empty texts have no words: counts 0,
 places null, labels empty strings, score 0. A malformed expression yields its identifiers as labels and no verdict. Ties of place
@@ -52,7 +53,13 @@ NOTICES = {
 TAG = "spdx license identifier"
 
 #: What an identifier lets a reader do: 2 reuse freely, 1 reuse on like terms, 0 no reuse for every purpose. By prefix.
-TERMS = {"mit": 2, "apache": 2, "bsd": 2, "isc": 2, "cc0": 2, "unlicense": 2, "bsl": 2, "zlib": 2, "cc-by-nc": 0, "cc-by-nd": 0, "cc-by": 2, "gpl": 1, "lgpl": 1, "agpl": 1, "mpl": 1, "epl": 1, "cc-by-sa": 1}
+TERMS = {
+    **dict.fromkeys("mit apache bsd 0bsd isc cc0 unlicense bsl zlib x11 ncsa wtfpl postgresql python psf unicode artistic ecl upl afl ruby php w3c zpl cc-by pddl odc-by openssl vim curl libpng mulanpsl blueoak".split(), 2),
+    **dict.fromkeys("gpl lgpl agpl mpl epl cddl eupl osl ms-pl ms-rl gfdl cecill ofl odbl cc-by-sa cpl ipl qpl sleepycat rpl apsl nposl".split(), 1),
+    **dict.fromkeys("cc-by-nc cc-by-nd cc-by-nc-sa cc-by-nc-nd sspl busl elastic polyform proprietary commons-clause reserved".split(), 0),
+}
+#: By what an expression allows, how far that opens the text to reuse; None: nothing known.
+OPEN = {2: 1.0, 1: 0.75, 0: 0.25, None: 0.5}
 
 _SPLIT = bytes(c if 0x61 <= c <= 0x7A or 0x30 <= c <= 0x39 or c >= 0x80 else 32 for c in range(256))
 _BEHIND_TAG = re.compile(r"spdx-license-identifier\s*:\s*([^\r\n]*)", re.IGNORECASE | re.ASCII)
@@ -141,14 +148,15 @@ class Scanner:
     def _key(phrase: str) -> str:
         return f" {phrase} "
 
-    def scan(self, text: str) -> tuple[int, int, int | None, int | None, list[str], list[str], float, list[tuple[int, str]]]:
-        """n_words, n_base, first_word, last_word, base labels, all labels, score, and the places with their labels."""
+    def scan(self, text: str) -> tuple[int, int, int | None, int | None, list[str], list[str], float, int | None, list[str], list[tuple[int, str]]]:
+        """n_words, n_base, first_word, last_word, base labels, all labels, score, what is allowed, the expressions in postfix order, and
+        the places with their labels."""
         words = text.encode("utf-8", "surrogatepass").lower().translate(_SPLIT).split(b" ")
         words = [w for w in words if w]
         line = f" {b' '.join(words).decode('utf-8', 'surrogatepass')} "
         hits = [(end - size + 1, label, base) for end, (label, size, base) in self.automaton.iter(line)]
         if not hits:
-            return len(words), 0, None, None, [], [], 0.0, []
+            return len(words), 0, None, None, [], [], 0.0, None, [], []
         hits.sort()
         places, seen, at = [], 0, 0
         for start, label, base in hits:  # a place's number is the number of blanks before it
@@ -157,21 +165,25 @@ class Scanner:
             places.append((seen, label, base))
         own = [p for p, _, base in places if base]
         labels = {label for _, label, _ in places if label}
-        verdicts = []
+        named = [v for v in map(terms, labels) if v is not None]
+        verdicts, postfix = [], []
         if any(not label for _, label, _ in places):
             for written in _BEHIND_TAG.findall(text):
                 found = parse_expression(written)
                 labels |= set(found.identifiers)
-                verdicts.append(found.allows)
-        known = [v for v in [*verdicts, *(terms(x) for x in labels)] if v is not None]
-        # evidence: a parsed tag is certain, each further notice halves what doubt is left
-        doubt = 0.0 if any(v is not None for v in verdicts) else 0.5 ** len(places)
-        score = (1.0 - doubt) if known or labels else 0.0
-        return len(words), len(own), min(own, default=None), max(own, default=None), sorted({x for _, x, base in places if base}), sorted(labels), score, [(p, x) for p, x, _ in places]
+                if found.postfix is not None:
+                    verdicts.append(found.allows)
+                    postfix.append(" ".join(found.postfix))
+        known = [v for v in verdicts if v is not None]
+        allows = min(known) if known else min(named, default=None) if not postfix else None
+        # evidence: an expression that is understood is certain, each notice halves what doubt is left
+        doubt = 0.0 if known else 0.5 ** len(places)
+        score = (1.0 - doubt) * OPEN[allows] if labels else 0.0
+        return len(words), len(own), min(own, default=None), max(own, default=None), sorted({x for _, x, base in places if base}), sorted(labels), score, allows, postfix, [(p, x) for p, x, _ in places]
 
 
 def scan(docs: DataFrame, id_column: str = "doc_id", text: str = "text") -> DataFrame:
-    """One row per document; `places` lists (word, label) of every hit, identifier tags with an empty label."""
+    """One row per document. allows: 2 reuse freely, 1 on like terms, 0 not for every purpose, null unknown; `expressions` are in postfix order; `places` lists (word, label) of every hit, identifier tags with an empty label."""
     kind = dict(docs.dtypes)[id_column]
     at = pa.list_(pa.struct([("word", pa.int64()), ("label", pa.string())]))
 
@@ -180,7 +192,7 @@ def scan(docs: DataFrame, id_column: str = "doc_id", text: str = "text") -> Data
 
         def run(batch):
             rows = [scanner.scan(t or "") for t in batch.column(1).to_pylist()]
-            n, base, first, last, own, labels, score, places = zip(*rows, strict=True)
+            n, base, first, last, own, labels, score, allows, postfix, places = zip(*rows, strict=True)
             return pa.RecordBatch.from_arrays(
                 [
                     batch.column(0),
@@ -188,11 +200,13 @@ def scan(docs: DataFrame, id_column: str = "doc_id", text: str = "text") -> Data
                     pa.array([",".join(x) for x in own], pa.string()),
                     pa.array([",".join(x) for x in labels], pa.string()),
                     pa.array(score, pa.float64()),
+                    pa.array(allows, pa.int64()),
+                    pa.array(postfix, pa.list_(pa.string())),
                     pa.array([[{"word": w, "label": x} for w, x in p] for p in places], at),
                 ],
-                [id_column, "n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score", "places"],
+                [id_column, "n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score", "allows", "expressions", "places"],
             )
 
         return run
 
-    return arrow_map(docs.select(id_column, text), f"{id_column} {kind}, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double, places array<struct<word:long,label:string>>", make)
+    return arrow_map(docs.select(id_column, text), f"{id_column} {kind}, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double, allows long, expressions array<string>, places array<struct<word:long,label:string>>", make)

@@ -1,17 +1,23 @@
 """Personal data: detection and keyed surrogates.
 
-Detected are e-mail addresses, IPv4 and IPv6 addresses, hardware addresses, payment cards, account numbers (IBAN), phone numbers,
-identity numbers, secrets (keys, tokens, passwords) and personal names. An entity is a kind and a canonical form: lower case for
-what is written in letters, letters and digits only where separators vary. Its surrogate follows from a secret key, kind and
-canonical form alone, so every mention in every text gets the same one, and it keeps the format: length, character classes, signs,
-country codes and valid check digits; names keep gender and script.
-
-Surrogates are checked across the corpus: no two entities of a kind may share one, and none may be a form that occurs itself. Those
-that clash are drawn again, until none clash; what is drawn again is a handful even in a large corpus. The lists of entities and
-clashes stay distributed; the clashes are broadcast if they are few, and joined by document otherwise.
-
-Null texts stay null and empty ones empty. Overlapping findings: the one that begins first wins, then the longer. Rows are mapped
-one by one, so repeated rows and extra columns need no care.
+Detected are e-mail addresses, IPv4 and IPv6 addresses, hardware addresses, payment cards (with a valid check digit), account
+numbers (IBAN), phone numbers, identity numbers, secrets (keys, tokens, passwords) and personal names: capitalised words behind a
+title or a phrase that introduces a person, with a known given name, or with an e-mail address of that name close behind. An entity is
+a kind and a canonical form: lower case for what is written in letters, letters and digits only where separators vary. A name is made
+of entities of its own, a given name and family names, so a person is the same one under "Ms Smith" and "Jane Smith".
+
+An entity's surrogate follows from the caller's key, its kind and canonical form and how often it was drawn, so every mention in every
+text gets the same one, and it keeps the format: length, character classes, signs, country codes and valid check digits; names keep
+gender (of a known name, or told by a title anywhere in the corpus) and script.
+
+Surrogates are checked across the corpus: no two entities of a kind may share one, and, given names apart, none may be a form that
+occurs itself. Those that clash are drawn again, until none clash. Where a format leaves nothing to change, or so little that eight draws
+have clashed, the surrogate outgrows it by ever more letters or digits, so drawing always ends. The lists of entities and clashes
+stay distributed; the clashes are broadcast if they are few, and joined by a digest of the text otherwise, with the same result.
+
+Null texts stay null and empty ones empty; ids are neither read nor needed. Overlapping findings: the one that begins first wins, then
+the longer. Rows are mapped one by one, so repeated rows stay repeated. Where a column of the input is named as one of the result's own,
+the result's gets underscores behind its name.
 """
 
 from __future__ import annotations
@@ -19,14 +25,17 @@ from __future__ import annotations
 import hashlib
 import hmac
 import re
+import secrets
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import arrow_map, compact, cut
 
-KEY = b"surrogates"
+#: The session's setting that holds the key of the registered queries.
+KEY_SETTING = "spark.graphwave.surrogates.key"
 #: Clashing entities that are broadcast at most; beyond it they are joined by document.
 BROADCAST_ROWS = 50_000
 
@@ -57,11 +66,34 @@ _IPV6 = re.compile(r"(?<![0-9A-Fa-f:])(?:[0-9A-Fa-f]{1,4}:){7}[0-9A-Fa-f]{1,4}(?
 _UP = "A-ZÀ-ÖØ-ÞŁŚŠŽÇА-ЯЁΑ-Ω"
 _CAPITALS = re.compile(rf"(?<!\w)[{_UP}][\w'’]*\.?[ ]+[{_UP}][\w'’\-]+(?:[ ]+[{_UP}][\w'’\-]+)?")
 
+#: What stands right before a person's name.
+_CUE = re.compile(
+    r"(?:my name is|name:|signed(?: by)?[,:]?|(?:kind |best |warm )?regards,|sincerely,|yours truly,|author:|attn:?|contact:|ich heiße|mein name ist|"
+    r"mit freundlichen grüßen,?|je m['’]appelle|cordialement,|me llamo|mi nombre es|atentamente,|меня зовут|με λένε)\s*\Z",
+    re.IGNORECASE,
+)
+_MAILBOX = re.compile(r"[\w.%+\-]+(?=@[A-Za-z0-9])")
+
+
+def _own_address(text: str, at: int, parts: list[tuple[int, str]]) -> bool:
+    """Whether an e-mail address that holds one of the words follows within 40 characters."""
+    if text.find("@", at, at + 40) < 0:
+        return False
+    box = _MAILBOX.search(text, at, min(len(text), at + 48))
+    return box is not None and any(len(w) > 2 and w.lower() in box[0].lower() for _, w in parts)
+
+
 #: Titles with the gender they tell, and given names by script and gender.
 TITLES = {"mr": "m", "mister": "m", "mrs": "f", "ms": "f", "miss": "f", "dr": "", "prof": "", "herr": "m", "frau": "f", "monsieur": "m", "madame": "f", "mme": "f", "mlle": "f", "señor": "m", "señora": "f", "sr": "m", "sra": "f", "doña": "f", "господин": "m", "госпожа": "f", "κύριος": "m", "κυρία": "f"}
 GIVEN = {
-    ("latin", "m"): "James John Robert Michael William David Richard Joseph Thomas Charles Daniel Matthew Hans Peter Klaus Jürgen Wolfgang Pierre Jean Michel Philippe François Carlos José Juan Miguel Antonio Pablo".split(),
-    ("latin", "f"): "Mary Patricia Jennifer Linda Elizabeth Barbara Susan Jessica Sarah Karen Emily Laura Anna Ursula Monika Sabine Petra Marie Sophie Camille Isabelle Nathalie María Carmen Lucía Isabel Elena Rosa".split(),
+    ("latin", "m"): (
+        "James John Robert Michael William David Richard Joseph Thomas Charles Daniel Matthew Hans Peter Klaus Jürgen Wolfgang Karl Pierre Jean Michel Philippe François Carlos José Juan Miguel Antonio Pablo "
+        "Ahmed Mohammed Ali Omar Hassan Yusuf Ibrahim Raj Arjun Rahul Amit Vikram Wei Hiroshi Kenji Takashi Olumide Chinedu Kwame Lars Erik Björn Marco Giovanni Paolo Jan Piotr"
+    ).split(),
+    ("latin", "f"): (
+        "Mary Patricia Jennifer Linda Elizabeth Barbara Susan Jessica Sarah Karen Emily Laura Anna Ursula Monika Sabine Petra Marie Sophie Camille Isabelle Nathalie María Carmen Lucía Isabel Elena Rosa "
+        "Fatima Aisha Layla Zainab Noor Priya Ananya Sunita Deepa Kavita Mei Yuki Sakura Keiko Ngozi Amara Adaeze Ingrid Astrid Freya Giulia Francesca Chiara Katarzyna Agnieszka"
+    ).split(),
     ("cyrillic", "m"): "Иван Сергей Алексей Дмитрий Андрей Николай Михаил Владимир Павел Олег".split(),
     ("cyrillic", "f"): "Анна Мария Елена Ольга Наталья Татьяна Ирина Светлана Екатерина Юлия".split(),
     ("greek", "m"): "Γιώργος Νίκος Δημήτρης Κώστας Γιάννης Παναγιώτης".split(),
@@ -73,7 +105,7 @@ _SYLLABLES = {
     "cyrillic": "ба бер вол гор дем кар лен мар нов пет ров сав тим фед чер".split(),
     "greek": "βα γιω δη καρ λα μα νικ πα ρο σα τζι φω".split(),
 }
-_ENDS = {("cyrillic", "m"): "ов", ("cyrillic", "f"): "ова", ("greek", "m"): "ίδης", ("greek", "f"): "ίδου"}
+_GIVEN_ENDS = {("latin", "m"): "o", ("latin", "f"): "a", ("cyrillic", "m"): "слав", ("cyrillic", "f"): "ина", ("greek", "m"): "ος", ("greek", "f"): "α"}
 
 
 def script_of(text: str) -> str:
@@ -112,10 +144,13 @@ def mentions(text: str) -> list[tuple[int, int, str]]:
             for x in pattern.finditer(text, lo, hi):
                 if kind == "ipv4" and any(int(o) > 255 for o in x[0].split(".")):
                     continue
+                if kind == "card" and not luhn("".join(filter(str.isdigit, x[0]))):
+                    continue
                 found.append((*x.span(), kind))
     if "=" in text or ":" in text:
         for m in _ASSIGNED.finditer(text):
-            if _KEYWORD.search(text, max(0, m.start() - 24), m.start()):
+            # a row of marks only stands in for a secret and isn't one
+            if any(map(str.isalnum, m[1])) and _KEYWORD.search(text, max(0, m.start() - 24), m.start()):
                 found.append((*m.span(1), "secret"))
         if ":" in text or "-" in text:
             found += [(*m.span(), "mac") for m in _MAC.finditer(text)]
@@ -136,8 +171,14 @@ def mentions(text: str) -> list[tuple[int, int, str]]:
         head = parts[0][1].rstrip(".").lower()
         if head in TITLES:
             name = parts[1:]
-        elif head in _KNOWN and not parts[0][1].endswith("."):
+        elif parts[0][1].endswith("."):
+            continue
+        elif head in _KNOWN:
             name = parts[:2]
+        elif _CUE.search(text, max(0, m.start() - 30), m.start()):
+            name = parts
+        elif _own_address(text, m.end(), parts):
+            name = parts
         else:
             continue
         last = name[-1][0] + len(name[-1][1].rstrip("-'’"))
@@ -154,23 +195,33 @@ def mentions(text: str) -> list[tuple[int, int, str]]:
 # ---------------------------------------------------------------------------------------------------------------------
 # surrogates
 
+#: Draws after which a surrogate leaves its format's length.
+WIDEN = 8
+#: Endings of family names whose feminine form is told by its ending: (masculine, feminine).
+_FORMS = {"cyrillic": (("ов", "ова"), ("ев", "ева"), ("ин", "ина")), "greek": (("ίδης", "ίδου"), ("άκης", "άκη"), ("όπουλος", "οπούλου"))}
+
+
+def _family(word: str) -> tuple[str, bool]:
+    """The form under which a family is known, and whether the word is its feminine form."""
+    for masculine, feminine in _FORMS.get(script_of(word), ()):
+        if word.endswith(feminine) and len(word) > len(feminine) + 1:
+            return word[: -len(feminine)] + masculine, True
+    return word, False
+
 
-def canonical(kind: str, mention: str, before: str = "") -> str:
-    """The form under which mentions of one entity meet. before: the text ahead, of which a title tells a name's gender."""
+def parts(kind: str, mention: str, before: str = "") -> list[tuple[str, str, str]]:
+    """(kind, canonical form, gender) of the entities that a mention is made of. before: the text ahead, of which a title tells a name's
+    gender."""
     if kind in ("card", "phone", "ssn", "iban", "mac"):
         plus = "+" if kind == "phone" and mention.startswith("+") else ""
-        return plus + "".join(c for c in mention if c.isalnum()).lower()
+        return [(kind, plus + "".join(c for c in mention if c.isalnum()).lower(), "")]
     if kind == "name":
-        return f"{_gender(mention, before)}:{' '.join(mention.lower().split())}"
-    return mention if kind == "secret" else mention.lower()
-
-
-def _gender(name: str, before: str) -> str:
-    first = name.split()[0].lower()
-    if first in _KNOWN:
-        return _KNOWN[first][1]
-    title = re.search(r"([^\W\d_]+)\.? +\Z", before)
-    return TITLES.get(title[1].lower(), "") if title else ""
+        words = mention.lower().split()
+        given = len(words) > 1 or words[0] in _KNOWN
+        title = re.search(r"([^\W\d_]+)\.? +\Z", before)
+        gender = _KNOWN[words[0]][1] if words[0] in _KNOWN else TITLES.get(title[1].lower(), "") if title else ""
+        return [("given", words[0], gender)] * given + [("family", _family(w)[0], "") for w in words[given:]]
+    return [(kind, mention if kind == "secret" else mention.lower(), "")]
 
 
 class Stream:
@@ -209,123 +260,149 @@ def _alike(text: str, s: Stream, hexadecimal: bool = False) -> str:
     return "".join(out)
 
 
-def surrogate(kind: str, canon: str, attempt: int = 0, key: bytes = KEY) -> str:
-    """The canonical form of the surrogate, as long as the original but for names."""
+def surrogate(kind: str, canon: str, attempt: int, key: bytes, gender: str = "") -> str:
+    """The canonical form of the surrogate; as long as the original but for names, up to the draw at which it has to grow."""
     s = Stream(key, f"{kind}\0{canon}", attempt)
+    wide = max(0, attempt - WIDEN + 1)  # letters or digits to add
     if kind == "email":
         local, _, domain = canon.rpartition("@")
         host, dot, top = domain.rpartition(".")
-        return f"{_alike(local, s)}@{_alike(host, Stream(key, f'domain{chr(0)}{domain}', 0))}{dot}{top}"
+        return f"{_alike(local + 'a' * wide, s)}@{_alike(host, Stream(key, f'domain{chr(0)}{domain}', 0))}{dot}{top}"
     if kind == "ipv4":
-        if attempt >= 8:  # few addresses of this shape are left
-            return ".".join(str(1 + s.below(254)) for _ in range(4))
+        if attempt >= WIDEN:  # few addresses of this shape are left, and later few of any
+            return ".".join(str(1 + s.below(254)) for _ in range(4 + max(0, wide - WIDEN)))
         spans = {1: (1, 9), 2: (10, 90), 3: (100, 155)}
         return ".".join(str((lo := spans[min(len(o), 3)])[0] + s.below(lo[1])) for o in canon.split("."))
     if kind == "card":
-        body = canon[0] + _alike(canon[1:], s)
+        body = canon[0] + _alike(canon[1:] + "0" * wide, s)
         if luhn(canon):
             body = next(body[:-1] + d for d in "0123456789" if luhn(body[:-1] + d))
         return body
     if kind == "phone":
         head = 2 if canon.startswith("+") else 1 if canon.startswith("0") else 0
-        return canon[:head] + _alike(canon[head:], s)
+        return canon[:head] + _alike(canon[head:] + "0" * wide, s)
     if kind == "iban":
-        body = canon[:2].upper() + "00" + _alike(canon[4:], s).upper()
+        body = canon[:2].upper() + "00" + _alike(canon[4:] + "0" * wide, s).upper()
         return (body[:2] + f"{98 - _mod97(body):02d}" + body[4:]).lower()
-    if kind in ("mac", "ipv6"):
-        return _alike(canon, s, hexadecimal=True)
+    if kind in ("mac", "ipv6", "ssn"):
+        return _alike(canon + "0" * wide, s, hexadecimal=True)
     if kind == "secret":
         if canon.startswith("-----BEGIN"):
             head, _, rest = canon.partition("KEY-----")
             body, _, tail = rest.rpartition("-----END")
-            return f"{head}KEY-----{_alike(body, s)}-----END{tail}"
+            if not any(map(str.isalnum, body)):
+                wide += 16  # nothing in it can change
+            return f"{head}KEY-----{_alike(body + 'a' * wide, s)}-----END{tail}"
         head = re.match(r"AKIA|gh[pousr]_|sk-|xox[abprs]-|eyJ|", canon)[0]
         rest = canon[len(head) :]
-        return head + _alike(rest, s, hexadecimal=re.fullmatch("[0-9a-fA-F]+", rest) is not None)
-    gender, _, name = canon.partition(":")
-    script, words = script_of(name), name.split()
-    out = []
-    if len(words) > 1 or words[0] in _KNOWN:
-        names = GIVEN[script, gender or "mf"[s.below(2)]]
-        out.append(names[s.below(len(names))].lower())
-    for word in words[len(out) :]:  # a family name has one surrogate, whoever bears it
-        s = Stream(key, f"family\0{word}", attempt // 4)
-        made = "".join(_SYLLABLES[script][s.below(len(_SYLLABLES[script]))] for _ in range(2 + s.below(2) + attempt // 4))
-        out.append(made + _ENDS.get((script, gender), ""))
-    return f"{gender}:{' '.join(out)}"
-
-
-def render(kind: str, mention: str, made: str) -> str:
-    """The surrogate in the mention's own writing: its separators and its upper case."""
+        if not any(map(str.isalnum, rest)):
+            wide += 16
+        return head + _alike(rest + "a" * wide, s, hexadecimal=re.fullmatch("[0-9a-fA-F]+", rest) is not None)
+    script = script_of(canon)
+    if kind == "given":
+        gender = gender or "mf"[s.below(2)]
+        if attempt < WIDEN // 2:
+            names = GIVEN[script, gender]
+            return names[s.below(len(names))].lower()
+        return "".join(_SYLLABLES[script][s.below(len(_SYLLABLES[script]))] for _ in range(1 + attempt // 4)) + _GIVEN_ENDS[script, gender]
+    made = "".join(_SYLLABLES[script][s.below(len(_SYLLABLES[script]))] for _ in range(2 + s.below(2) + attempt // 4))
+    return made + (_FORMS[script][0][0] if script in _FORMS else "")
+
+
+def render(kind: str, mention: str, made: list[str]) -> str:
+    """The surrogate in the mention's own writing: its separators, its upper case, a family name's feminine form."""
     if kind == "name":
-        words = made.partition(":")[2].split()
-        shout = mention.isupper()
-        return " ".join(w.upper() if shout else w[:1].upper() + w[1:] for w in words)
+        words, out = mention.split(), []
+        for word, new in zip(words, made, strict=True):
+            script = script_of(new)
+            if (word is not words[0] or len(words) == 1) and script in _FORMS and _family(word.lower())[1]:
+                masculine, feminine = _FORMS[script][0]
+                new = new.removesuffix(masculine) + feminine
+            out.append(new.upper() if mention.isupper() else new[:1].upper() + new[1:])
+        return " ".join(out)
+    new = made[0]
     if kind == "secret":
-        return made
-    if len(made) == len(mention):
-        return "".join(b.upper() if a.isupper() else b for a, b in zip(mention, made, strict=True))
-    rest = iter(made.lstrip("+"))
+        return new
+    if len(new) == len(mention):
+        return "".join(b.upper() if a.isupper() else b for a, b in zip(mention, new, strict=True))
+    if kind in ("ipv4", "ipv6", "email"):
+        return new
+    rest = iter(new.lstrip("+"))
     out = [next(rest, "") if a.isalnum() else a for a in mention]
-    text = "".join(c.upper() if a.isupper() else c for a, c in zip(mention, out, strict=True))
-    return text + "".join(rest) if kind != "ipv4" else made
+    return "".join(c.upper() if a.isupper() else c for a, c in zip(mention, out, strict=True)) + "".join(rest)
+
+
+def session_key(spark: SparkSession) -> bytes:
+    """The key that the session's setting names, or a fresh one for this application if none is set: no key stands in the library."""
+    told = spark.conf.get(KEY_SETTING, None)
+    return told.encode() if told else _FRESH.setdefault(spark.sparkContext.applicationId, secrets.token_bytes(32))
 
 
-def entities(docs: DataFrame, id_column: str = "doc_id", text: str = "text") -> DataFrame:
-    """(kind, canon) of every distinct entity of the corpus."""
+_FRESH: dict[str, bytes] = {}
+
+
+def entities(docs: DataFrame, text: str = "text") -> DataFrame:
+    """(kind, canon, gender) of every distinct entity of the corpus. gender: of given names, by list or a title."""
 
     def make():
         def run(batch):
-            seen = {}
-            for t in batch.column(1).to_pylist():
+            seen = set()
+            for t in batch.column(0).to_pylist():
                 if t:
                     for a, b, kind in mentions(t):
-                        seen[kind, canonical(kind, t[a:b], t[max(0, a - 24) : a])] = None
-            return pa.RecordBatch.from_arrays([pa.array([k for k, _ in seen], pa.string()), pa.array([c for _, c in seen], pa.string())], ["kind", "canon"])
+                        seen.update(parts(kind, t[a:b], t[max(0, a - 24) : a]))
+            cols = list(zip(*seen, strict=True)) if seen else [[]] * 3
+            return pa.RecordBatch.from_arrays([pa.array(c, pa.string()) for c in cols], ["kind", "canon", "gender"])
 
         return run
 
-    return arrow_map(docs.select(id_column, text), "kind string, canon string", make).distinct()
+    found = arrow_map(docs.select(F.col(f"`{text}`").alias("text")), "kind string, canon string, gender string", make, 0)
+    return found.groupBy("kind", "canon").agg(F.max("gender").alias("gender"))
 
 
-def assign(found: DataFrame, key: bytes = KEY, rows: int | None = None) -> DataFrame:
-    """(kind, canon, attempt, made): a surrogate for each entity, no two alike within a kind and none that occurs itself. rows: about how
-    many entities there are, for the number of files."""
+def assign(found: DataFrame, key: bytes, rows: int | None = None) -> DataFrame:
+    """(kind, canon, gender, attempt, made): a surrogate for each entity, no two alike within a kind, and none that occurs itself (but for
+    given names). rows: about how many entities there are, for the number of files."""
 
     def make():
         def run(batch):
-            kind, canon, attempt = (batch.column(i).to_pylist() for i in range(3))
-            made = [surrogate(*x, key) for x in zip(kind, canon, attempt, strict=True)]
-            return pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.array(made, pa.string())], ["kind", "canon", "attempt", "made"])
+            kind, canon, gender, attempt = (batch.column(i).to_pylist() for i in range(4))
+            made = [surrogate(k, c, n, key, g) for k, c, g, n in zip(kind, canon, gender, attempt, strict=True)]
+            return pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(4)), pa.array(made, pa.string())], ["kind", "canon", "gender", "attempt", "made"])
 
         return run
 
+    columns = ["kind", "canon", "gender", "attempt"]
+
     def draw(df: DataFrame) -> DataFrame:
-        return arrow_map(df.select("kind", "canon", "attempt"), "kind string, canon string, attempt int, made string", make)
+        return arrow_map(df.select(*columns), "kind string, canon string, gender string, attempt int, made string", make)
 
-    real = compact(cut(found.select("kind", "canon"), rows))
-    table = compact(cut(draw(real.select("kind", "canon", F.lit(0).alias("attempt"))), rows))
+    real = compact(cut(found.select("kind", "canon", "gender"), rows))
+    table = compact(cut(draw(real.withColumn("attempt", F.lit(0))), rows))
     while True:
         # the entity that keeps a shared surrogate is the smallest of those drawn earliest, so that settled ones stay settled
         firsts = table.groupBy("kind", "made").agg(F.min(F.struct("attempt", "canon")).alias("first"), F.count("*").alias("n")).where("n > 1")
         shared = table.join(firsts, ["kind", "made"]).where("canon != first.canon").select("kind", "canon")
-        occurs = table.join(real.withColumnRenamed("canon", "made"), ["kind", "made"], "left_semi").select("kind", "canon")
+        occurs = table.where("kind != 'given'").join(real.select("kind", F.col("canon").alias("made")), ["kind", "made"], "left_semi").select("kind", "canon")
         again = compact(cut(shared.unionByName(occurs).distinct(), rows))
         if again.isEmpty():
             return table
         old = table.join(again, ["kind", "canon"], "left_semi").withColumn("attempt", F.col("attempt") + 1)
-        table = compact(cut(table.join(again, ["kind", "canon"], "left_anti").select("kind", "canon", "attempt", "made").unionByName(draw(old)), rows))
+        table = compact(cut(table.join(again, ["kind", "canon"], "left_anti").select(*columns, "made").unionByName(draw(old)), rows))
 
 
-def replace_text(text: str, attempts: dict[tuple[str, str], int], key: bytes = KEY) -> tuple[str, list[tuple[int, int, str]]]:
-    """The text with surrogates, and where they stand in it."""
+def replace_text(text: str, drawn: dict[tuple[str, str], tuple[int, str]], key: bytes) -> tuple[str, list[tuple[int, int, str]]]:
+    """The text with surrogates, and where they stand in it. drawn: attempt and gender of entities whose are not 0 and their own."""
     found = mentions(text)
     if not found:
         return text, []
     out, spans, at, size = [], [], 0, 0
     for a, b, kind in found:
-        canon = canonical(kind, text[a:b], text[max(0, a - 24) : a])
-        new = render(kind, text[a:b], surrogate(kind, canon, attempts.get((kind, canon), 0), key))
+        made = []
+        for k, canon, gender in parts(kind, text[a:b], text[max(0, a - 24) : a]):
+            attempt, told = drawn.get((k, canon), (0, gender))
+            made.append(surrogate(k, canon, attempt, key, told))
+        new = render(kind, text[a:b], made)
         out += [text[at:a], new]
         size += a - at
         spans.append((size, size + len(new), kind))
@@ -334,45 +411,55 @@ def replace_text(text: str, attempts: dict[tuple[str, str], int], key: bytes = K
     return "".join([*out, text[at:]]), spans
 
 
-def pseudonymise(docs: DataFrame, key: bytes = KEY, id_column: str = "doc_id", text: str = "text", spans: bool = True) -> DataFrame:
-    """All rows with all their columns, texts with surrogates; with `spans` also n_entities and entities (start, end, kind in the
+def _unused(name: str, taken: list[str]) -> str:
+    while name.lower() in {x.lower() for x in taken}:
+        name += "_"
+    return name
+
+
+def pseudonymise(docs: DataFrame, key: bytes, text: str = "text", spans: bool = True) -> DataFrame:
+    """All rows with all their columns, texts with surrogates; with `spans` also n_entities and entities (start, stop, kind in the
     new text)."""
-    drawn = assign(entities(docs, id_column, text), key, docs.count()).where("attempt > 0").select("kind", "canon", "attempt")
+    drawn = assign(entities(docs, text), key, docs.count()).where("attempt > 0 or (kind = 'given' and gender != '')").select("kind", "canon", "attempt", "gender")
     n = drawn.count()
-    column = docs.columns.index(text)
-    schema = docs.schema
-    names = docs.columns
+    column, width = docs.columns.index(text), len(docs.columns)
     at = pa.list_(pa.struct([("start", pa.int64()), ("stop", pa.int64()), ("kind", pa.string())]))
+    fields = list(docs.schema.fields)
     if spans:
-        schema = f"{', '.join(f'`{f.name}` {f.dataType.simpleString()}' for f in docs.schema)}, n_entities long, entities array<struct<start:long,stop:long,kind:string>>"
-        names = [*names, "n_entities", "entities"]
+        span = T.StructType([T.StructField("start", T.LongType()), T.StructField("stop", T.LongType()), T.StructField("kind", T.StringType())])
+        fields += [T.StructField(_unused("n_entities", docs.columns), T.LongType()), T.StructField(_unused("entities", docs.columns), T.ArrayType(span))]
+    schema = T.StructType(fields)
     few = n <= BROADCAST_ROWS
-    shared = docs.sparkSession.sparkContext.broadcast({(r[0], r[1]): r[2] for r in drawn.collect()} if few else {})
-    if not few:  # each document gets the clashes among its own entities
+    shared = docs.sparkSession.sparkContext.broadcast({(r[0], r[1]): (r[2], r[3]) for r in drawn.collect()} if few else {})
+    source = docs
+    if not few:  # each text gets the clashes among its own entities; texts are told by their digest, so ids may be null or repeat
+        digest, lists = _unused("digest", docs.columns), _unused("drawn", docs.columns)
 
         def own():
             def run(batch):
-                rows = {(i, kind, canonical(kind, t[a:b], t[max(0, a - 24) : a])) for i, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True) if t for a, b, kind in mentions(t)}
+                rows = {(d, k, c) for d, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True) if t for a, b, kind in mentions(t) for k, c, _ in parts(kind, t[a:b], t[max(0, a - 24) : a])}
                 cols = list(zip(*rows, strict=True)) if rows else [[]] * 3
-                return pa.RecordBatch.from_arrays([pa.array(cols[0], batch.column(0).type), pa.array(cols[1], pa.string()), pa.array(cols[2], pa.string())], [id_column, "kind", "canon"])
+                return pa.RecordBatch.from_arrays([pa.array(c, pa.string()) for c in cols], [digest, "kind", "canon"])
 
             return run
 
-        pairs = arrow_map(docs.select(id_column, text), f"{id_column} {dict(docs.dtypes)[id_column]}, kind string, canon string", own)
-        lists = pairs.distinct().join(drawn, ["kind", "canon"]).groupBy(id_column).agg(F.collect_list(F.struct("kind", "canon", "attempt")).alias("__drawn"))
-        docs = docs.join(lists, id_column, "left").select(*docs.columns, "__drawn")
+        of = F.sha2(F.col(f"`{text}`").cast("binary"), 256)
+        pairs = arrow_map(docs.select(of.alias(digest), F.col(f"`{text}`").alias("text")), f"`{digest}` string, kind string, canon string", own)
+        tables = pairs.distinct().join(drawn, ["kind", "canon"]).groupBy(digest).agg(F.collect_list(F.struct("kind", "canon", "attempt", "gender")).alias(lists))
+        source = docs.withColumn(digest, of).join(tables, digest, "left")  # the digest, the rows' columns, the lists
+    shift = 0 if few else 1
 
     def make():
         def run(batch):
-            texts = batch.column(column).to_pylist()
-            lists = [None] * len(texts) if few else batch.column(batch.num_columns - 1).to_pylist()
-            made = [(t, []) if not t else replace_text(t, shared.value if few else {(x["kind"], x["canon"]): x["attempt"] for x in drawn or ()}, key) for t, drawn in zip(texts, lists, strict=True)]
-            cols = [batch.column(i) for i in range(batch.num_columns - (not few))]
+            texts = batch.column(column + shift).to_pylist()
+            own = [None] * len(texts) if few else batch.column(batch.num_columns - 1).to_pylist()
+            made = [(t, []) if not t else replace_text(t, shared.value if few else {(x["kind"], x["canon"]): (x["attempt"], x["gender"]) for x in table or ()}, key) for t, table in zip(texts, own, strict=True)]
+            cols = [batch.column(i + shift) for i in range(width)]
             cols[column] = pa.array([m[0] for m in made], cols[column].type)
             if spans:
                 cols += [pa.array([len(m[1]) for m in made], pa.int64()), pa.array([[{"start": a, "stop": b, "kind": k} for a, b, k in m[1]] for m in made], at)]
-            return pa.RecordBatch.from_arrays(cols, names)
+            return pa.RecordBatch.from_arrays(cols, schema.names)
 
         return run
 
-    return arrow_map(docs, schema, make, column)
+    return arrow_map(source, schema, make, column + shift)

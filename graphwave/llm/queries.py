@@ -34,7 +34,7 @@ def op5_quality_rules(spark, sf_dir):
 
 
 def op6_pii_surrogates(spark, sf_dir):
-    return pii.pseudonymise(documents(spark, sf_dir, "doc_id", "text"))
+    return pii.pseudonymise(documents(spark, sf_dir, "doc_id", "text"), pii.session_key(spark))
 
 
 def op7_quality_lm(spark, sf_dir):

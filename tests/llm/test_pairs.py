@@ -230,7 +230,7 @@ def test_pipeline_equals_brute_force(spark, tiny, tmp_path):
     expected = {}
     for i, t in texts.items():
         if i not in leaked:
-            new, _ = pii.replace_text(t, {})
+            new, _ = pii.replace_text(t, {}, key)
             expected[i] = (hashlib.sha256(",".join(map(str, library.encode_ordinary(new))).encode()).hexdigest(), hashlib.sha256(new.encode()).hexdigest())
     got = {r["doc_id"]: (r["ids_sha256"], r["decoded_sha256"]) for r in corpus_pipeline.run(spark, tiny).collect()}
     assert got == expected
