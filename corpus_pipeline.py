@@ -28,7 +28,7 @@ def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def replace_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts get surrogates for personal data."""
-    return pii.pseudonymise(docs, spans=False)
+    return pii.pseudonymise(docs, pii.session_key(spark), spans=False)
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
