@@ -30,7 +30,7 @@ def op4_token_counts(spark, sf_dir):
 
 def op5_quality_rules(spark, sf_dir):
     docs = documents(spark, sf_dir, "doc_id", "text", "lang")
-    return quality_rules.judge(docs, quality_rules.fit(docs))
+    return quality_rules.judge(docs)
 
 
 def op6_pii_surrogates(spark, sf_dir):
