@@ -34,75 +34,72 @@ class Wah:
     def longest(self) -> int:
         return (1 << (self.width - (1 if self.zero_only else 2))) - 1
 
-    def words(self, slots: np.ndarray, n_bits: int) -> list[int]:
-        g = self.group
+    def array(self, slots: np.ndarray, n_bits: int) -> np.ndarray:
+        """The words of a set of sorted slots, in time proportional to its size and not to n_bits."""
+        g, top = self.group, np.uint64(1 << (self.width - 1))
         full, rest = divmod(n_bits, g)
-        bits = to_bits(slots, n_bits)
-        weights = [1 << (g - 1 - i) for i in range(g)]
-        values = _group_values(bits[: full * g], g)
-        out: list[int] = []
-        ones = (1 << g) - 1
-        kind = np.where(values == 0, 0, np.where((values == ones) & (not self.zero_only), 1, 2)) if full else np.zeros(0, dtype=int)
-        i = 0
-        edges = np.flatnonzero(np.diff(kind)) + 1 if full else []
-        for j in [*edges, full]:
-            if j == i:
-                continue
-            if kind[i] == 2:
-                out += [int(v) for v in values[i:j]]
-            else:
-                n = int(j - i)
-                while n > 0:
-                    part = min(n, self.longest)
-                    head = 1 << (self.width - 1)
-                    if not self.zero_only:
-                        head |= int(kind[i]) << (self.width - 2)
-                    out.append(int(head | part))
-                    n -= part
-            i = j
+        slots = np.asarray(slots, dtype=np.int64)
+        body = slots[: np.searchsorted(slots, full * g)]
+        grp = body // g
+        first = np.flatnonzero(np.concatenate(([True], grp[1:] != grp[:-1]))) if len(grp) else np.zeros(0, np.int64)
+        bit = np.uint64(1) << (np.uint64(g - 1) - (body % g).astype(np.uint64))
+        value = np.bitwise_or.reduceat(bit, first) if len(first) else np.zeros(0, np.uint64)
+        at = grp[first]
+        ones = (value == np.uint64((1 << g) - 1)) & (not self.zero_only)
+        # what stands there, in order: (place, 0 zero fill / 1 one fill / 2 literal, groups, value)
+        gap = np.diff(np.concatenate(([-1], at, [full]))) - 1  # zero groups before each, and behind the last
+        begins = ones & ~np.concatenate(([False], ones[:-1] & (gap[1:-1] == 0)))[: len(ones)] if len(ones) else ones
+        run = np.cumsum(begins) - 1
+        length = np.bincount(run[ones], minlength=int(begins.sum())) if begins.any() else np.zeros(0, np.int64)
+        keep = begins | ~ones
+        kinds = np.where(ones[keep], 1, 2)
+        groups = np.ones(int(keep.sum()), np.int64)
+        groups[kinds == 1] = length
+        holes = np.append(gap[:-1][keep], gap[-1])
+        kind = np.empty(2 * len(kinds) + 1, np.int64)
+        count, val = np.empty_like(kind), np.zeros(len(kind), np.uint64)
+        kind[::2], kind[1::2] = 0, kinds
+        count[::2], count[1::2] = holes, groups
+        val[1::2] = value[keep]
+        there = count > 0
+        kind, count, val = kind[there], count[there], val[there]
+        times = np.where(kind == 2, 1, -(-count // self.longest))
+        last = np.cumsum(times) - 1
+        kind, val, part = np.repeat(kind, times), np.repeat(val, times), np.full(int(times.sum()), self.longest, np.int64)
+        part[last] = count - (times - 1) * self.longest
+        head = top | (np.uint64(0) if self.zero_only else (kind == 1).astype(np.uint64) << np.uint64(self.width - 2))
+        out = np.where(kind == 2, val, head | part.astype(np.uint64))
         if rest:
-            tail = bits[full * g :]
-            out.append(sum(w for w, b in zip(weights[g - rest :], tail, strict=True) if b))
-        return out
+            tail = slots[len(body) :] - full * g
+            out = np.append(out, (np.uint64(1) << (rest - 1 - tail).astype(np.uint64)).sum(dtype=np.uint64))
+        return out.astype(np.uint64)
 
-    def slots(self, words: list[int], n_bits: int) -> np.ndarray:
+    def words(self, slots: np.ndarray, n_bits: int) -> list[int]:
+        return self.array(slots, n_bits).tolist()
+
+    def slots(self, words, n_bits: int) -> np.ndarray:
         g = self.group
         full, rest = divmod(n_bits, g)
-        found, at = [], 0
-        body = words[:-1] if rest else words
-        count = (1 << (self.width - 1 if self.zero_only else self.width - 2)) - 1
-        for w in body:
-            if w >> (self.width - 1):
-                n = w & count
-                if not self.zero_only and w >> (self.width - 2) & 1:
-                    found.append(np.arange(at * g, (at + n) * g))
-                at += n
-            else:
-                found.append(at * g + _set_bits(w, g))
-                at += 1
-        if rest:
-            found.append(full * g + _set_bits(words[-1], rest))
-        return np.concatenate(found).astype(np.int64) if found else np.zeros(0, dtype=np.int64)
+        words = np.asarray(words, dtype=np.uint64)
+        body, tail = (words[:-1], words[-1:]) if rest else (words, words[:0])
+        fill = (body >> np.uint64(self.width - 1)).astype(bool)
+        groups = np.where(fill, body & np.uint64(self.longest), np.uint64(1)).astype(np.int64)
+        at = np.cumsum(groups) - groups
+        one = fill & ((body >> np.uint64(self.width - 2) & np.uint64(1)).astype(bool) if not self.zero_only else False)
+        n = groups[one] * g
+        parts = [np.repeat(at[one] * g - (np.cumsum(n) - n), n) + np.arange(n.sum())]
+        for values, start, width in ((body[~fill], at[~fill] * g, g), (tail, np.full(len(tail), full * g), rest)):
+            bits = np.unpackbits(values.astype(">u8").view(np.uint8)).reshape(-1, 64)[:, 64 - width :] if width else np.zeros((0, 1), np.uint8)
+            row, place = np.nonzero(bits)
+            parts.append(start[row] + place)
+        found = np.concatenate(parts).astype(np.int64)
+        return np.sort(found) if len(parts[0]) else found
 
     def encode(self, slots: np.ndarray, n_bits: int) -> bytes:
-        size = max(self.width // 8, 1)
-        return b"".join(w.to_bytes(size, "big") for w in self.words(slots, n_bits))
+        return self.array(slots, n_bits).astype(f">u{self.width // 8}").tobytes()
 
     def decode(self, payload: bytes, n_bits: int) -> np.ndarray:
-        size = max(self.width // 8, 1)
-        return self.slots([int.from_bytes(payload[i : i + size], "big") for i in range(0, len(payload), size)], n_bits)
-
-
-def _group_values(bits: np.ndarray, g: int) -> np.ndarray:
-    if not len(bits):
-        return np.zeros(0, dtype=np.uint64)
-    padded = np.zeros((len(bits) // g, 64), dtype=np.uint8)
-    padded[:, 64 - g :] = bits.reshape(-1, g)
-    return np.packbits(padded, axis=1).view(">u8").ravel().astype(np.uint64)
-
-
-def _set_bits(word: int, width: int) -> np.ndarray:
-    return np.array([i for i in range(width) if word >> (width - 1 - i) & 1], dtype=np.int64)
+        return self.slots(np.frombuffer(payload, dtype=f">u{self.width // 8}"), n_bits)
 
 
 def wah_logical(a: list[int], b: list[int], n_bits: int, op: str, wah: Wah) -> list[int]:

@@ -1,4 +1,4 @@
-"""Messages between blocks: packing, all-gather, all-to-all, pull, rendezvous and coalescing, and the ledger of bytes."""
+"""Encoders as column functions, and the ledgers of what searches send: all-gather, all-to-all, pull, rendezvous, coalescing, grid."""
 
 from __future__ import annotations
 
@@ -9,11 +9,9 @@ from pyspark.sql import functions as F
 
 from ..functions.codecs import CODECS
 from ..functions import sizes
-from .directory import all_pairs, sieve
+from .directory import all_pairs
 from .layout import GraphLayout
 
-LEDGER = "level long, owner_block long, needer_block long, n_set long, raw_bytes long, bytes long"
-
 
 def encoder(codec: str):
     encode, _ = CODECS[codec]
@@ -35,41 +33,6 @@ def decoder(codec: str):
     return run
 
 
-def pack(g: GraphLayout, frontier: DataFrame, codec: str, needs: DataFrame | None = None) -> DataFrame:
-    """(owner_block, needer_block, n_bits, n_set, payload): each owner's frontier, once for all (needer null) or, with a directory, what
-    each needer can use of it. A message holds the slots of one block, so its size is bounded by the block's."""
-    b = g.size
-    if needs is None:
-        rows = frontier.select(F.floor(F.col("vid") / b).cast("long").alias("owner_block"), F.lit(None).cast("long").alias("needer_block"), F.pmod(F.col("vid"), F.lit(b)).cast("long").alias("slot"))
-    else:
-        rows = sieve(g, frontier, needs).select("owner_block", "needer_block", "slot")
-    packed = rows.groupBy("owner_block", "needer_block").agg(F.array_sort(F.collect_list("slot")).alias("slots"), F.count("*").alias("n_set"))
-    n_bits = F.least(F.lit(b).cast("long"), F.lit(g.n).cast("long") - F.col("owner_block") * b)
-    packed = packed.withColumn("n_bits", n_bits)
-    return packed.select("owner_block", "needer_block", "n_bits", "n_set", encoder(codec)("slots", "n_bits").alias("payload"))
-
-
-def deliver(g: GraphLayout, messages: DataFrame, broadcast_all: bool) -> DataFrame:
-    """The messages at their needers, in one exchange by needer_block. broadcast_all: a copy for every block (all-gather)."""
-    if broadcast_all:
-        messages = messages.withColumn("needer_block", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(g.blocks - 1).cast("long"))))
-    return messages.repartition("needer_block")
-
-
-def unpack(g: GraphLayout, delivered: DataFrame, codec: str) -> DataFrame:
-    """(needer_block, src) of every member of every delivered message."""
-    slots = F.explode(decoder(codec)("payload", "n_bits"))
-    return delivered.select("needer_block", "owner_block", slots.alias("slot")).select("needer_block", (F.col("owner_block") * g.size + F.col("slot")).alias("src"))
-
-
-def message_ledger(messages: DataFrame, g: GraphLayout, level: int, broadcast_all: bool) -> DataFrame:
-    """Ledger rows of the payloads themselves; what a block keeps for itself isn't counted. Blocks without members send nothing here;
-    the set-lane ledger also counts their empty messages."""
-    rows = deliver(g, messages, broadcast_all) if broadcast_all else messages
-    rows = rows.where("owner_block <> needer_block")
-    return rows.select(F.lit(level).cast("long").alias("level"), "owner_block", "needer_block", F.col("n_set").cast("long").alias("n_set"), sizes.bitmap_bytes(F.col("n_bits")).alias("raw_bytes"), F.octet_length("payload").cast("long").alias("bytes"))
-
-
 # ---------------------------------------------------------------------------------------------------------------------
 # ledgers from a finished tree: what is sent follows from level sets, blocks and directory alone
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -23,23 +24,36 @@ def combine(candidates: DataFrame, how: str = "max") -> DataFrame:
     return candidates.groupBy(F.col("dst").alias("vid")).agg(agg.alias("parent"))
 
 
+def _value(semiring: str):
+    """What an edge makes of a value: paths get longer by one."""
+    return F.col("val") + 1 if semiring in ("max_plus", "min_plus") else F.col("val")
+
+
+def dealt_by_need(g: GraphLayout) -> DataFrame:
+    """(src, needer_block, dst): the edges dealt by source and needer, as sieved values arrive; made once."""
+    held = g.extra.get("by_need")
+    if held is None:
+        rows = g.edges.select("src", F.floor(F.col("dst") / g.size).cast("long").alias("needer_block"), "dst")
+        parts = max(1, g.edges.rdd.getNumPartitions())
+        held = g.extra["by_need"] = rows.repartition(parts, "src", "needer_block").persist(StorageLevel.MEMORY_AND_DISK)
+    return held
+
+
 def spmv(g: GraphLayout, x: DataFrame, semiring: str = "plus_times", sieved: bool = False, needs: DataFrame | None = None) -> DataFrame:
     """(vid, y) for x(vid, val): y at a row combines val of its neighbours (plus 1 for the semirings of path lengths). sieved: x is first
-    cut to what the directory says is needed, which changes nothing but what is sent."""
+    cut to what the directory says is needed, which changes nothing but what is sent; the edges stay where they are."""
     if sieved:
-        kept = sieve(g, x.select("vid", "val"), build_needs(g) if needs is None else needs)
-        pairs = kept.select("vid", "val", "needer_block")
-        b = g.size
-        e = g.edges.withColumn("needer_block", F.floor(F.col("dst") / b).cast("long")).withColumnRenamed("src", "vid")
-        joined = e.join(pairs, ["vid", "needer_block"])
+        edges = dealt_by_need(g)
+        kept = sieve(g, x.select("vid", "val"), build_needs(g) if needs is None else needs).select(F.col("vid").alias("src"), "val", "needer_block")
+        joined = edges.join(kept.repartition(edges.rdd.getNumPartitions(), "src", "needer_block"), ["src", "needer_block"])
     else:
-        joined = g.edges.withColumnRenamed("src", "vid").join(x.select("vid", "val"), "vid")
-    value = F.col("val") + 1 if semiring in ("max_plus", "min_plus") else F.col("val")
-    return joined.groupBy(F.col("dst").alias("vid")).agg(COMBINE[semiring](value).alias("y"))
+        joined = g.edges.join(x.select(F.col("vid").alias("src"), "val"), "src")
+    return joined.groupBy(F.col("dst").alias("vid")).agg(COMBINE[semiring](_value(semiring)).alias("y"))
 
 
 def spmv_many(g: GraphLayout, vectors: DataFrame, semiring: str = "plus_times") -> DataFrame:
-    """(vid, y): the sum over many vectors x(vec_id, vid, val) of the product with each; the vectors meet the matrix in one pass."""
-    joined = g.edges.withColumnRenamed("src", "vid").join(vectors.select("vec_id", "vid", "val"), "vid")
-    each = joined.groupBy("vec_id", F.col("dst").alias("vid")).agg(COMBINE[semiring]("val").alias("y"))
-    return each.groupBy("vid").agg(F.sum("y").alias("y"))
+    """(vid, y): the products with many vectors x(vec_id, vid, val), combined over the vectors as within one; all vectors meet the matrix
+    in one pass."""
+    joined = g.edges.join(vectors.select("vec_id", F.col("vid").alias("src"), "val"), "src")
+    each = joined.groupBy("vec_id", F.col("dst").alias("vid")).agg(COMBINE[semiring](_value(semiring)).alias("y"))
+    return each.groupBy("vid").agg(COMBINE[semiring]("y").alias("y"))

@@ -12,14 +12,23 @@ BROADCAST_ROWS = 200_000
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder for checkpoint(): the cluster's own, or a scratch one where none is configured."""
+    """The folder for checkpoints and written levels: the one that spark.checkpoint.dir names. A local session without it gets a scratch
+    folder; on a cluster the setting is required, since executors don't share local folders."""
     sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
         where = spark.conf.get("spark.checkpoint.dir", None)
+        if where is None and not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         sc.setCheckpointDir(where or f"file:///tmp/checkpoints/{os.getpid()}")
     return sc._jsc.sc().getCheckpointDir().get()
 
 
+def delete(spark: SparkSession, path: str) -> None:
+    """Removes what a run wrote, if it is there."""
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+
+
 def cut(df: DataFrame) -> DataFrame:
     """The same rows, written to the shared folder; later plans start from there, and a lost executor costs no recomputation."""
     shared_dir(df.sparkSession)
