@@ -87,13 +87,6 @@ def _asked(g: GraphLayout, needs: DataFrame) -> DataFrame:
     return turned
 
 
-def forget(g: GraphLayout) -> None:
-    """Frees what searches keep in memory for this graph."""
-    for *_, made in g.extra.pop("program", []):
-        made.unpersist()
-    g.extra.pop("asked", None)
-
-
 # ---------------------------------------------------------------------------------------------------------------------
 # what a block does
 

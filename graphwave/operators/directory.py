@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import sizes
-from ..plans.lineage import cut
+from ..plans.lineage import cut, gated
 from .layout import GraphLayout, fingerprint
 
 
@@ -101,16 +101,21 @@ def needs_counts(g: GraphLayout, edges: DataFrame) -> DataFrame:
 
 
 def apply_edge_delta(g: GraphLayout, counts: DataFrame, added: DataFrame | None, removed: DataFrame | None) -> DataFrame:
-    """The directory after edges came and went; cost goes with the changes. An entry without edges is gone."""
-    parts = [counts]
-    if added is not None:
-        parts.append(needs_counts(g, added))
+    """The directory after edges came and went. The entries stay where they are: they meet the changes, which are counted first and
+    broadcast if they are few. An entry without edges is gone."""
+    parts = [needs_counts(g, added)] if added is not None else []
     if removed is not None:
         parts.append(needs_counts(g, removed).withColumn("edges", -F.col("edges")))
-    out = parts[0]
-    for x in parts[1:]:
-        out = out.unionByName(x)
-    return out.groupBy("needer_block", "owner_block", "slot").agg(F.sum("edges").alias("edges")).where("edges > 0")
+    if not parts:
+        return counts
+    changes = parts[0] if len(parts) == 1 else parts[0].unionByName(parts[1])
+    key = ["needer_block", "owner_block", "slot"]
+    changes = cut(changes.groupBy(*key).agg(F.sum("edges").alias("change")))
+    n = changes.count()
+    kept = counts.join(gated(changes, n), key, "left").select(*key, (F.col("edges") + F.coalesce("change", F.lit(0))).alias("edges"))
+    met = counts.join(gated(changes.select(*key), n), key, "left_semi").select(*key)
+    fresh = changes.join(gated(met, n), key, "left_anti").select(*key, F.col("change").alias("edges"))
+    return kept.unionByName(fresh).where("edges > 0")
 
 
 class Directory:

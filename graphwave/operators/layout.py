@@ -45,6 +45,14 @@ class GraphLayout:
     def spark(self) -> SparkSession:
         return self.edges.sparkSession
 
+    def release(self) -> None:
+        """Frees what is kept in memory for the graph: edges, and what searches dealt from them."""
+        for *_, held in self.extra.pop("program", []):
+            held.unpersist()
+        for key in [k for k in self.extra if k == "by_need" or isinstance(k, tuple)]:
+            self.extra.pop(key).unpersist()
+        self.edges.unpersist()
+
     def blocked(self) -> DataFrame:
         """(src, dst, src_block, src_slot, dst_block, dst_slot)."""
         b = self.size
@@ -74,9 +82,13 @@ def build(found: Tuples, p: int, directed: bool = False, name: str = "") -> Grap
     symmetrised(found.edges, directed).write.parquet(path)
     written = spark.read.schema("src long, dst long").parquet(path)
     m = written.count()
-    parts = max(1, min(int(spark.conf.get("spark.sql.shuffle.partitions", "200")), -(-m // PART_EDGES)))  # few for a small graph
-    edges = written.repartition(parts, "src").persist(StorageLevel.MEMORY_AND_DISK)
-    return GraphLayout(edges, found.edges, found.n, p, found.source, directed, name, m)
+    return GraphLayout(_dealt(written, m), found.edges, found.n, p, found.source, directed, name, m)
+
+
+def _dealt(edges: DataFrame, m: int) -> DataFrame:
+    """Edges by source, kept; a small graph in few partitions."""
+    parts = max(1, min(int(edges.sparkSession.conf.get("spark.sql.shuffle.partitions", "200")), -(-m // PART_EDGES)))
+    return edges.repartition(parts, "src").persist(StorageLevel.MEMORY_AND_DISK)
 
 
 def layout(spark: SparkSession, sf_dir: str, name: str, p: int | None = None) -> GraphLayout:
@@ -102,7 +114,8 @@ def save_layout(g: GraphLayout, path: str) -> None:
 def load_layout(spark: SparkSession, path: str) -> GraphLayout:
     meta = spark.read.parquet(f"{path}/meta").first()
     edges = spark.read.parquet(f"{path}/edges").select("src", "dst")
-    return GraphLayout(edges, spark.read.parquet(f"{path}/tuples"), meta["n"], meta["p"], meta["source"], meta["directed"], meta["name"], edges.count())
+    m = edges.count()
+    return GraphLayout(_dealt(edges, m), spark.read.parquet(f"{path}/tuples"), meta["n"], meta["p"], meta["source"], meta["directed"], meta["name"], m)
 
 
 def relabel(g: GraphLayout, factor: int, shift: int = 17) -> GraphLayout:

@@ -8,14 +8,34 @@ from pyspark.sql import functions as F
 from ..functions import sizes
 from ..functions.codecs import CODECS, Plwah, Wah, huffman_lengths, pack_bitmap, wah_count, wah_logical, wah_not
 from ..operators import exchange as x
-from ..sources.graphs import GRAPHS, KRON_SCALE
+from ..operators.traverse import bfs
+from ..sources.graphs import GRAPHS, KRON_SCALE, LADDER, NAMED, SWEEP
 from ..sources.kronecker import kronecker_edges, kronecker_sql
 from . import costs as c, metrics as k, sqlgen as q
+from .lineage import cut
 from .registry import book, directory, graph, register, run, tree
 
 LEDGERS = {f"{codec}_{kind}": (codec, kind == "sieved") for codec in ("bitmap", "sparse", "wah") for kind in ("allgather", "sieved")}
 BOOK = "SELECT level, owner_block, needer_block, n_set, raw_bytes, bytes FROM book"
 
+
+
+def _sweep(s, sf, codec, sieved, points):
+    """(scale, blocks, raw_bytes, bytes, volume) of searches of Kronecker graphs: of all messages, and of the busiest block."""
+    out = None
+    for scale, p in points:
+        rows = book(s, sf, f"kron{scale}", codec, sieved, p)
+        sums = rows.agg(F.sum("raw_bytes").alias("raw_bytes"), F.sum("bytes").alias("bytes")).join(F.broadcast(c.algorithm_volume(rows).select("volume")))  # one row each
+        one = sums.select(F.lit(scale).cast("long").alias("scale"), F.lit(p).cast("long").alias("blocks"), "raw_bytes", "bytes", "volume")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _sweep_sql(codec, sieved, points):
+    body = "SELECT CAST({k} AS BIGINT) AS scale, CAST({p} AS BIGINT) AS blocks, CAST((SELECT sum(raw_bytes) FROM book) AS BIGINT) AS raw_bytes, CAST((SELECT sum(bytes) FROM book) AS BIGINT) AS bytes, CAST(max(x.s + y.r) AS BIGINT) AS volume FROM (SELECT owner_block AS block, sum(bytes) AS s FROM book GROUP BY 1) x JOIN (SELECT needer_block AS block, sum(bytes) AS r FROM book GROUP BY 1) y USING (block)"
+    return " UNION ALL ".join(f"SELECT * FROM ({q.with_ledger(f'kron{k}', codec, sieved, body.format(k=k, p=p), p)}) at_{k}" for k, p in points)
+
+
 for method, (codec, sieved) in LEDGERS.items():
     for name in ("order_part", "star", "kron", "toy8"):
         register(f"ledger_{method}_{name}", lambda s, sf, name=name, codec=codec, sieved=sieved: book(s, sf, name, codec, sieved), q.with_ledger(name, codec, sieved, BOOK))
@@ -54,12 +74,8 @@ for method, (codec, sieved) in LEDGERS.items():
         q.base("order_part"),
         f"SELECT block, (n + 7) // 8 AS frontier, n_bits * 8 AS candidates, (n_bits + 7) // 8 AS visited, {'(n + 7) // 8 + (n_bits + 7) // 8 * blocks' if sieved else 'CAST(0 AS BIGINT)'} AS directory, (n + 7) // 8 + n_bits * 8 + (n_bits + 7) // 8 + {'(n + 7) // 8 + (n_bits + 7) // 8 * blocks' if sieved else '0'} AS total FROM blk, g, nb",
     ))
-    for p in (2, 16):
-        register(
-            f"w5_sweep_{method}_p{p}",
-            lambda s, sf, codec=codec, sieved=sieved, p=p: c.compression_ratio(book(s, sf, "kron", codec, sieved, p)),
-            q.with_ledger("kron", codec, sieved, "SELECT level, CAST(sum(raw_bytes) AS BIGINT) AS raw_bytes, CAST(sum(bytes) AS BIGINT) AS bytes, round(sum(raw_bytes)::DOUBLE / nullif(sum(bytes), 0), 6) AS ratio FROM book GROUP BY level", p),
-        )
+    register(f"w5_sweep_{method}", lambda s, sf, codec=codec, sieved=sieved: _sweep(s, sf, codec, sieved, [(k, 8) for k in SWEEP]), _sweep_sql(codec, sieved, [(k, 8) for k in SWEEP]))
+    register(f"w3_ladder_{method}", lambda s, sf, codec=codec, sieved=sieved: _sweep(s, sf, codec, sieved, LADDER), _sweep_sql(codec, sieved, LADDER))
     register(
         f"w1_ledger_{method}",
         lambda s, sf, codec=codec, sieved=sieved: book(s, sf, "order_part", codec, sieved, 10).groupBy("level").agg(F.count("*").alias("messages"), F.sum("bytes").alias("bytes")),
@@ -106,6 +122,11 @@ register(
     lambda s, sf: x.pull_ledger(graph(s, sf, "order_part"), tree(s, sf, "order_part"), directory(s, sf, "order_part")),
     q.with_ledger("order_part", "wah", True, "SELECT level, k.owner_block, k.needer_block, unnest(['reply', 'request']) AS direction, CAST(1 AS BIGINT) AS n_messages, unnest([bytes, 8]) AS bytes FROM book k JOIN (SELECT DISTINCT owner_block, needer_block FROM needs) a ON a.owner_block = k.owner_block AND a.needer_block = k.needer_block"),
 )
+register(
+    "payload_pull_order_part",  # as executed: every request and every reply, empty ones too
+    lambda s, sf: run(s, sf, "order_part", "wah_pull").ledger.select("level", "owner_block", "needer_block", "direction", F.lit(1).cast("long").alias("n_messages"), "bytes"),
+    q.with_ledger("order_part", "wah", True, "SELECT level, k.owner_block, k.needer_block, unnest(['reply', 'request']) AS direction, CAST(1 AS BIGINT) AS n_messages, unnest([bytes, 8]) AS bytes FROM book k JOIN (SELECT DISTINCT owner_block, needer_block FROM needs) a ON a.owner_block = k.owner_block AND a.needer_block = k.needer_block"),
+)
 register(
     "ledger_rendezvous_order_part",
     lambda s, sf: x.rendezvous_ledger(book(s, sf, "order_part", "wah", True)),
@@ -149,20 +170,25 @@ for codec in ("bitmap", "sparse", "rle", "plwah", "varint", "wah8", "wah16", "wa
     )
 
 
-def _words_sql(width: int) -> str:
+def _word_rows(width: int, members: str, frame: str) -> str:
+    """(level, owner_block, word_no, word_hex) of the sets in members (level, owner_block, slot, n_bits), for every row of frame."""
     g, digits, low = width - 1, width // 4, width - 4
     most = (1 << (width - 2)) - 1
-    grp = f"SELECT level, owner_block, slot // {g} AS grp, count(*) AS n, sum(1::BIGINT << ({g} - 1 - slot % {g})::INTEGER) AS value FROM ({q.own_members()}) m WHERE slot // {g} < n_bits // {g} GROUP BY ALL"
+    grp = f"SELECT level, owner_block, slot // {g} AS grp, count(*) AS n, sum(1::BIGINT << ({g} - 1 - slot % {g})::INTEGER) AS value FROM ({members}) m WHERE slot // {g} < n_bits // {g} GROUP BY ALL"
     win = "OVER (PARTITION BY level, owner_block ORDER BY grp)"
     rows = f"SELECT *, n = {g} AS one, coalesce(lag(grp) {win}, -1) AS prev, coalesce(lag(n = {g}) {win}, false) AS prev_one FROM ({grp}) q0"
     marked = f"SELECT *, sum(CASE WHEN one AND NOT (prev_one AND prev = grp - 1) THEN 1 ELSE 0 END) {win} AS run FROM ({rows}) q1"
     fills = f"""SELECT level, owner_block, prev + 1 AS pos, 0 AS kind, grp - prev - 1 AS n FROM ({rows}) q2 WHERE grp > prev + 1
-UNION ALL SELECT f.level, f.owner_block, coalesce(last, -1) + 1, 0, f.n_bits // {g} - coalesce(last, -1) - 1 FROM ({q.own_frame()}) f LEFT JOIN (SELECT level, owner_block, max(grp) AS last FROM ({grp}) q3 GROUP BY ALL) t0 ON t0.level = f.level AND t0.owner_block = f.owner_block WHERE coalesce(last, -1) + 1 < f.n_bits // {g}
+UNION ALL SELECT f.level, f.owner_block, coalesce(last, -1) + 1, 0, f.n_bits // {g} - coalesce(last, -1) - 1 FROM ({frame}) f LEFT JOIN (SELECT level, owner_block, max(grp) AS last FROM ({grp}) q3 GROUP BY ALL) t0 ON t0.level = f.level AND t0.owner_block = f.owner_block WHERE coalesce(last, -1) + 1 < f.n_bits // {g}
 UNION ALL SELECT level, owner_block, min(grp), 1, count(*) FROM ({marked}) q4 WHERE one GROUP BY level, owner_block, run"""
     split = f"SELECT level, owner_block, pos, i, lower(to_hex(8 + 4 * kind + (m >> {low})) || lpad(to_hex(m & {(1 << low) - 1}), {digits - 1}, '0')) AS w FROM (SELECT level, owner_block, pos, kind, i, least({most}, n - i * {most}) AS m FROM (SELECT *, unnest(range((n + {most - 1}) // {most})) AS i FROM ({fills}) q5) q6) q7"
     literal = f"SELECT level, owner_block, grp AS pos, 0 AS i, lower(lpad(to_hex(CAST(value AS BIGINT)), {digits}, '0')) AS w FROM ({rows}) q8 WHERE NOT one"
-    active = f"SELECT f.level, f.owner_block, f.n_bits // {g} AS pos, 0 AS i, lower(lpad(to_hex(CAST(coalesce(v, 0) AS BIGINT)), {digits}, '0')) AS w FROM ({q.own_frame()}) f LEFT JOIN (SELECT level, owner_block, sum(1::BIGINT << (n_bits % {g} - 1 - slot % {g})::INTEGER) AS v FROM ({q.own_members()}) m WHERE slot // {g} = n_bits // {g} GROUP BY ALL) a0 ON a0.level = f.level AND a0.owner_block = f.owner_block WHERE f.n_bits % {g} > 0"
-    return q.tree_sql("order_part", f"SELECT level, owner_block, row_number() OVER (PARTITION BY level, owner_block ORDER BY pos, i) AS word_no, w AS word_hex FROM ({split} UNION ALL {literal} UNION ALL {active}) q9")
+    active = f"SELECT f.level, f.owner_block, f.n_bits // {g} AS pos, 0 AS i, lower(lpad(to_hex(CAST(coalesce(v, 0) AS BIGINT)), {digits}, '0')) AS w FROM ({frame}) f LEFT JOIN (SELECT level, owner_block, sum(1::BIGINT << (n_bits % {g} - 1 - slot % {g})::INTEGER) AS v FROM ({members}) m WHERE slot // {g} = n_bits // {g} GROUP BY ALL) a0 ON a0.level = f.level AND a0.owner_block = f.owner_block WHERE f.n_bits % {g} > 0"
+    return f"SELECT level, owner_block, row_number() OVER (PARTITION BY level, owner_block ORDER BY pos, i) AS word_no, w AS word_hex FROM ({split} UNION ALL {literal} UNION ALL {active}) q9"
+
+
+def _words_sql(width: int) -> str:
+    return q.tree_sql("order_part", _word_rows(width, q.own_members(), q.own_frame()))
 
 
 for width in (8, 16, 32, 64):
@@ -185,46 +211,61 @@ def _byte_codec(codec: str):
     return build
 
 
-for codec in ("zlib1", "zlib6", "zlib9", "huffman", "bbc", "sparse_zlib"):
+for codec in ("zlib1", "zlib6", "zlib9", "huffman", "sparse_zlib"):
     register(f"codec_{codec}", _byte_codec(codec))
+_KINDS = f"SELECT f.level, f.owner_block, f.k, CASE coalesce(s.v, 0) WHEN 0 THEN 0 WHEN 255 THEN 1 ELSE 2 END AS kind FROM (SELECT DISTINCT level, owner_block, n_bits, unnest(range((n_bits + 7) // 8)) AS k FROM ({q.own_members()}) m1) f LEFT JOIN (SELECT level, owner_block, slot // 8 AS k, sum(1 << (7 - slot % 8)::INTEGER) AS v FROM ({q.own_members()}) m2 GROUP BY ALL) s ON s.level = f.level AND s.owner_block = f.owner_block AND s.k = f.k"
+_ISLANDS = f"SELECT level, owner_block, kind, count(*) AS n FROM (SELECT *, k - row_number() OVER (PARTITION BY level, owner_block, kind ORDER BY k) AS island FROM ({_KINDS}) k0) k1 GROUP BY level, owner_block, kind, island"
+register("codec_bbc", _byte_codec("bbc"), q.tree_sql("order_part", f"SELECT level, owner_block, CAST(sum(CASE WHEN kind = 2 THEN n + (n + 126) // 127 ELSE (n + 62) // 63 END) AS BIGINT) AS bytes, true AS ok FROM ({_ISLANDS}) k2 GROUP BY level, owner_block"))
 
 
-def _logical(op: str, whole: bool = False):
-    """(level, words, n_set): each level's bitmap of the whole graph against the next one's, on word lists; levels meet in one row each. whole:
-    with the last block, which may be shorter than the others."""
+def _logical(op: str):
+    """(level, owner_block, word_no, word_hex): a level's candidates (the neighbours of its members) against what is visited by then, on
+    word lists, for every block. and: what was met again; andnot: the next level; or: both; not and count: of the candidates alone."""
 
     def build(s, sf):
         g = graph(s, sf, "order_part")
+        found = tree(s, sf, "order_part").select("vid", "level")
         wah = Wah(32)
-
-        @F.pandas_udf("struct<words long, n_set long>")
+        place = lambda v: [F.floor(F.col(v) / g.size).cast("long").alias("owner_block"), F.pmod(F.col(v), F.lit(g.size)).cast("long").alias("slot")]
+        near = g.edges.join(found.withColumnRenamed("vid", "src"), "src").select("level", *place("dst")).distinct()
+        last = found.agg(F.max("level").alias("last"))
+        seen = found.join(F.broadcast(last)).select(F.explode(F.sequence("level", "last")).alias("level"), *place("vid"))  # the last level is one row
+        sets = lambda df, name: df.groupBy(*KEYS).agg(F.array_sort(F.collect_list("slot")).alias(name))
+        both = _frame(s, sf).join(sets(near, "a"), KEYS, "left").join(sets(seen, "b"), KEYS, "left")
+
+        @F.pandas_udf("struct<words array<string>, n_set long>")
         def run_op(a: pd.Series, b: pd.Series, bits: pd.Series) -> pd.DataFrame:
             rows = []
-            for p, r, n in zip(a, b, bits.tolist(), strict=True):
-                left, right = wah.words(p, n), wah.words(r if r is not None else p[:0], n)
+            for x, y, n in zip(a, b, bits.tolist(), strict=True):
+                left, right = (wah.words(z if z is not None else [], n) for z in (x, y))
                 out = left if op == "count" else wah_not(left, n, wah) if op == "not" else wah_logical(left, right, n, op, wah)
-                rows.append((len(out), wah_count(out, n, wah)))
+                rows.append(([f"{w:08x}" for w in out], wah_count(out, n, wah)))
             return pd.DataFrame(rows, columns=["words", "n_set"])
 
-        members = _members(s, sf) if whole else _members(s, sf).where(F.col("owner_block") < g.blocks - 1)
-        sets = members.groupBy("level", "owner_block").agg(F.array_sort(F.collect_list("slot")).alias("slots"), F.max("n_bits").alias("n_bits"))
-        nxt = sets.select((F.col("level") - 1).alias("level"), "owner_block", F.col("slots").alias("other"))
-        both = sets.join(nxt, ["level", "owner_block"], "left")
-        return both.select("level", "owner_block", run_op("slots", "other", "n_bits").alias("r")).select("level", "owner_block", F.col("r.n_set").alias("n_set"))
+        done = both.select(*KEYS, run_op("a", "b", "n_bits").alias("r"))
+        if op == "count":
+            return done.select(*KEYS, F.col("r.n_set").alias("n_set"))
+        return done.select(*KEYS, F.posexplode("r.words").alias("i", "word_hex")).select(*KEYS, (F.col("i") + 1).cast("long").alias("word_no"), "word_hex")
 
     return build
 
 
-_M = f"m AS MATERIALIZED (SELECT * FROM ({q.own_members()}) mm WHERE owner_block < (SELECT blocks - 1 FROM nb))"
-_HEAD = q.base("order_part") + q.levels("order_part") + [_M]
-_PAIRED = "(SELECT level, owner_block, count(*) AS a FROM m GROUP BY ALL) x LEFT JOIN (SELECT level - 1 AS level, owner_block, count(*) AS c FROM m GROUP BY ALL) y ON y.level = x.level AND y.owner_block = x.owner_block, g"
-for op, value in (("and", "CAST(0 AS BIGINT)"), ("or", "a + coalesce(c, 0)"), ("not", "b - a"), ("count", "a"), ("andnot", "a")):
-    register(f"wah_{op}", _logical(op), q.query(_HEAD, f"SELECT x.level, x.owner_block, {value} AS n_set FROM {_PAIRED}"))
-
-_BITS = "(SELECT level, owner_block, max(n_bits) AS bits, count(*) AS a FROM m GROUP BY ALL) x LEFT JOIN (SELECT level - 1 AS level, owner_block, count(*) AS c FROM m GROUP BY ALL) y ON y.level = x.level AND y.owner_block = x.owner_block"
-_EVERY = q.base("order_part") + q.levels("order_part") + [f"m AS MATERIALIZED ({q.own_members()})"]
-for op, value in (("and", "CAST(0 AS BIGINT)"), ("or", "a + coalesce(c, 0)"), ("not", "bits - a"), ("count", "a"), ("andnot", "a")):
-    register(f"wah_{op}_all", _logical(op, whole=True), q.query(_EVERY, f"SELECT x.level, x.owner_block, {value} AS n_set FROM {_BITS}"))
+_HEAD = q.base("order_part") + q.levels("order_part") + [
+    "lv AS MATERIALIZED (SELECT DISTINCT level FROM tree)",
+    f"fr AS MATERIALIZED ({q.own_frame()})",
+    "ca AS MATERIALIZED (SELECT DISTINCT tree.level, e.dst // b AS owner_block, e.dst % b AS slot FROM tree JOIN e ON e.src = tree.vid, g)",
+    "vi AS MATERIALIZED (SELECT lv.level, vid // b AS owner_block, vid % b AS slot FROM lv JOIN tree ON tree.level <= lv.level, g)",
+]
+_SETS = {
+    "and": "SELECT * FROM ca INTERSECT SELECT * FROM vi",
+    "or": "SELECT * FROM ca UNION SELECT * FROM vi",
+    "andnot": "SELECT * FROM ca EXCEPT SELECT * FROM vi",
+    "not": "SELECT * FROM (SELECT level, owner_block, unnest(range(n_bits)) AS slot FROM fr) x0 EXCEPT SELECT * FROM ca",
+}
+for op, members in _SETS.items():
+    rows = f"mm AS MATERIALIZED (SELECT z.level, z.owner_block, z.slot, n_bits FROM ({members}) z JOIN blk ON block = z.owner_block)"
+    register(f"wah_{op}", _logical(op), q.query([*_HEAD, rows], _word_rows(32, "SELECT * FROM mm", "SELECT * FROM fr")))
+register("wah_count", _logical("count"), q.query(_HEAD, "SELECT fr.level, fr.owner_block, coalesce(n, 0) AS n_set FROM fr LEFT JOIN (SELECT level, owner_block, count(*) AS n FROM ca GROUP BY ALL) x ON x.level = fr.level AND x.owner_block = fr.owner_block"))
 
 
 def _bytes_of_bitmaps(s, sf):
@@ -299,6 +340,30 @@ def _w8(s, sf):
 
 register("w8_sparse_zlib", _w8)
 
+CODEC_RUNS = ("bitmap_allgather", "wah_allgather", "wah_sieved", "zlib1_allgather", "zlib6_allgather", "zlib9_allgather", "zlib1_sieved", "zlib6_sieved", "zlib9_sieved")
+
+
+def _profiles(s, sf):
+    """(run_id, method, level, phase, seconds) of a search by each codec; decoding is booked with encoding for all of them."""
+    out = None
+    for method in CODEC_RUNS:
+        needs = directory(s, sf, "order_part") if method.endswith("sieved") else None
+        one = bfs(graph(s, sf, "order_part"), method=method, needs=needs, profile=True).profile(method, method)
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+register("w7_phases", lambda s, sf: k.phase_shares(_profiles(s, sf)))
+
+
+def _totals(s, sf):
+    rows = _profiles(s, sf)
+    return rows.groupBy("method").agg(F.sum("seconds").alias("seconds"), F.sum(F.when(F.col("phase") == "communication", F.col("seconds")).otherwise(0.0)).alias("communication"))
+
+
+register("compare_measured", lambda s, sf: k.compare_runs(cut(_totals(s, sf)), "bitmap_allgather"))
+register("relative_measured", lambda s, sf: k.relative_performance(cut(_totals(s, sf)), "wah_sieved"))
+
 
 def _choice(s, sf):
     b = book(s, sf, "order_part", "bitmap", True)
@@ -320,7 +385,7 @@ register(
 # ---------------------------------------------------------------------------------------------------------------------
 # measures
 
-for name in GRAPHS:
+for name in NAMED:
     if name == "event_chain":
         continue
     register(f"level_sizes_{name}", lambda s, sf, name=name: k.level_sizes(tree(s, sf, name)), q.tree_sql(name, "SELECT level, n, CAST(sum(n) OVER (ORDER BY level) AS BIGINT) AS reached FROM (SELECT level, count(*) AS n FROM tree GROUP BY level) a"))

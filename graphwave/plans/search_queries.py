@@ -5,26 +5,28 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from ..operators import apps, directory as d, exchange as x, spmv as m
-from ..operators.traverse import METHODS, bfs, bfs_many, path_counts
-from ..sources.graphs import GRAPHS
+from ..operators.traverse import METHODS, PULLS, bfs, bfs_many, path_counts
+from ..sources.graphs import GRAPHS, NAMED
 from ..sources.tables import load
 from . import sqlgen as q
 from .registry import directory, graph, register, run, tree
 
 TREE_COLUMNS = "SELECT vid, level, parent FROM tree"
 
-for name in GRAPHS:
+for name in NAMED:
     register(f"tree_{name}", lambda s, sf, name=name: tree(s, sf, name).select("vid", "level", "parent"), q.chain_sql() if name == "event_chain" else q.tree_sql(name))
 
 # every way to run the flagship search gives the flagship tree
-for method in METHODS:
+for method in (*METHODS, *PULLS):
     register(f"tree_{method}_order_part", lambda s, sf, method=method: run(s, sf, "order_part", method).tree, q.tree_sql("order_part"))
 register("tree_grid_2d_order_part", lambda s, sf: run(s, sf, "order_part", "grid_2d").tree, q.tree_sql("order_part"))
+register("tree_grid_3x2_order_part", lambda s, sf: bfs(graph(s, sf, "order_part"), method="grid_2d", grid=(3, 2)).tree, q.tree_sql("order_part"))
+register("tree_auto_kron", lambda s, sf: bfs(graph(s, sf, "kron"), method="auto").tree, q.tree_sql("kron"))
 register("tree_auto_order_part", lambda s, sf: run(s, sf, "order_part", "auto").tree, q.tree_sql("order_part"))
 register("tree_max_level_2", lambda s, sf: bfs(graph(s, sf, "order_part"), max_level=2).tree, q.tree_sql("order_part", depth=2))
 
 register("tree_min_order_part", lambda s, sf: bfs(graph(s, sf, "order_part"), combine_by="min").tree, q.tree_sql("order_part", combine="min"))
-register("reach_hierarchy", lambda s, sf: tree(s, sf, "hierarchy").select("vid", "level"), q.tree_sql("hierarchy", "SELECT vid, level FROM tree"))
+register("reach_hierarchy", lambda s, sf: bfs(graph(s, sf, "hierarchy"), parents=False).tree, q.tree_sql("hierarchy", "SELECT vid, level FROM tree"))
 register(
     "unreached_hierarchy",
     lambda s, sf: graph(s, sf, "hierarchy").vertices().select("vid").join(tree(s, sf, "hierarchy"), "vid", "left").select("vid", "level"),
@@ -104,14 +106,14 @@ register("needs_column_view", lambda s, sf: d.needed_from(directory(s, sf, "orde
 
 
 def _needs_delta(s, sf):
-    """The directory after the edges of even sources were taken away and put back doubled in between: only counts of live edges matter."""
+    """The directory after a third of the edges were taken away and half of these put back."""
     g = graph(s, sf, "user_hour")
-    removed = g.edges.where("(src + dst) % 3 = 0")
-    base = d.needs_counts(g, g.edges)
-    return d.apply_edge_delta(g, base, None, removed).select("needer_block", "owner_block", "slot", "edges")
+    gone, back = g.edges.where("(src + dst) % 3 = 0"), g.edges.where("(src + dst) % 6 = 0")
+    less = d.apply_edge_delta(g, d.needs_counts(g, g.edges), None, gone)
+    return d.apply_edge_delta(g, less, back, None).select("needer_block", "owner_block", "slot", "edges")
 
 
-register("needs_delta_events", _needs_delta, q.query(q.base("user_hour"), "SELECT dst // b AS needer_block, src // b AS owner_block, src % b AS slot, count(*) AS edges FROM e, g WHERE (src + dst) % 3 <> 0 GROUP BY ALL"))
+register("needs_delta_events", _needs_delta, q.query(q.base("user_hour"), "SELECT dst // b AS needer_block, src // b AS owner_block, src % b AS slot, count(*) AS edges FROM e, g WHERE (src + dst) % 3 <> 0 OR (src + dst) % 6 = 0 GROUP BY ALL"))
 
 # the worked examples
 register("w9_toy_tree", lambda s, sf: tree(s, sf, "toy8"), q.tree_sql("toy8"))
@@ -190,11 +192,6 @@ register("lemma_output_mask", _output_mask, _output_sql("order_part") + " UNION
 
 register(
     "w16_hops",
-    lambda s, sf: apps.hop_distance(graph(s, sf, "star"), 0, graph(s, sf, "star").vertices().where("vid % 97 = 0")),
-    q.tree_sql("star", "SELECT CAST(i AS BIGINT) AS vid, tree.level AS hops FROM range((SELECT n FROM g)) r(i) LEFT JOIN tree ON tree.vid = i WHERE i % 97 = 0"),
-)
-register(
-    "w16_hops_all",
     lambda s, sf: apps.hop_distance(graph(s, sf, "star"), 0, graph(s, sf, "star").vertices()),
     q.tree_sql("star", "SELECT CAST(i AS BIGINT) AS vid, tree.level AS hops FROM range((SELECT n FROM g)) r(i) LEFT JOIN tree ON tree.vid = i"),
 )

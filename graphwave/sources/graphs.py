@@ -290,5 +290,13 @@ UNION ALL SELECT l_partkey + {_n("region", "nation", "supplier", "customer")}, l
 }
 
 
+#: The graphs that every measure is registered for.
+NAMED = tuple(GRAPHS)
+#: Scales of the sweep at a fixed number of blocks, and (scale, blocks) of the ladder at a fixed block size.
+SWEEP, LADDER = (8, 10, 12, 14), ((8, 2), (10, 8), (12, 32))
+for _scale in {*SWEEP, *(k for k, _ in LADDER)}:
+    GRAPHS[f"kron{_scale}"] = Graph(f"kron{_scale}", kron(_scale), kronecker_sql(_scale), str(1 << _scale), p=8, depth=9)
+
+
 def derive(spark: SparkSession, sf_dir: str, name: str) -> Tuples:
     return GRAPHS[name].build(spark, sf_dir)

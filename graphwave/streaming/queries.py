@@ -4,7 +4,6 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from ..operators.traverse import bfs
 from ..plans import sqlgen as q
 from ..plans.registry import graph, register
 from . import stream as st
@@ -48,9 +47,10 @@ register("st_directory_stream", _kept_directory, q.query(q.base("user_key"), "SE
 
 
 def _searched(s, sf):
-    """The search's level sizes after the stream has been taken in: edges from the last written state."""
+    """Level sizes of the search after the last micro-batch, from the edges that the stream has written."""
     g = graph(s, sf, "user_key")
-    return bfs(g).tree.groupBy("level").agg(F.count("*").alias("n"))
+    edges = st.stream_events(s, sf).select(F.col("user_id").alias("u"), (F.get_json_object("props", "$.k").cast("long") + g.source).alias("v"))
+    return st.SearchKeeper(g.n, g.p, g.source, s).follow(edges).groupBy("level").agg(F.count("*").alias("n"))
 
 
 register("st_search_after_batch", _searched, q.tree_sql("user_key", "SELECT level, count(*) AS n FROM tree GROUP BY level"))

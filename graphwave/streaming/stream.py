@@ -13,9 +13,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..operators.directory import apply_edge_delta, needs_counts
-from ..operators.layout import GraphLayout
-from ..plans.lineage import cut, shared_dir
+from ..operators.directory import needs_counts
+from ..operators.layout import GraphLayout, build
+from ..operators.traverse import bfs
+from ..plans.lineage import delete, shared_dir
+from ..sources.graphs import Tuples
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -51,12 +53,13 @@ def sessions(events: DataFrame, gap: str = "6 hours") -> DataFrame:
     return out.select("user_id", F.unix_seconds(F.col("w.start")).alias("start"), "n")
 
 
-def distinct_edges(events: DataFrame) -> DataFrame:
-    """(u, v) of user and key once each; duplicates within the watermark are dropped as they come."""
+def distinct_edges(events: DataFrame, within: str | None = None) -> DataFrame:
+    """(u, v) of user and key once each. A stream keeps the pairs it has seen as state; within: only duplicates so close in event time
+    are dropped, and the state stays bounded."""
     edges = events.select("at", F.col("user_id").alias("u"), F.get_json_object("props", "$.k").cast("long").alias("v"))
-    if events.isStreaming:
-        return edges.withWatermark("at", "60 days").dropDuplicatesWithinWatermark(["u", "v"]).select("u", "v")
-    return edges.select("u", "v").distinct()
+    if events.isStreaming and within is not None:
+        return edges.withWatermark("at", within).dropDuplicatesWithinWatermark(["u", "v"]).select("u", "v")
+    return edges.select("u", "v").dropDuplicates(["u", "v"])
 
 
 def chain_edges(events: DataFrame) -> DataFrame:
@@ -113,23 +116,85 @@ def late_rows(stream: DataFrame) -> tuple[DataFrame, int]:
     return spark.read.schema(stream.schema).parquet(f"{folder}/out"), late
 
 
+class Written:
+    """Tables of micro-batches under one folder, told by batch id. A batch that is repeated replaces its own table, so nothing is taken
+    twice, and a restarted driver finds all that was written whole."""
+
+    def __init__(self, spark: SparkSession, folder: str, schema: str):
+        self.spark, self.folder, self.schema = spark, folder, schema
+
+    def write(self, rows: DataFrame, batch_id: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{self.folder}/batch={batch_id}")
+
+    def ids(self) -> list[int]:
+        """Batches whose writing was completed."""
+        jvm = self.spark._jvm
+        root = jvm.org.apache.hadoop.fs.Path(self.folder)
+        files = root.getFileSystem(self.spark._jsc.hadoopConfiguration())
+        if not files.exists(root):
+            return []
+        found = [x.getPath() for x in files.listStatus(root)]
+        return sorted(int(x.getName().split("=")[1]) for x in found if files.exists(jvm.org.apache.hadoop.fs.Path(x, "_SUCCESS")))
+
+    def read(self, ids: list[int]) -> DataFrame:
+        if not ids:
+            return self.spark.createDataFrame([], self.schema)
+        return self.spark.read.schema(self.schema).parquet(*[f"{self.folder}/batch={i}" for i in ids])
+
+    def drop(self, ids: list[int]) -> None:
+        for i in ids:
+            delete(self.spark, f"{self.folder}/batch={i}")
+
+
 class DirectoryKeeper:
-    """A directory that follows an edge stream. Each micro-batch's edges are counted once, whether or not it is repeated."""
+    """A directory that follows an edge stream. A micro-batch writes only what it changes; every FOLD batches the changes are folded into
+    one table. All state is in the folder, so a keeper that is made anew over it goes on where the last one ended."""
 
-    def __init__(self, g: GraphLayout):
-        self.graph = g
-        self.counts = cut(needs_counts(g, g.edges.limit(0)))
-        self.done: set[int] = set()
+    FOLD = 16
+
+    def __init__(self, g: GraphLayout, folder: str | None = None):
+        self.graph, self.folder = g, folder or f"{shared_dir(g.spark)}/keeper-{uuid.uuid4().hex}"
+        schema = "needer_block long, owner_block long, slot long, edges long"
+        self.changes, self.base = Written(g.spark, f"{self.folder}/changes", schema), Written(g.spark, f"{self.folder}/base", schema)
+
+    def counts(self, before: int | None = None) -> DataFrame:
+        """(needer_block, owner_block, slot, edges) of all batches, or of those before one."""
+        old = lambda ids: [i for i in ids if before is None or i < before]
+        base = old(self.base.ids())[-1:]
+        late = [i for i in old(self.changes.ids()) if not base or i > base[0]]
+        rows = self.base.read(base).unionByName(self.changes.read(late))
+        return rows.groupBy("needer_block", "owner_block", "slot").agg(F.sum("edges").alias("edges")).where("edges > 0")
 
     def apply(self, batch: DataFrame, batch_id: int) -> None:
-        if batch_id in self.done:
-            return
         both = batch.select(F.col("u").alias("src"), F.col("v").alias("dst")).unionByName(batch.select(F.col("v").alias("src"), F.col("u").alias("dst")))
-        self.counts = cut(apply_edge_delta(self.graph, self.counts, both, None))
-        self.done.add(batch_id)
+        self.changes.write(needs_counts(self.graph, both), batch_id)
+        if batch_id % self.FOLD == self.FOLD - 1:
+            self.base.write(self.counts(batch_id + 1), batch_id)
+            self.changes.drop([i for i in self.changes.ids() if i < batch_id])  # this batch may be repeated
+            self.base.drop([i for i in self.base.ids() if i < batch_id - self.FOLD])
+
+    def follow(self, edges: DataFrame) -> DataFrame:
+        query = edges.writeStream.foreachBatch(self.apply).option("checkpointLocation", f"{self.folder}/state").trigger(availableNow=True).start()
+        query.awaitTermination()
+        return self.counts().select("needer_block", "owner_block", "slot")
+
 
-    def follow(self, edges: DataFrame):
-        folder = f"{shared_dir(edges.sparkSession)}/keeper-{uuid.uuid4().hex}"
-        query = edges.writeStream.foreachBatch(self.apply).option("checkpointLocation", folder).trigger(availableNow=True).start()
+class SearchKeeper:
+    """Searches again after each micro-batch, over all edges written so far, and writes each search's tree by batch id."""
+
+    def __init__(self, n: int, p: int, source: int, spark: SparkSession, folder: str | None = None, method: str = "relational"):
+        self.n, self.p, self.source, self.method = n, p, source, method
+        self.folder = folder or f"{shared_dir(spark)}/searches-{uuid.uuid4().hex}"
+        self.edges, self.trees = Written(spark, f"{self.folder}/edges", "u long, v long"), Written(spark, f"{self.folder}/trees", "vid long, level long, parent long")
+
+    def apply(self, batch: DataFrame, batch_id: int) -> None:
+        self.edges.write(batch.select("u", "v"), batch_id)
+        g = build(Tuples(self.edges.read([i for i in self.edges.ids() if i <= batch_id]), self.n, self.source), self.p)
+        self.trees.write(bfs(g, method=self.method).tree, batch_id)
+        g.release()
+
+    def follow(self, edges: DataFrame) -> DataFrame:
+        """(vid, level, parent) of the search after the last batch."""
+        query = edges.writeStream.foreachBatch(self.apply).option("checkpointLocation", f"{self.folder}/state").trigger(availableNow=True).start()
         query.awaitTermination()
-        return self.counts.select("needer_block", "owner_block", "slot")
+        return self.trees.read(self.trees.ids()[-1:])
