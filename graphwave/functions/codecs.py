@@ -34,72 +34,92 @@ class Wah:
     def longest(self) -> int:
         return (1 << (self.width - (1 if self.zero_only else 2))) - 1
 
-    def array(self, slots: np.ndarray, n_bits: int) -> np.ndarray:
-        """The words of a set of sorted slots, in time proportional to its size and not to n_bits."""
-        g, top = self.group, np.uint64(1 << (self.width - 1))
+    def many(self, slots: np.ndarray, ends: np.ndarray, n_bits: int) -> tuple[np.ndarray, np.ndarray]:
+        """The words of many sets of sorted slots, set i at ends[i] to ends[i + 1], and where each set's words end; in time proportional to
+        the slots. Every set has its groups and one place behind them, at which its active word stands."""
+        g, top, sets = self.group, np.uint64(1 << (self.width - 1)), len(ends) - 1
         full, rest = divmod(n_bits, g)
         slots = np.asarray(slots, dtype=np.int64)
-        body = slots[: np.searchsorted(slots, full * g)]
-        grp = body // g
+        owner = np.repeat(np.arange(sets), np.diff(ends))
+        place = slots % g
+        inside = slots < full * g
+        bit = np.uint64(1) << (np.where(inside, g, rest) - 1 - place).astype(np.uint64)
+        grp = owner * (full + 1) + slots // g  # what is behind the last group falls on the set's last place
         first = np.flatnonzero(np.concatenate(([True], grp[1:] != grp[:-1]))) if len(grp) else np.zeros(0, np.int64)
-        bit = np.uint64(1) << (np.uint64(g - 1) - (body % g).astype(np.uint64))
         value = np.bitwise_or.reduceat(bit, first) if len(first) else np.zeros(0, np.uint64)
-        at = grp[first]
-        ones = (value == np.uint64((1 << g) - 1)) & (not self.zero_only)
-        # what stands there, in order: (place, 0 zero fill / 1 one fill / 2 literal, groups, value)
-        gap = np.diff(np.concatenate(([-1], at, [full]))) - 1  # zero groups before each, and behind the last
-        begins = ones & ~np.concatenate(([False], ones[:-1] & (gap[1:-1] == 0)))[: len(ones)] if len(ones) else ones
-        run = np.cumsum(begins) - 1
-        length = np.bincount(run[ones], minlength=int(begins.sum())) if begins.any() else np.zeros(0, np.int64)
+        held = grp[first]
+        last = np.arange(sets) * (full + 1) + full
+        bare = np.setdiff1d(last, held, assume_unique=True)
+        at = np.concatenate((held, bare))
+        order = np.argsort(at, kind="stable")
+        at, value = at[order], np.concatenate((value, np.zeros(len(bare), np.uint64)))[order]
+        active = at % (full + 1) == full
+        ones = (value == np.uint64((1 << g) - 1)) & ~active & (not self.zero_only)
+        gap = np.diff(np.concatenate(([-1], at))) - 1  # zero groups before each place
+        begins = ones & ~(np.concatenate(([False], ones[:-1])) & (gap == 0))
         keep = begins | ~ones
-        kinds = np.where(ones[keep], 1, 2)
-        groups = np.ones(int(keep.sum()), np.int64)
-        groups[kinds == 1] = length
-        holes = np.append(gap[:-1][keep], gap[-1])
-        kind = np.empty(2 * len(kinds) + 1, np.int64)
-        count, val = np.empty_like(kind), np.zeros(len(kind), np.uint64)
-        kind[::2], kind[1::2] = 0, kinds
-        count[::2], count[1::2] = holes, groups
+        count = np.ones(len(at), np.int64)
+        count[active] = rest > 0
+        count[begins] = np.bincount((np.cumsum(begins) - 1)[ones], minlength=int(begins.sum()))
+        kind = np.zeros(2 * int(keep.sum()), np.int64)  # 0: zero fill, 1: one fill, 2: literal
+        n, val = np.empty_like(kind), np.zeros(len(kind), np.uint64)
+        kind[1::2] = np.where(ones[keep], 1, 2)
+        n[::2], n[1::2] = gap[keep], count[keep]
         val[1::2] = value[keep]
-        there = count > 0
-        kind, count, val = kind[there], count[there], val[there]
-        times = np.where(kind == 2, 1, -(-count // self.longest))
-        last = np.cumsum(times) - 1
-        kind, val, part = np.repeat(kind, times), np.repeat(val, times), np.full(int(times.sum()), self.longest, np.int64)
-        part[last] = count - (times - 1) * self.longest
+        times = np.where(kind == 2, n, -(-n // self.longest))
+        total = np.cumsum(times)
+        word_ends = np.concatenate(([0], total[1::2][active[keep]]))
+        part = np.full(int(total[-1]) if len(total) else 0, self.longest, np.int64)
+        some = times > 0
+        part[total[some] - 1] = (n - (times - 1) * self.longest)[some]
+        kind, val = np.repeat(kind, times), np.repeat(val, times)
         head = top | (np.uint64(0) if self.zero_only else (kind == 1).astype(np.uint64) << np.uint64(self.width - 2))
-        out = np.where(kind == 2, val, head | part.astype(np.uint64))
-        if rest:
-            tail = slots[len(body) :] - full * g
-            out = np.append(out, (np.uint64(1) << (rest - 1 - tail).astype(np.uint64)).sum(dtype=np.uint64))
-        return out.astype(np.uint64)
+        return np.where(kind == 2, val, head | part.astype(np.uint64)).astype(np.uint64), word_ends
 
     def words(self, slots: np.ndarray, n_bits: int) -> list[int]:
-        return self.array(slots, n_bits).tolist()
+        return self.many(slots, np.array([0, len(slots)]), n_bits)[0].tolist()
 
-    def slots(self, words, n_bits: int) -> np.ndarray:
+    def members(self, words: np.ndarray, ends: np.ndarray, n_bits: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(set, slot) of all members of many sets' words, in no order."""
         g = self.group
-        full, rest = divmod(n_bits, g)
-        words = np.asarray(words, dtype=np.uint64)
-        body, tail = (words[:-1], words[-1:]) if rest else (words, words[:0])
-        fill = (body >> np.uint64(self.width - 1)).astype(bool)
-        groups = np.where(fill, body & np.uint64(self.longest), np.uint64(1)).astype(np.int64)
-        at = np.cumsum(groups) - groups
-        one = fill & ((body >> np.uint64(self.width - 2) & np.uint64(1)).astype(bool) if not self.zero_only else False)
+        words, n_bits = np.asarray(words, dtype=np.uint64), np.asarray(n_bits, dtype=np.int64)
+        rest = n_bits % g
+        tail = np.zeros(len(words), bool)
+        tail[ends[1:][rest > 0] - 1] = True
+        owner = np.repeat(np.arange(len(ends) - 1), np.diff(ends))
+        fill = (words >> np.uint64(self.width - 1)).astype(bool) & ~tail
+        groups = np.where(fill, words & np.uint64(self.longest), np.uint64(1)).astype(np.int64)
+        groups[tail] = 0
+        before = np.cumsum(groups) - groups
+        at = before - before[ends[:-1][owner]] if len(words) else before
+        one = fill & ((words >> np.uint64(self.width - 2) & np.uint64(1)).astype(bool) if not self.zero_only else False)
         n = groups[one] * g
-        parts = [np.repeat(at[one] * g - (np.cumsum(n) - n), n) + np.arange(n.sum())]
-        for values, start, width in ((body[~fill], at[~fill] * g, g), (tail, np.full(len(tail), full * g), rest)):
-            bits = np.unpackbits(values.astype(">u8").view(np.uint8)).reshape(-1, 64)[:, 64 - width :] if width else np.zeros((0, 1), np.uint8)
-            row, place = np.nonzero(bits)
-            parts.append(start[row] + place)
-        found = np.concatenate(parts).astype(np.int64)
-        return np.sort(found) if len(parts[0]) else found
+        long_slots, long_owner = np.repeat(at[one] * g - (np.cumsum(n) - n), n) + np.arange(n.sum()), np.repeat(owner[one], n)
+        plain = np.flatnonzero(~fill & (words != 0))
+        shift = np.where(tail[plain], g - rest[owner[plain]], 0).astype(np.uint64)  # an active word's bits begin where a group's do
+        row, place = np.nonzero(np.unpackbits((words[plain] << shift).astype(">u8").view(np.uint8)).reshape(-1, 64)[:, 64 - g :])
+        return np.concatenate((long_owner, owner[plain][row])), np.concatenate((long_slots, at[plain][row] * g + place)).astype(np.int64)
+
+    def slots(self, words, n_bits: int) -> np.ndarray:
+        return np.sort(self.members(words, np.array([0, len(words)]), np.array([n_bits]))[1])
+
+    def _type(self) -> str:
+        return f">u{self.width // 8}"
 
     def encode(self, slots: np.ndarray, n_bits: int) -> bytes:
-        return self.array(slots, n_bits).astype(f">u{self.width // 8}").tobytes()
+        return self.encode_many(slots, np.array([0, len(slots)]), n_bits)[0]
+
+    def encode_many(self, slots: np.ndarray, ends: np.ndarray, n_bits: int) -> list[bytes]:
+        words, at = self.many(slots, ends, n_bits)
+        data, size = words.astype(self._type()).tobytes(), self.width // 8
+        return [data[a * size : b * size] for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)]
 
     def decode(self, payload: bytes, n_bits: int) -> np.ndarray:
-        return self.slots(np.frombuffer(payload, dtype=f">u{self.width // 8}"), n_bits)
+        return self.slots(np.frombuffer(payload, dtype=self._type()), n_bits)
+
+    def decode_many(self, payloads: list[bytes], n_bits: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        ends = np.cumsum([0, *map(len, payloads)]) // (self.width // 8)
+        return self.members(np.frombuffer(b"".join(payloads), dtype=self._type()), ends, n_bits)
 
 
 def wah_logical(a: list[int], b: list[int], n_bits: int, op: str, wah: Wah) -> list[int]:
@@ -361,3 +381,22 @@ CODECS = {
     "bbc": (bbc_encode, bbc_decode),
     "plwah": (Plwah().encode, Plwah().decode),
 }
+
+
+def encode_many(codec: str, slots: np.ndarray, ends: np.ndarray, n_bits: int) -> list[bytes]:
+    """The payloads of many sets of sorted slots, set i at ends[i] to ends[i + 1]."""
+    encode = CODECS[codec][0]
+    own = getattr(encode, "__self__", None)
+    if isinstance(own, Wah):
+        return own.encode_many(slots, ends, n_bits)
+    return [encode(slots[a:b], n_bits) for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)]
+
+
+def decode_many(codec: str, payloads: list[bytes], n_bits: list[int]) -> tuple[np.ndarray, np.ndarray]:
+    """(payload number, slot) of all members, in no order."""
+    decode = CODECS[codec][1]
+    own = getattr(decode, "__self__", None)
+    if isinstance(own, Wah):
+        return own.decode_many(payloads, np.array(n_bits))
+    found = [decode(p, n) for p, n in zip(payloads, n_bits, strict=True)]
+    return np.repeat(np.arange(len(found)), [len(x) for x in found]), np.concatenate(found) if found else np.zeros(0, np.int64)

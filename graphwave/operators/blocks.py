@@ -17,11 +17,11 @@ from dataclasses import dataclass, field
 import numpy as np
 import pyarrow as pa
 from pyspark import StorageLevel
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from ..functions import sizes
-from ..functions.codecs import CODECS
+from ..functions.codecs import CODECS, decode_many, encode_many
 from ..plans.lineage import delete, shared_dir
 from .layout import GraphLayout
 
@@ -137,12 +137,10 @@ def _candidates(static: _Static, arrived: np.ndarray, bits: int, how: str) -> np
 
 
 def _sieved(static: _Static, mask: np.ndarray):
-    """(needer, slots) of what each needer can use."""
+    """(needers, slots, ends): what each needer can use."""
     for needers, ends, slots in static.needs:
         hit = mask[slots]
-        kept, places = slots[hit], np.concatenate(([0], np.cumsum(hit)))[ends]
-        for needer, a, b in zip(needers.tolist(), places[:-1].tolist(), places[1:].tolist(), strict=True):
-            yield needer, kept[a:b]
+        yield needers, slots[hit].astype(np.int64), np.concatenate(([0], np.cumsum(hit)))[ends]
 
 
 class _Out:
@@ -160,7 +158,6 @@ class _Out:
 
 def expander(plan: Plan):
     """The level step of a block: (key, static rows, inbox) to outgoing rows."""
-    encode, decode = CODECS[plan.codec]
 
     def run(key, static_rows: pa.Table, inbox: pa.Table) -> pa.Table:
         block = key[0].as_py()
@@ -174,7 +171,7 @@ def expander(plan: Plan):
             clock = now
 
         static = _Static(static_rows)
-        visited, arrived, seeds = np.zeros(bits, bool), [], None
+        visited, mail, seeds = np.zeros(bits, bool), [], None
         lap("traversing")
         for kind, owner, n_bits, payload, slots in zip(*(inbox.column(x).to_pylist() for x in ("kind", "owner", "n_bits", "payload", "slots")), strict=True):
             if kind == "state":
@@ -182,13 +179,17 @@ def expander(plan: Plan):
             elif kind == "seed":
                 seeds = np.unique(np.array(slots, np.int64))
             else:
-                arrived.append(decode(payload, n_bits) + owner * plan.size)
+                mail.append((owner, n_bits, payload))
+        if mail:
+            owners, lengths, payloads = zip(*mail, strict=True)
+            which, slots = decode_many(plan.codec, payloads, lengths)
+            arrived = np.array(owners, np.int64)[which] * plan.size + slots
         lap("compression_sieve")
         if seeds is not None:
             best = np.full(bits, -1, np.int64)
             best[seeds] = block * plan.size + seeds
-        elif arrived:
-            best = _candidates(static, np.concatenate(arrived), bits, plan.combine)
+        elif mail:
+            best = _candidates(static, arrived, bits, plan.combine)
         else:
             best = np.full(bits, -1, np.int64)
         lap("traversing")
@@ -205,11 +206,13 @@ def expander(plan: Plan):
                 for owner in needers.tolist():
                     out.add(owner, "request", block, plan.bits(owner), None, b"\0" * 8)
         elif len(new) and plan.sieved:
-            for needer, slots in _sieved(static, fresh):
-                if len(slots):
-                    out.add(needer, "message", block, bits, len(slots), encode(slots.astype(np.int64), bits))
+            for needers, slots, ends in _sieved(static, fresh):
+                some = np.flatnonzero(np.diff(ends))
+                ends = np.append(ends[some], ends[-1])
+                for needer, n, payload in zip(needers[some].tolist(), np.diff(ends).tolist(), encode_many(plan.codec, slots, ends, bits), strict=True):
+                    out.add(needer, "message", block, bits, n, payload)
         elif len(new):
-            out.add(-1, "message", block, bits, len(new), encode(new, bits))
+            out.add(-1, "message", block, bits, len(new), CODECS[plan.codec][0](new, bits))
         lap("compression_sieve")
         for phase, seconds in spent.items():
             out.add(block, phase, block, None, int(seconds * 1e6))
@@ -221,7 +224,6 @@ def expander(plan: Plan):
 def replier(plan: Plan):
     """The second step of a level when frontiers are asked for: each request is answered with what the needer's vector leaves of the
     frontier, be it nothing."""
-    encode, _ = CODECS[plan.codec]
 
     def run(key, static_rows: pa.Table, inbox: pa.Table) -> pa.Table:
         block = key[0].as_py()
@@ -232,9 +234,10 @@ def replier(plan: Plan):
                 fresh[np.array(slots, np.int64)] = True
             else:
                 asked.add(owner)
-        for needer, slots in _sieved(_Static(static_rows), fresh):
-            if needer in asked:
-                out.add(needer, "message", block, bits, len(slots), encode(slots.astype(np.int64), bits))
+        for needers, slots, ends in _sieved(_Static(static_rows), fresh):
+            for needer, n, payload in zip(needers.tolist(), np.diff(ends).tolist(), encode_many(plan.codec, slots, ends, bits), strict=True):
+                if needer in asked:
+                    out.add(needer, "message", block, bits, n, payload)
         out.add(block, "compression_sieve", block, None, int((time.perf_counter() - began) * 1e6))
         return out.table()
 
@@ -273,53 +276,56 @@ def search(g: GraphLayout, seeds: list[int], codec: str, needs: DataFrame | None
     for s in seeds:
         by_block.setdefault(s // g.size, []).append(s % g.size)
     rows = spark.createDataFrame([(b, "seed", b, None, None, None, own, None) for b, own in by_block.items()], ROW)
-    seconds, sizes_, level, books = [], [], 0, []
+    seconds, counts, level, sent = [], [], 0, 0
     while True:
         began = time.perf_counter()
-        path = f"{folder}/level-{level}"
-        level_plan(g, columns, rows, expander(plan)).write.parquet(path)
-        step = spark.read.schema(ROW).parquet(path)
-        own = {}
-        if asks:  # the state stays with its block while requests and replies go round
-            level_plan(g, static, step.where("kind in ('request', 'found')"), replier(plan)).write.parquet(f"{path}-replies")
-            replies = spark.read.schema(ROW).parquet(f"{path}-replies")
-        counted = step if not asks else step.unionByName(replies)
-        for r in counted.groupBy("kind").agg(F.sum("n_set").alias("n")).collect():
-            own[r["kind"]] = r["n"] or 0
-        spent = {p: own.get(p, 0) / 1e6 / cores for p in PHASES}
+        stages = [("steps", columns, rows, expander(plan))]
+        own = dict.fromkeys(("found", *PHASES), 0)
+        for name, held, inbox, step in stages:
+            path = f"{folder}/{name}/level={level}"
+            seen = Observation()
+            sums = [F.sum(F.when(F.col("kind") == x, F.col("n_set"))).alias(x) for x in own]
+            level_plan(g, held, inbox, step).observe(seen, *sums).write.parquet(path)
+            for x, n in seen.get.items():
+                own[x] += n or 0
+            if asks and name == "steps":  # the state stays with its block while requests and replies go round
+                made = spark.read.schema(ROW).parquet(path)
+                stages.append(("replies", static, made.where("kind in ('request', 'found')"), replier(plan)))
+        spent = {p: own[p] / 1e6 / cores for p in PHASES}
         seconds += [(level, p, s) for p, s in spent.items()] + [(level, "communication", max(0.0, time.perf_counter() - began - sum(spent.values())))]
-        n = own.get("found", 0)
-        if not n:
+        if not own["found"]:
             break
-        sizes_.append(n)
-        done = (max_level is not None and level >= max_level) or (target is not None and level and not step.where(f"kind = 'found' and owner = {target // g.size} and array_contains(slots, {target % g.size})").isEmpty())
-        if done:
+        counts.append(own["found"])
+        step = spark.read.schema(ROW).parquet(f"{folder}/steps/level={level}")
+        if (max_level is not None and level >= max_level) or (target is not None and level and _holds(g, step, target)):
             break
-        books.append((level, counted))
-        rows = counted.where("kind in ('state', 'message')")
+        sent = level + 1  # what this level made is sent: it counts in the ledger
+        rows = step.where("kind in ('state', 'message')")
+        if asks:
+            rows = rows.unionByName(spark.read.schema(ROW).parquet(f"{folder}/replies/level={level}").where("kind = 'message'"))
         level += 1
-    levels = len(sizes_)
-    parts = []
-    for k in range(levels):
-        found = spark.read.schema(ROW).parquet(f"{folder}/level-{k}").where("kind = 'found'").select("owner", F.inline(F.arrays_zip("slots", "parents")))
-        parts.append(found.select((F.col("owner") * g.size + F.col("slots")).alias("vid"), F.lit(k).cast("long").alias("level"), F.col("parents").alias("parent")))
-    tree = _written(_union(parts), f"{folder}/tree") if parts else spark.createDataFrame([], "vid long, level long, parent long")
-    sent = [_ledger(g, rows, k) for k, rows in books]
-    ledger = _written(_union(sent), f"{folder}/ledger") if sent else spark.createDataFrame([], "level long, owner_block long, needer_block long, direction string, n_set long, raw_bytes long, bytes long")
-    for k in range(level + 1):
-        delete(spark, f"{folder}/level-{k}")
-        delete(spark, f"{folder}/level-{k}-replies")
-    return Outcome(tree, ledger, seconds, sizes_)
-
-
-def _ledger(g: GraphLayout, rows: DataFrame, level: int) -> DataFrame:
+    every = spark.read.schema(f"{ROW}, level long").parquet(f"{folder}/steps")
+    found = every.where("kind = 'found'").select("owner", "level", F.inline(F.arrays_zip("slots", "parents")))
+    tree = _written(found.select((F.col("owner") * g.size + F.col("slots")).alias("vid"), "level", F.col("parents").alias("parent")), f"{folder}/tree")
+    made = every if not asks else every.unionByName(spark.read.schema(f"{ROW}, level long").parquet(f"{folder}/replies"))
+    ledger = _written(_ledger(g, made.where(F.col("level") < sent)), f"{folder}/ledger")
+    delete(spark, f"{folder}/steps")
+    delete(spark, f"{folder}/replies")
+    return Outcome(tree, ledger, seconds, counts)
+
+
+def _holds(g: GraphLayout, step: DataFrame, vid: int) -> bool:
+    return not step.where((F.col("kind") == "found") & (F.col("owner") == vid // g.size) & F.array_contains("slots", vid % g.size)).isEmpty()
+
+
+def _ledger(g: GraphLayout, rows: DataFrame) -> DataFrame:
     """A row for each message between different blocks; copies of a message to all are counted without being made."""
-    sent = rows.where("kind in ('message', 'request')").select("to_block", "kind", "owner", "n_bits", "n_set", F.octet_length("payload").cast("long").alias("bytes"))
+    sent = rows.where("kind in ('message', 'request')").select("level", "to_block", "kind", "owner", "n_bits", "n_set", F.octet_length("payload").cast("long").alias("bytes"))
     every = F.sequence(F.lit(0).cast("long"), F.lit(g.blocks - 1).cast("long"))
     sent = sent.withColumn("to_block", F.explode(F.when(F.col("to_block") < 0, every).otherwise(F.array("to_block")))).where("to_block <> owner")
     asked = F.col("kind") == "request"  # a request goes from the needer to the owner
     return sent.select(
-        F.lit(level).cast("long").alias("level"),
+        "level",
         F.when(asked, F.col("to_block")).otherwise(F.col("owner")).alias("owner_block"),
         F.when(asked, F.col("owner")).otherwise(F.col("to_block")).alias("needer_block"),
         F.when(asked, "request").otherwise("reply").alias("direction"),

@@ -3,7 +3,7 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from graphwave.functions.codecs import CODECS, Wah, huffman_codes, huffman_lengths, wah_count, wah_logical, wah_not
+from graphwave.functions.codecs import CODECS, Wah, decode_many, encode_many, huffman_codes, huffman_lengths, wah_count, wah_logical, wah_not
 
 
 def sets(n):
@@ -62,3 +62,16 @@ def test_huffman_is_a_prefix_code():
     assert lengths == {0: 1, 1: 3, 2: 2, 255: 3}  # 255 and 1 are merged first
     codes = list(huffman_codes(lengths).values())
     assert not any(a != b and b.startswith(a) for a in codes for b in codes)
+
+
+@settings(max_examples=60, deadline=None)
+@given(st.integers(1, 300).flatmap(lambda n: st.tuples(st.just(n), st.lists(st.sets(st.integers(0, n - 1)), max_size=6))), st.sampled_from(["wah", "wah8", "wah64", "bitmap", "varint"]))
+def test_many_sets_at_once(case, codec):
+    """Payloads of many sets are those of each set alone, and all members come back."""
+    n, sets_ = case
+    rows = [np.array(sorted(s), dtype=np.int64) for s in sets_]
+    slots, ends = np.concatenate([*rows, np.zeros(0, np.int64)]), np.cumsum([0, *map(len, rows)])
+    payloads = encode_many(codec, slots, ends, n)
+    assert payloads == [CODECS[codec][0](r, n) for r in rows]
+    which, found = decode_many(codec, payloads, [n] * len(rows))
+    assert sorted(zip(which.tolist(), found.tolist(), strict=True)) == [(i, x) for i, r in enumerate(rows) for x in r.tolist()]
