@@ -1,24 +1,24 @@
 """Benchmark decontamination by SimHash over item-sized windows.
 
-Words are lower-cased runs of letters and digits; shingles are five words, or all words of a shorter item. Every item and every
-window of a text that is as many words long as an item gets a 64-bit SimHash of its shingles, weighted by how often each occurs.
-A multi-index over eight blocks of eight bits finds, for each window, every item whose fingerprint lies within the radius: two
-fingerprints that differ in at most r bits differ in at most r // 8 bits in some block, so tables of all block values within that
-distance miss none. Each such pair is then compared exactly: the weighted Jaccard similarity of the two multisets of shingles must
-reach the threshold.
-
-A window without any shingle of any item has similarity 0 with all of them, so fingerprints are only made for windows around words
-at which some item's shingle stands, and only for lengths of items that have it; this loses nothing. A text shorter than an item
-is one window.
-
-The items are a stated query set: they are read in blocks of bounded size, and each block goes over all rows. Null and empty
-texts and items have no words and match nothing. Of several windows with one item, the one with the highest similarity is
-reported, then the nearest fingerprint, then the first. Repeated rows are reported once per row.
+Words are lower-cased runs of letters and digits; shingles are five words, or all words of a shorter item. Every item, and every window of
+every text that is as many words long as an item, gets a 64-bit SimHash of its shingles, weighted by how often each occurs. A multi-index
+over eight blocks of eight bits finds, for each window, the items whose fingerprint may lie within the radius: two fingerprints that differ
+in at most r bits differ in at most r // 8 bits in some block, so tables of all block values within that distance miss none; the distance of
+those is then worked out. Each pair within the radius is verified: first by how many of the window's shingles are any item's, which bounds
+the similarity from above, then exactly, by the weighted Jaccard similarity of the two multisets of shingles.
+
+A text shorter than an item is one window. An item of fewer than five words is a single shingle, whose fingerprint is its hash, and matches
+equal shingles only.
+
+The items are a stated query set: they are read in blocks of bounded size, and each block goes over all rows. Windows are worked out in
+pieces of bounded size. Null and empty texts and items have no words and match nothing. Of several windows with one item, the one with the
+highest similarity is reported, then the nearest fingerprint, then the first. Repeated rows are reported once per row.
 """
 
 from __future__ import annotations
 
 from collections import Counter
+from collections.abc import Iterator
 from functools import reduce
 
 import numpy as np
@@ -26,44 +26,49 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Words, arrow_map, shingles, texts_of
+from .common import Words, arrow_map, cut, shingles, texts_of
 
 SHINGLE, SIMILARITY, RADIUS = 5, 0.8, 23
 #: Bytes of benchmark text that go over the rows at once.
 BLOCK_BYTES = 8 << 20
+#: Windows that are worked out at once, and items that one index holds (a bit each).
+PIECE, GROUP = 8_192, 64
 _BLOCKS = 8
 
 
-def fingerprint_sums(hashes: np.ndarray) -> np.ndarray:
+def bit_sums(hashes: np.ndarray, kind=np.int32) -> np.ndarray:
     """Row i: for each of 64 bits, how many of the first i hashes have it set less how many don't."""
-    bits = np.unpackbits(hashes.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").astype(np.int32)
-    sums = np.zeros((len(hashes) + 1, 64), dtype=np.int32)
-    np.cumsum(2 * bits - 1, axis=0, out=sums[1:])
+    bits = np.unpackbits(hashes.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").view(np.int8)
+    sums = np.zeros((len(hashes) + 1, 64), dtype=kind)
+    np.cumsum(2 * bits - 1, axis=0, out=sums[1:], dtype=kind)
     return sums
 
 
 def fingerprints(sums: np.ndarray) -> np.ndarray:
-    return np.packbits(sums > 0, axis=1, bitorder="little").view("<u8").ravel()
+    return np.packbits((sums > 0).ravel(), bitorder="little").view("<u8")
 
 
-def block_table(prints: np.ndarray, radius: int) -> np.ndarray:
-    """table[block, value]: which fingerprints have a block value within radius // 8 bits of this value."""
-    values = np.arange(256, dtype=np.uint8)
-    blocks = prints.astype("<u8").view(np.uint8).reshape(-1, _BLOCKS)
-    near = np.bitwise_count(values[:, None] ^ values[None, :]) <= radius // _BLOCKS
-    return np.stack([near[:, blocks[:, b]] for b in range(_BLOCKS)])
+class Index:
+    """Fingerprints of up to GROUP items; for every block and block value, the items that differ from it in at most radius // 8 bits."""
 
+    def __init__(self, prints: np.ndarray, radius: int):
+        self.prints, self.radius = prints, radius
+        values = np.arange(256, dtype=np.uint8)
+        near = np.bitwise_count(values[:, None] ^ values[None, :]) <= radius // _BLOCKS
+        blocks = prints.astype("<u8").view(np.uint8).reshape(-1, _BLOCKS)
+        bit = np.uint64(1) << np.arange(len(prints), dtype=np.uint64)
+        self.table = np.stack([(near[:, blocks[:, b]] * bit).sum(axis=1, dtype=np.uint64) for b in range(_BLOCKS)])
 
-def within(table: np.ndarray, prints: np.ndarray, windows: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Every (window, item, distance) within the radius, by way of the block tables."""
-    parts = windows.astype("<u8").view(np.uint8).reshape(-1, _BLOCKS)
-    found = table[0][parts[:, 0]]
-    for b in range(1, _BLOCKS):
-        found = found | table[b][parts[:, b]]
-    w, i = np.nonzero(found)
-    apart = np.bitwise_count(windows[w] ^ prints[i])
-    keep = apart <= radius
-    return w[keep], i[keep], apart[keep]
+    def within(self, windows: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Every (window, item, distance) within the radius."""
+        parts = windows.astype("<u8").view(np.uint8).reshape(-1, _BLOCKS)
+        maybe = self.table[0][parts[:, 0]]
+        for b in range(1, _BLOCKS):
+            maybe |= self.table[b][parts[:, b]]
+        own = np.flatnonzero(maybe)
+        apart = np.bitwise_count(windows[own, None] ^ self.prints)
+        w, i = np.divmod(np.flatnonzero(apart.ravel() <= self.radius), len(self.prints))
+        return own[w], i, apart[w, i]
 
 
 def weighted_jaccard(a: Counter, b: Counter) -> float:
@@ -78,112 +83,121 @@ class Items:
         self.radius, self.similarity = radius, similarity
         words = Words(texts, letters_only=True)
         hashes, rows, _ = shingles(words, SHINGLE)
-        cut = np.searchsorted(rows, np.arange(len(texts) + 1))
-        self.groups = {}  # words of the item: ids, shingle multisets, fingerprints, block table
+        cut_at = np.searchsorted(rows, np.arange(len(texts) + 1))
         members: dict[int, list[int]] = {}
         for i, n in enumerate(words.count.tolist()):
             if n:
                 members.setdefault(n, []).append(i)
-        for n, who in members.items():
-            own = [hashes[cut[i] : cut[i + 1]] for i in who]
-            prints = np.concatenate([fingerprints(fingerprint_sums(h)[-1:]) for h in own])
-            self.groups[n] = ([ids[i] for i in who], [Counter(h.tolist()) for h in own], prints, block_table(prints, radius))
-        # which lengths a shingle stands for; shingles of short items are kept by their own length
-        self.short: dict[int, set[int]] = {}
-        known: dict[int, set[int]] = {}
-        for n, (_, bags, _, _) in self.groups.items():
-            for bag in bags:
-                if n < SHINGLE:
-                    self.short.setdefault(n, set()).update(bag)
-                    continue
-                for h in bag:
-                    known.setdefault(h, set()).add(n)
-        self.known = np.array(sorted(known), dtype=np.uint64)
-        self.lengths = [sorted(known[int(h)]) for h in self.known]
-        self.quick = np.zeros(1 << 20, dtype=bool)
-        self.quick[(self.known & np.uint64((1 << 20) - 1)).astype(np.int64)] = True
-        self.longest = max(self.groups, default=0)
-
-    def _hits(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        maybe = np.flatnonzero(self.quick[(hashes & np.uint64((1 << 20) - 1)).astype(np.int64)])
-        if not len(maybe) or not len(self.known):
-            return maybe[:0], maybe[:0]
-        at = np.minimum(np.searchsorted(self.known, hashes[maybe]), len(self.known) - 1)
-        real = self.known[at] == hashes[maybe]
-        return maybe[real], at[real]
-
-    def _judge(self, best: dict, n: int, hashes: np.ndarray, starts: np.ndarray, span: int, first: int = 0) -> None:
-        """Windows of `span` shingles from `starts` against the items of n words; the first shingle stands at word `first`."""
-        ids, bags, prints, table = self.groups[n]
-        lo, hi = int(starts[0]), int(starts[-1]) + span
-        sums = fingerprint_sums(hashes[lo:hi])
-        windows = fingerprints(sums[starts - lo + span] - sums[starts - lo])
-        w, i, apart = within(table, prints, windows, self.radius)
+        self.groups: list[tuple[int, list, list[Counter], Index]] = []  # shingles of the items: ids, multisets, index
+        self.short: dict[int, tuple[np.ndarray, dict[int, list]]] = {}
+        known = []
+        for n, who in sorted(members.items()):
+            own = [hashes[cut_at[i] : cut_at[i + 1]] for i in who]
+            if n < SHINGLE:
+                by: dict[int, list] = {}
+                for i, h in zip(who, own, strict=True):
+                    by.setdefault(int(h[0]), []).append(ids[i])
+                self.short[n] = np.array(sorted(by), dtype=np.uint64), by
+                continue
+            known += own
+            prints = np.concatenate([fingerprints(bit_sums(h)[-1:]) for h in own])
+            for a in range(0, len(who), GROUP):
+                part = slice(a, a + GROUP)
+                self.groups.append((n - SHINGLE + 1, [ids[i] for i in who[part]], [Counter(h.tolist()) for h in own[part]], Index(prints[part], radius)))
+        self.known = np.unique(np.concatenate(known)) if known else np.zeros(0, np.uint64)
+        self.longest = max((g[0] for g in self.groups), default=0)
+
+    def _known_before(self, hashes: np.ndarray) -> np.ndarray:
+        """How many of the first i hashes are some item's."""
+        at = np.minimum(np.searchsorted(self.known, hashes), len(self.known) - 1)
+        return np.concatenate(([0], np.cumsum(self.known[at] == hashes)))
+
+    def _verify(self, found: dict, group: tuple, hashes: np.ndarray, known: np.ndarray, starts: np.ndarray, stops: np.ndarray, row: np.ndarray, first: np.ndarray, near: tuple) -> None:
+        """Exact similarity of the pairs (window, item, distance) in `near`; windows are starts to stops of the hashes, in rows that begin at
+        first[row]."""
+        span, ids, bags, _ = group
+        w, i, apart = near
+        size = stops[w] - starts[w]
+        # the multisets share at most the window's shingles that are some item's
+        both = known[stops[w]] - known[starts[w]]
+        keep = np.flatnonzero(both >= self.similarity * (size + span - both) - 1e-9)
+        w, i, apart = w[keep], i[keep], apart[keep]
         for k in np.lexsort((starts[w], apart)).tolist():
-            item, start = int(i[k]), int(starts[w[k]])
+            item, a, b = int(i[k]), int(starts[w[k]]), int(stops[w[k]])
+            best = found.setdefault(int(row[w[k]]), {})
             old = best.get(ids[item])
             if old is not None and old[0] == 1.0:
                 continue
-            s = weighted_jaccard(Counter(hashes[start : start + span].tolist()), bags[item])
-            if s >= self.similarity and (old is None or s > old[0]):
-                best[ids[item]] = (s, int(apart[k]), first + start)
+            s = weighted_jaccard(Counter(hashes[a:b].tolist()), bags[item])
+            if s >= self.similarity and (old is None or (-s, int(apart[k]), a) < (-old[0], old[1], old[2])):
+                best[ids[item]] = (s, int(apart[k]), a, a - int(first[row[w[k]]]))
 
     def search(self, texts: list[str]) -> list[tuple[int, object, int, int, float]]:
         """(row, item id, first word, distance, similarity) of every row and item that match."""
-        out = []
         words = Words(texts, letters_only=True)
         found: dict[int, dict] = {}
-        if len(self.known):
+        if self.groups:
             hashes, rows, _ = shingles(words, SHINGLE)
-            pos, which = self._hits(hashes)
-            cut = np.searchsorted(rows, np.arange(len(texts) + 1))
-            hit_rows = rows[pos]
-            for row in np.unique(hit_rows).tolist():
-                mine = slice(*np.searchsorted(hit_rows, [row, row + 1]))
-                own = hashes[cut[row] : cut[row + 1]]
-                self._row(found.setdefault(row, {}), own, pos[mine] - cut[row], which[mine])
-        for n, known in self.short.items():  # items of fewer than five words: windows of one shingle of n words
+            first = np.searchsorted(rows, np.arange(len(texts) + 1))
+            known = self._known_before(hashes)
+            last = first[rows + 1] if len(rows) else rows  # where each shingle's row ends
+            kind = np.int16 if PIECE + self.longest < 30_000 else np.int32
+            for lo in range(0, len(hashes), PIECE):
+                hi = min(lo + PIECE, len(hashes))
+                sums = bit_sums(hashes[lo : hi + self.longest], kind)
+                for group in self.groups:
+                    n = min(hi, len(hashes) - group[0] + 1) - lo
+                    if n > 0:
+                        prints = fingerprints(sums[group[0] : group[0] + n] - sums[:n])
+                        w, i, apart = group[3].within(prints)
+                        inside = np.flatnonzero(lo + w + group[0] <= last[lo + w])  # a window ends with its row
+                        w, i, apart = w[inside], i[inside], apart[inside]
+                        if len(w):
+                            at = np.arange(lo, lo + n)
+                            self._verify(found, group, hashes, known, at, at + group[0], rows[lo : lo + n], first, (w, i, apart))
+            count = np.diff(first)
+            small = np.flatnonzero((count > 0) & (count < self.longest))  # rows that some item is longer than
+            for lo in range(0, len(small), 512):
+                own = small[lo : lo + 512]
+                prints = np.concatenate([fingerprints(bit_sums(hashes[first[r] : first[r + 1]])[-1:]) for r in own.tolist()])
+                for group in self.groups:
+                    less = np.flatnonzero((count[own] < group[0]) & (count[own] >= self.similarity * group[0]))
+                    if len(less):
+                        r = own[less]
+                        self._verify(found, group, hashes, known, first[r], first[r + 1], r, first, group[3].within(prints[less]))
+        for n, (values, by) in self.short.items():
             hashes, rows, at = shingles(words, n)
-            keep = (words.count[rows] >= n) & np.isin(hashes, np.array(sorted(known), dtype=np.uint64))
-            for k in np.flatnonzero(keep).tolist():
-                self._judge(found.setdefault(int(rows[k]), {}), n, hashes[k : k + 1], np.array([0]), 1, int(at[k]))
+            for k in np.flatnonzero((words.count[rows] >= n) & np.isin(hashes, values)).tolist():
+                for item in by[int(hashes[k])]:
+                    found.setdefault(int(rows[k]), {}).setdefault(item, (1.0, 0, k, int(at[k])))
+        out = []
         for row in sorted(found):
-            out += [(row, item, start, apart, s) for item, (s, apart, start) in found[row].items()]
+            out += [(row, item, start, apart, s) for item, (s, apart, _, start) in found[row].items()]
         return out
 
-    def _row(self, best: dict, own: np.ndarray, pos: np.ndarray, which: np.ndarray) -> None:
-        edges = np.flatnonzero(np.diff(pos) > self.longest) + 1
-        for hits, kinds in zip(np.split(pos, edges), np.split(which, edges), strict=True):
-            for n in sorted({x for k in set(kinds.tolist()) for x in self.lengths[k]}):
-                span = n - SHINGLE + 1
-                if span >= len(own):  # the text is no longer than the item
-                    self._judge(best, n, own, np.array([0]), len(own))
-                    continue
-                of = hits[[n in self.lengths[k] for k in kinds.tolist()]]
-                lo, hi = max(0, int(of[0]) - span + 1), min(int(of[-1]), len(own) - span)
-                if lo <= hi:
-                    self._judge(best, n, own, np.arange(lo, hi + 1), span)
-
-
-def item_blocks(benchmark: DataFrame, id_column: str = "item_id", text: str = "text", most: int = BLOCK_BYTES) -> list[list[tuple]]:
-    """The query set in blocks of at most `most` bytes (or one item). How many blocks there are follows from a distributed sum."""
+
+def item_blocks(benchmark: DataFrame, id_column: str = "item_id", text: str = "text", most: int = BLOCK_BYTES) -> Iterator[list[tuple]]:
+    """The query set in blocks of about `most` bytes (or one item), one after the other. How many blocks there are follows from a
+    distributed sum."""
     items = benchmark.where(F.length(F.trim(F.col(text))) > 0)
     total = items.agg(F.sum(F.octet_length(text))).first()[0] or 0
     n = max(1, -(-int(total) // most))
-    blocks = []
     for k in range(n):
         own = items if n == 1 else items.where(F.pmod(F.xxhash64(id_column), F.lit(n)) == k)
-        blocks.append([tuple(r) for r in own.select(id_column, text).collect()])
-    return [b for b in blocks if b]
+        block = [tuple(r) for r in own.select(id_column, text).collect()]
+        if block:
+            yield block
 
 
-def find_leaks(docs: DataFrame, benchmark: DataFrame, id_column: str = "doc_id", text: str = "text", item_column: str = "item_id", item_text: str = "text", radius: int = RADIUS, similarity: float = SIMILARITY) -> DataFrame:
-    """(id, item id, first_word, hamming, similarity) of every text and item of which the text holds a passage."""
+def find_leaks(docs: DataFrame, benchmark: DataFrame, id_column: str = "doc_id", text: str = "text", item_column: str = "item_id", item_text: str = "text", radius: int = RADIUS, similarity: float = SIMILARITY, most: int = BLOCK_BYTES) -> DataFrame:
+    """(id, item id, first_word, hamming, similarity) of every text and item of which the text holds a passage. What one block finds is
+    written before the next is read, so the driver holds one block."""
     kind, item_kind = dict(docs.dtypes)[id_column], dict(benchmark.dtypes)[item_column]
-    schema = f"{id_column} {kind}, {item_column} {item_kind}, first_word long, hamming long, similarity double"
+    schema = f"`{id_column}` {kind}, `{item_column}` {item_kind}, first_word long, hamming long, similarity double"
     item_type = benchmark.select(item_column).limit(0).toArrow().schema.field(0).type
+    names = [id_column, item_column, "first_word", "hamming", "similarity"]
     parts = []
-    for block in item_blocks(benchmark, item_column, item_text):
+    for block in item_blocks(benchmark, item_column, item_text, most):
         shared = docs.sparkSession.sparkContext.broadcast(block)
 
         def make(shared=shared):
@@ -192,21 +206,26 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, id_column: str = "doc_id",
             def run(batch):
                 rows = items.search(texts_of(batch.column(1)))
                 cols = list(zip(*rows, strict=True)) if rows else [[]] * 5
-                return pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(cols[0], pa.int64())), pa.array(cols[1], item_type), pa.array(cols[2], pa.int64()), pa.array(cols[3], pa.int64()), pa.array(cols[4], pa.float64())], [id_column, item_column, "first_word", "hamming", "similarity"])
+                return pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(cols[0], pa.int64())), pa.array(cols[1], item_type), pa.array(cols[2], pa.int64()), pa.array(cols[3], pa.int64()), pa.array(cols[4], pa.float64())], names)
 
             return run
 
-        parts.append(arrow_map(docs.select(id_column, text), schema, make))
+        parts.append(cut(arrow_map(docs.select(id_column, text), schema, make)))
+        shared.unpersist()
     if not parts:
         return docs.sparkSession.createDataFrame([], schema)
     return reduce(DataFrame.unionByName, parts)
 
 
-def clean(docs: DataFrame, benchmark: DataFrame, text: str = "text", item_column: str = "item_id", item_text: str = "text", radius: int = RADIUS, similarity: float = SIMILARITY) -> DataFrame:
-    """The rows that hold no passage of any item, with all their columns. Blocks of items are passed one after another."""
-    column = docs.columns.index(text)
-    for block in item_blocks(benchmark, item_column, item_text):
-        shared = docs.sparkSession.sparkContext.broadcast(block)
+def clean(docs: DataFrame, benchmark: DataFrame, text: str = "text", item_column: str = "item_id", item_text: str = "text", radius: int = RADIUS, similarity: float = SIMILARITY, most: int = BLOCK_BYTES) -> DataFrame:
+    """The rows that hold no passage of any item, with all their columns. Blocks of items are passed one after another; between two blocks
+    the rows that are left are written."""
+    column, before = docs.columns.index(text), None
+    for block in item_blocks(benchmark, item_column, item_text, most):
+        docs = docs if before is None else cut(docs)
+        if before is not None:
+            before.unpersist()
+        before = shared = docs.sparkSession.sparkContext.broadcast(block)
 
         def make(shared=shared):
             items = Items([b[0] for b in shared.value], [b[1] for b in shared.value], radius, similarity)

@@ -185,12 +185,33 @@ def test_leaks_equal_brute_force(spark):
     assert kept.columns == docs.columns and {r["doc_id"] for r in kept.collect()} == set(texts) - {d for d, _ in want}
 
 
+def test_long_texts_and_long_items(monkeypatch):
+    """Windows over several pieces, many items of one length, an item longer than a piece, and repeated words."""
+    rng = random.Random(8)
+    v = [f"u{i}" for i in range(3_000)]
+    items = {i: " ".join(rng.choices(v, k=30)) for i in range(150)} | {500: " ".join(rng.choices(v, k=700)), 501: "na " * 40, 502: "one two"}
+    body = rng.choices(v, k=9_000)
+    for at, i in ((0, 3), (252, 77), (4_000, 149), (8_960, 8)):
+        body[at : at + 30] = items[i].split()
+    body[5_000:5_700] = items[500].split()
+    body[5_300] = "changed"
+    texts = [" ".join(body), "na " * 300, items[500], " ".join(items[500].split()[:600]), "x one Two y"]
+    got = decontaminate.Items(list(items), list(items.values())).search(texts)
+    monkeypatch.setattr(decontaminate, "PIECE", 256)
+    assert sorted(decontaminate.Items(list(items), list(items.values())).search(texts)) == sorted(got)
+    assert {(r, i) for r, i, *_ in got} == {(0, 3), (0, 77), (0, 149), (0, 8), (0, 500), (1, 501), (2, 500), (3, 500), (4, 502)}
+    assert {(r, i): at for r, i, at, *_ in got if r == 0} == {(0, 3): 0, (0, 77): 252, (0, 149): 4_000, (0, 8): 8_960, (0, 500): 5_000}
+
+
 def test_items_in_blocks(spark, monkeypatch):
     items, texts = leak_case()
     docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
     bench = spark.createDataFrame(list(items.items()), "item_id long, text string")
-    blocks = decontaminate.item_blocks(bench, most=1_000)
+    blocks = list(decontaminate.item_blocks(bench, most=1_000))
     assert len(blocks) > 2 and sum(map(len, blocks)) == 27
+    one = {tuple(r) for r in decontaminate.find_leaks(docs, bench).collect()}
+    assert {tuple(r) for r in decontaminate.find_leaks(docs, bench, most=1_000).collect()} == one
+    assert {r[0] for r in decontaminate.clean(docs, bench, most=1_000).select("doc_id").collect()} == set(texts) - {r[0] for r in one}
     assert decontaminate.find_leaks(docs.limit(0), bench).count() == 0 and decontaminate.find_leaks(docs, bench.limit(0)).count() == 0
 
 
@@ -201,7 +222,7 @@ def test_block_index_misses_nothing():
     for _ in range(14):
         windows = windows ^ (np.uint64(1) << rng.integers(0, 64, len(windows)).astype(np.uint64))
     for radius in (3, 7, 15, 23):
-        w, i, apart = decontaminate.within(decontaminate.block_table(items, radius), items, windows, radius)
+        w, i, apart = decontaminate.Index(items, radius).within(windows)
         got = set(zip(w.tolist(), i.tolist(), strict=True))
         assert got == {(a, b) for a in range(len(windows)) for b in range(50) if int(windows[a] ^ items[b]).bit_count() <= radius}
 
