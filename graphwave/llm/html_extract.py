@@ -6,15 +6,18 @@ parent points for its length and its commas, the grandparent half, the next ones
 share of its text that stands in links. The best container is kept whole, with those siblings that read like article text.
 
 Blocks are what stands between block-level borders: character references decoded, white space turned into one blank, trimmed;
-empty blocks vanish, the others are joined by two line ends in page order. Null and empty pages give the empty string, and so
+empty blocks vanish, the others are joined by two line ends in page order. Formulas stay, their annotations don't. A part of an article
+that is only told by a word such as `alert` or `related` is judged by what it holds: prose stays, lists of links and short remarks go.
+Null and empty pages give the empty string, and so
 does a page that is nothing but set-aside parts. With equal points the container that comes first wins. Pages of any depth or
-length are read without recursion; rows are mapped one by one, so repeated rows and extra columns need no care.
+length are read without recursion and in time that grows with their length, however broken their markup is; rows are mapped one by one, so repeated rows and extra columns need no care.
 """
 
 from __future__ import annotations
 
 import html
 import re
+from collections import Counter
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -23,7 +26,7 @@ from .common import arrow_map
 
 #: Fixed values of the markup language.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-SKIPPED = frozenset("script style textarea title noscript iframe template xmp noembed noframes svg math select object audio video canvas".split())
+SKIPPED = frozenset("script style textarea title noscript iframe template xmp noembed noframes svg annotation annotation-xml select object audio video canvas".split())
 BLOCKS = frozenset(
     "address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form frameset h1 h2 h3 h4 h5 h6 "
     "header hgroup hr html li main menu nav ol p pre search section summary table tbody td tfoot th thead tr ul caption legend".split()
@@ -52,13 +55,15 @@ ASIDE_WORDS = LAYOUT_WORDS | frozenset(
     "notices notification alert popup modal lightbox newsletter subscribe subscription signup login share sharing social related recommended "
     "recommendations pagination pager skip toolbar outbrain taboola".split()
 )
+#: Words that are also said of parts of an article, which are then judged by what they hold.
+SOFT_WORDS = frozenset("alert notification notices promo promos promotion promoted share sharing social related recommended recommendations discussion popup modal lightbox skip toolbar sponsor sponsored sponsors".split())
 LIKELY_WORDS = frozenset("article body content entry main page post text blog story".split())
 START = {"article": 25, "main": 20, "div": 5, "section": 3, "pre": 3, "td": 3, "blockquote": 3, "address": -3, "ol": -3, "ul": -3, "dl": -3, "dd": -3, "dt": -3, "li": -3, "form": -3, "th": -5} | {f"h{i}": -5 for i in range(1, 7)}
 PARAGRAPHS = frozenset("p pre td blockquote li dd figcaption".split())
 PROSE = frozenset("p pre blockquote ul ol dl table figure h1 h2 h3 h4 h5 h6".split())
 
-_TAG = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>")
-_LOOSE = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)([^>]*)>")
+_NAME = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)")
+_STOP = re.compile(r"[>\"']")
 _ATTR = re.compile(r"([a-zA-Z_:][-\w:.]*)\s*(?:=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
 _WORD = re.compile(r"[a-z0-9]+")
 _HUMP = re.compile(r"(?<=[a-z])(?=[A-Z])")
@@ -75,13 +80,39 @@ def _words(value: str) -> set[str]:
     return set(_WORD.findall(_HUMP.sub(" ", value).lower()))
 
 
+class Tags:
+    """Finds the ends of tags. A quote hides what ends a tag; a quote that nothing closes is taken as a mark. Where quotes pair up so that no
+    tag ends before the page does, the next end is taken; after LOST such cases the page's quotes are no longer looked at, so that a page
+    is never read over and over."""
+
+    LOST = 16
+
+    def __init__(self, source: str):
+        self.source, self.lost = source, 0
+        self.last = {c: source.rfind(c) for c in "\"'>"}
+
+    def end(self, at: int) -> int:
+        """Where the tag whose name ends at `at` has its closing mark; -1 without any."""
+        source = self.source
+        if at > self.last[">"]:
+            return -1
+        if self.lost < self.LOST:
+            k = at
+            while (m := _STOP.search(source, k)) is not None:
+                if m[0] == ">":
+                    return m.start()
+                k = m.end() if m.start() >= self.last[m[0]] else source.index(m[0], m.end()) + 1
+            self.lost += 1
+        return source.find(">", at)
+
+
 class Page:
     """Elements in page order (tag, parent, end of their subtree) and text runs (element, block, text)."""
 
     def __init__(self, source: str):
         self.tag: list[str] = ["#root"]
         self.parent: list[int] = [-1]
-        self.aside: list[int] = [0]  # 1: by its element, role, being hidden, class or id; 2: by a word of layout in its class or id
+        self.aside: list[int] = [0]  # 1: by its element, role, being hidden, class or id; 2: by a word of layout in its class or id; 3: by a soft word
         self.weight: list[int] = [0]
         self.stop: list[int] = [0]
         self.runs: list[tuple[int, int, str]] = []
@@ -98,7 +129,8 @@ class Page:
             names = _words(f"{a.get('class', '')} {a.get('id', '')}")
             if names:
                 if names & ASIDE_WORDS and tag not in ("html", "body", "article", "main"):
-                    aside = aside or (2 if names & ASIDE_WORDS <= LAYOUT_WORDS else 1)
+                    told = names & ASIDE_WORDS
+                    aside = aside or (2 if told <= LAYOUT_WORDS else 3 if told <= SOFT_WORDS else 1)
                 weight = 25 * bool(names & LIKELY_WORDS) - 25 * bool(names & ASIDE_WORDS)
         i = len(self.tag)
         self.tag.append(tag)
@@ -112,9 +144,13 @@ class Page:
     def _read(self, source: str) -> None:
         stack, block, at, n = [0], 0, 0, len(source)
         tags, stop, runs = self.tag, self.stop, self.runs
+        ends = Tags(source)
+        opened: Counter[str] = Counter()  # how many elements of a name are open, so that none is looked for in vain
+        comments, marks = source.rfind("-->"), source.rfind(">")
 
         def close(depth: int) -> None:
             while len(stack) > depth:
+                opened[tags[stack[-1]]] -= 1
                 stop[stack.pop()] = len(tags)
 
         while at < n:
@@ -126,28 +162,30 @@ class Page:
             if lt == n:
                 break
             if source.startswith("<!--", lt):
-                end = source.find("-->", lt + 4)
+                end = source.find("-->", lt + 4) if comments >= lt + 4 else -1
                 at = n if end < 0 else end + 3
                 continue
             if source.startswith(("<!", "<?"), lt):
-                end = source.find(">", lt)
+                end = source.find(">", lt) if marks > lt else -1
                 at = n if end < 0 else end + 1
                 continue
-            m = _TAG.match(source, lt) or _LOOSE.match(source, lt)
-            if m is None:
+            m = _NAME.match(source, lt)
+            end = ends.end(m.end()) if m is not None else -1
+            if end < 0:
                 runs.append((stack[-1], block, "<"))
                 at = lt + 1
                 continue
-            at, tag = m.end(), m[2].lower()
+            at, tag, inner = end + 1, m[2].lower(), source[m.end() : end]
             if m[1]:
-                for k in range(len(stack) - 1, 0, -1):
-                    if tags[stack[k]] == tag:
-                        close(k)
-                        break
+                if opened[tag]:
+                    k = len(stack) - 1
+                    while tags[stack[k]] != tag:
+                        k -= 1
+                    close(k)
                 block += tag in BLOCKS
                 continue
             if tag in SKIPPED:
-                if not m[3].endswith("/"):
+                if not inner.endswith("/"):
                     end = re.compile(rf"</{re.escape(tag)}(?=[\s/>])[^>]*>", re.IGNORECASE).search(source, at)
                     at = end.end() if end else n
                 continue
@@ -155,7 +193,7 @@ class Page:
                 if tag == "br":
                     runs.append((stack[-1], block, " "))
                 continue
-            if tag in CLOSES_P:
+            if tag in CLOSES_P and opened["p"]:
                 for k in range(len(stack) - 1, 0, -1):
                     t = tags[stack[k]]
                     if t == "p":
@@ -164,19 +202,20 @@ class Page:
                     if t in BLOCKS:
                         break
             if tag in IMPLIED:
-                ends, borders = IMPLIED[tag]
-                for k in range(len(stack) - 1, 0, -1):
+                closed, borders = IMPLIED[tag]
+                for k in range(len(stack) - 1, 0, -1) if any(map(opened.__getitem__, closed)) else ():
                     t = tags[stack[k]]
                     if t in borders:
                         break
-                    if t in ends:
+                    if t in closed:
                         close(k)
                         if tag not in ("tr", "tbody", "tfoot"):
                             break
             block += tag in BLOCKS
             if tag in VOID:
                 continue
-            self._open(tag, m[3], stack)
+            self._open(tag, inner, stack)
+            opened[tag] += 1
         close(0)
 
     def text(self) -> str:
@@ -185,29 +224,39 @@ class Page:
         sure = [False] * n
         for i in range(1, n):
             sure[i] = sure[parent[i]] or self.aside[i] == 1
-        mass = [0] * n
+        linked, within = [False] * n, [False] * n  # in a link, in an article
+        for i in range(1, n):
+            linked[i] = linked[parent[i]] or tags[i] == "a"
+            within[i] = within[parent[i]] or tags[parent[i]] in ("article", "main")
+        mass, by_link, sentences = [0] * n, [0] * n, [0] * n
         for node, _, run in self.runs:
             if not sure[node]:
-                mass[node] += len(run.strip())
+                k = len(run.strip())
+                mass[node] += k
+                by_link[node] += k * linked[node]
+                sentences[node] += run.count(".") + run.count("!") + run.count("?") + run.count("。")
         holds = [False] * n
         for i in range(n - 1, 0, -1):
             mass[parent[i]] += mass[i]
+            by_link[parent[i]] += by_link[i]
+            sentences[parent[i]] += sentences[i]
             if not sure[i] and (holds[i] or tags[i] in ("article", "main") or self.weight[i] > 0):
                 holds[parent[i]] = True
         for i in range(1, n):
             holds[i] = holds[i] or 2 * mass[i] > mass[0]
         gone = [False] * n
         for i in range(1, n):
-            gone[i] = gone[parent[i]] or self.aside[i] == 1 or (self.aside[i] == 2 and not holds[i])
-        linked = [False] * n
-        for i in range(1, n):
-            linked[i] = linked[parent[i]] or tags[i] == "a"
+            prose = within[i] and mass[i] >= 100 and 3 * by_link[i] < mass[i] and sentences[i] > 0
+            gone[i] = gone[parent[i]] or self.aside[i] == 1 or (self.aside[i] == 2 and not holds[i]) or (self.aside[i] == 3 and not prose)
         blocks: dict[int, list[tuple[int, str]]] = {}
         for node, block, run in self.runs:
             if not gone[node]:
                 blocks.setdefault(block, []).append((node, run))
         size, links = [0] * n, [0] * n
         done: list[tuple[int, str]] = []  # element and text of each block
+        block_of = [0] * n  # the nearest block element
+        for i in range(1, n):
+            block_of[i] = i if tags[i] in BLOCKS else block_of[parent[i]]
         for runs in blocks.values():
             whole = " ".join(html.unescape("".join([r for _, r in runs])).split())
             if not whole:
@@ -218,9 +267,7 @@ class Page:
                 size[x] += k
                 if linked[x]:
                     links[x] += k
-            while tags[node] not in BLOCKS and node:
-                node = parent[node]
-            done.append((node, whole))
+            done.append((block_of[node], whole))
         if not done:
             return ""
         score: dict[int, float] = {}

@@ -1,6 +1,8 @@
 """Language identification, personal data, web pages and the language model."""
 
+import random
 import re
+import time
 
 import pytest
 
@@ -154,6 +156,55 @@ def test_clashing_surrogates_are_drawn_again(spark, monkeypatch):
 
 # ---------------------------------------------------------------------------------------------------------------------
 
+def built_page(r):
+    """A page made of parts, and the text of its article by construction."""
+    words = lambda n: " ".join(r.choices("stone river house bird &amp; over café &lt;b&gt; under &#233;t&eacute; seven".split(), k=n))
+    plain = lambda t: " ".join(t.replace("&amp;", "&").replace("&lt;", "<").replace("&gt;", ">").replace("&#233;", "é").replace("&eacute;", "é").split())
+    blocks, html = [], ""
+    for _ in range(r.randrange(3, 9)):
+        kind, text = r.choice(["p", "p", "p", "h2", "li", "blockquote", "open", "math"]), f"{words(r.randrange(12, 60))}, {words(5)}."
+        blocks.append(plain(text))
+        if kind == "li":
+            html += f"<ul><li>{text}</li></ul>"
+        elif kind == "open":  # a paragraph that isn't closed, with inline marks
+            html += f"\n<P class='x'>  <b>{text}</b>\n"
+        elif kind == "math":
+            html += f"<p>{text} <math><mi>a</mi><mo>+</mo><mi>b</mi></math></p>"
+            blocks[-1] += " a+b"
+        else:
+            html += f"<{kind}>{text}</{kind}>"
+        if r.random() < 0.3:
+            html += r.choice(["<script>var x = '<p>no</p>';</script>", "<!-- <p>no</p> -->", "<div class='ad'>Buy now</div>", "<aside>By the way</aside>", "<form><p>Your name</p><input></form>", "<style>p{}</style>", "<div class=related><a href=1>One more</a> <a href=2>Two more</a></div>"])
+    around = lambda: r.choice(["", "<nav><ul><li><a href='/a'>A</a></li></ul></nav>", "<header><p>The site</p></header>", "<div class='sidebar'><p>Some words beside, some more words, and even more of them.</p></div>", "<div id='cookie-notice'>We use cookies.</div>"])
+    holder = r.choice(["article", "main", "div class='post-content'"])
+    html = f"<html><head><title>T</title></head><body>{around()}{around()}<{holder}>{html}</{holder.split()[0]}>{around()}<div class='comments'><p>First, and a long remark, with commas, of a reader who has much to say about it all.</p></div><footer>End</footer></body></html>"
+    return html, "\n\n".join(blocks)
+
+
+def test_built_pages_equal_their_article():
+    r = random.Random(4)
+    for _ in range(300):
+        html, want = built_page(r)
+        assert html_extract.extract_text(html) == want
+
+
+@pytest.mark.parametrize(
+    "page",
+    ["<a " * 80_000, '<a href="x ' * 80_000, '<a href="x ' * 80_001 + ">", "<div>" * 20_000 + "</x>" * 20_000, "<span>" * 20_000 + "<hr>" * 20_000, "<div>" + "<span>" * 20_000 + "x<hr>" * 20_000, "<!-- " * 50_000, "<!" * 50_000, "<a b='x> " * 50_000, '<a "<b >" ' * 30_000, "<li>" * 30_000],
+    ids=range(11),
+)
+def test_broken_pages_take_linear_time(page):
+    began = time.process_time()
+    html_extract.extract_text(page)
+    assert time.process_time() - began < 5
+
+
+def test_soft_words_are_judged_by_content():
+    prose = "Mind that this paragraph is part of the article and says something that readers have to know, as its author meant."
+    page = f"<article><p>{prose}</p><div class='alert'><p>{prose}</p></div><div class='share'>Share this</div><div class='related'><a href=1>{prose}</a></div><div class='comments'><p>{prose}</p></div></article>"
+    assert html_extract.extract_text(page) == f"{prose}\n\n{prose}"
+
+
 PAGES = [
     (None, ""),
     ("", ""),
