@@ -41,6 +41,12 @@ def _letters() -> np.ndarray:
     return _LETTER
 
 
+def _folded(codes: np.ndarray) -> np.ndarray:
+    """16-bit codes of letters. Those beyond U+FFFF take the 8,192 codes from 0xD800 on, which no letter has; a script there is smaller than
+    that, so its letters stay apart (but for the rarer ideographs)."""
+    return np.where(codes > 0xFFFF, 0xD800 + (codes & 0x1FFF), codes)
+
+
 def normalised(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
     """Letters as 16-bit codes with single blanks between words, all texts in a row, and where each text begins. A text is
     led by ORDER - 1 blanks and closed by one; a text without letters has length 0."""
@@ -61,7 +67,7 @@ def normalised(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
     if not has.all():
         keep &= np.repeat(has, sizes)
     kept = np.concatenate(([0], np.cumsum(keep)))
-    out = np.where(letter, np.minimum(codes, 0xFFFF), 32)[keep].astype(np.uint64)
+    out = np.where(letter, _folded(codes), 32)[keep].astype(np.uint64)
     return out, np.concatenate((kept[starts], kept[-1:]))
 
 
@@ -192,7 +198,7 @@ class Model:
         cost, n = self.cross_entropy(texts)
         best = cost.argmin(axis=1)
         low = cost[np.arange(len(texts)), best]
-        score = 1.0 / np.exp2(-(cost - low[:, None]) * np.minimum(n, 40)[:, None]).sum(axis=1)
+        score = 1.0 / np.exp2(-(cost - low[:, None]) * n[:, None]).sum(axis=1)
         score[n == 0] = 0
         reject = (n == 0) | (low > self.limits(best, n))
         for i in np.flatnonzero(reject & (n > 0)):  # a passage said again is no further evidence
