@@ -6,7 +6,7 @@ fixed-size chunks at once: every chunk is tabulated from every state, the chunk
 then each chunk is run from the state in which it really begins. So a text of any length is split across chunks, and the cost
 does not depend on where texts begin. The second transducer reads the bytes of one piece. Its transitions carry how many tokens
 the encoding of what was read so far grows or shrinks by; it is made deterministic lazily, state by state, from the tokens that
-end at each place and which of them can follow which. A state keeps the part of a token still open and the last tokens before
+end at each place and which of them can follow which; a long piece is split into chunks, whose state maps are composed by a scan too. A state keeps the part of a token still open and the last tokens before
 each place within it, with counts relative to the present. The map of a whole piece is remembered.
 
 Null and empty texts have 0 bytes and 0 tokens. An added token's string inside a text counts as one token, as the library has it
@@ -216,16 +216,19 @@ class Transducer:
     open's start on to the present the last token before that place and the count there less the count now."""
 
     MOST = 250_000
+    #: Bytes of a chunk of a long piece, bytes before it that tell its state, and chunk maps that are kept.
+    CHUNK, WARM, KEPT = 2_048, 256, 2_000
 
     def __init__(self, merges: Merges):
         self.merges = merges
+        self.maps: dict[bytes, dict] = {}
+        self.first = (b"", ((-1, 0),))
         self.reset()
 
     def reset(self) -> None:
         self.ids: dict[tuple, int] = {}
         self.states: list[tuple] = []
         self.edges: dict[int, tuple[int, int]] = {}
-        self.start = self._id((b"", ((-1, 0),)))
 
     def _id(self, state: tuple) -> int:
         found = self.ids.get(state)
@@ -249,20 +252,66 @@ class Transducer:
         now = tuple([(t, c - grown) for t, c in trail[keep:]]) + ((token, 0),)
         return self._id((read[keep:], now)), grown
 
-    def count(self, piece: bytes) -> int:
-        if len(self.states) > self.MOST:
-            self.reset()
-        edges, state, total = self.edges, self.start, 0
-        for byte in piece:
-            key = state << 8 | byte
+    def run(self, state: tuple, data: bytes) -> tuple[tuple, int]:
+        """The state behind these bytes, and by how much the count has grown. The table of states is made anew when it is full, also in
+        the middle of a piece."""
+        at, total = self._id(state), 0
+        edges = self.edges
+        for byte in data:
+            key = at << 8 | byte
             edge = edges.get(key)
             if edge is None:
-                edge = edges[key] = self._edge(state, byte)
-            state = edge[0]
+                if len(self.states) > self.MOST:
+                    state = self.states[at]
+                    self.reset()
+                    edges, at = self.edges, self._id(state)
+                    key = at << 8 | byte
+                edge = edges[key] = self._edge(at, byte)
+            at = edge[0]
             total += edge[1]
+        return self.states[at], total
+
+    def count(self, piece: bytes) -> int:
+        if len(piece) <= self.CHUNK:
+            return self.run(self.first, piece)[1]
+        return self._long(piece)
+
+    def _long(self, piece: bytes) -> int:
+        """A long piece by chunks. A chunk's map takes the states that it may begin in to the states it ends in and what the count grows by;
+        it is tabulated from the state that the bytes right before it lead to, whatever came earlier. The maps are composed by a prefix scan;
+        where the real state isn't among those tabulated, it is added and the scan goes on from there. Chunks of the same bytes share a map."""
+        chunks = [piece[i : i + self.CHUNK] for i in range(0, len(piece), self.CHUNK)]
+        maps = [self.maps.setdefault(c, {}) for c in chunks]
+        for i, (c, m) in enumerate(zip(chunks, maps, strict=True)):
+            entry = self.run(self.first, chunks[i - 1][-self.WARM :])[0] if i else self.first
+            if entry not in m:
+                m[entry] = self.run(entry, c)
+        done, state, total = 0, self.first, 0
+        while done < len(chunks):
+            reached = 0
+            for r in scanned(maps[done:]):
+                if state not in r:
+                    break
+                reached += 1
+                now = r[state]
+            if not reached:
+                maps[done][state] = self.run(state, chunks[done])
+                continue
+            state, total, done = now[0], total + now[1], done + reached
+        if len(self.maps) > self.KEPT:
+            self.maps = {}
         return total
 
 
+def scanned(maps: list[dict]) -> list[dict]:
+    """Inclusive prefix compositions of maps {state: (state, growth)}, in log2(n) rounds; a state without a way through is left out."""
+    out, step = list(maps), 1
+    while step < len(out):
+        out = [m if i < step else {s: (m[t][0], n + m[t][1]) for s, (t, n) in out[i - step].items() if t in m} for i, m in enumerate(out)]
+        step *= 2
+    return out
+
+
 class _Counts(dict):
     MOST, CHARS = 300_000, 48
 

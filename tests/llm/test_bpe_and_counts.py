@@ -62,6 +62,28 @@ def test_chunk_borders_do_not_matter(counter, counting_library):
         assert counter.of([text]) == [len(counting_library.encode(text, add_special_tokens=False).ids)]
 
 
+def test_long_pieces_by_chunks(counter, counting_library, monkeypatch):
+    """Pieces far longer than a chunk: one letter over and over, random letters, hash signs, letters beyond the basic plane; and a table of states
+    that is made anew in the middle of a piece."""
+    import random
+
+    r = random.Random(2)
+    texts = ["a" * 30_000, "".join(r.choices("abcdefghijklmnopqrstuvwxyzé日", k=20_000)), "#" * 10_001, "thethe" * 3_000, "\U00010400\U00010401" * 3_000, "ab" * 1_024 + "x"]
+    want = [len(counting_library.encode(t, add_special_tokens=False).ids) for t in texts]
+    assert counter.of(texts) == want
+    fresh = token_count.Transducer(counter.counts.transducer.merges)
+    monkeypatch.setattr(fresh, "CHUNK", 64)
+    monkeypatch.setattr(fresh, "WARM", 3)  # wrong guesses have to be mended
+    monkeypatch.setattr(fresh, "MOST", 500)
+    assert [fresh.count(t.encode()) for t in texts] == want and len(fresh.states) <= 502
+
+
+def test_scan_of_partial_maps():
+    maps = [{0: (1, 5)}, {1: (2, 7), 3: (0, 1)}, {9: (9, 9)}, {2: (0, 1)}]
+    assert token_count.scanned(maps)[:2] == [{0: (1, 5)}, {0: (2, 12)}]
+    assert token_count.scanned(maps)[2] == {} and token_count.scanned(maps)[3] == {}
+
+
 def test_prefix_scan_composes_left_to_right():
     import numpy as np
 
