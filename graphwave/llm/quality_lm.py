@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import TASK_ROWS, cut, small_batches, texts_of
+from .common import TASK_ROWS, arrow_map, cut, small_batches, texts_of
 
 ORDER, BITS = 5, 12
 #: Bytes of text in a block, about.
@@ -27,17 +27,61 @@ BROADCAST_IDS = 500_000
 #: Rows of grams in a file of a written table, about.
 FILE_ROWS = 100_000
 _BASE = 1.0 / (1 << BITS)
+#: Characters of a language with codes of their own.
+LETTERS = (1 << BITS) - 256
+#: Bounds of the length classes, in characters, and held-back texts that a class needs.
+LENGTHS, LEAST = (250, 500, 1_000, 2_000, 4_000), 60
+#: Held-back texts of a language from which its quantile stands by itself; with fewer, which don't show so high a quantile, the limit is at
+#: least three standard deviations above the mean, in logarithms, and more the fewer texts there are: about what a prediction from n texts takes.
+FIRM = 100
 
 
-def grams(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+def alphabets(trusted: DataFrame, lang: str = "lang", text: str = "text") -> dict[str, np.ndarray]:
+    """By language, its characters in code order and their codes: the commonest LETTERS, counted over all trusted texts."""
+
+    def make():
+        def run(batch):
+            names, texts = batch.column(0).to_pylist(), texts_of(batch.column(1))
+            out = [[], [], []]
+            for name in sorted(set(names)):
+                codes = np.frombuffer("".join([t for t, x in zip(texts, names, strict=True) if x == name]).encode("utf-32-le", "surrogatepass"), np.uint32)
+                found, n = np.unique(codes, return_counts=True)
+                for column, values in zip(out, ([name] * len(found), found.tolist(), n.tolist()), strict=True):
+                    column += values
+            return pa.RecordBatch.from_arrays([pa.array(out[0], pa.string()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.int64())], ["lang", "code", "n"])
+
+        return run
+
+    counts = arrow_map(trusted.select(lang, text), "lang string, code long, n long", make).groupBy("lang", "code").agg(F.sum("n").alias("n"))
+    place = F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "code"))  # of at most 1,114,112 characters
+    found: dict[str, list] = {}
+    for r in counts.withColumn("place", place).where(F.col("place") <= LETTERS).collect():
+        found.setdefault(r["lang"], []).append((r["code"], r["place"]))
+    return {k: np.array(sorted(v), dtype=np.int64).T for k, v in found.items()}
+
+
+def coded(codes: np.ndarray, alphabet: np.ndarray | None) -> np.ndarray:
+    """Codes of up to BITS bits; 0 stays 0."""
+    codes = codes.astype(np.int64)
+    shared = LETTERS + 1 + codes % 255
+    if alphabet is None:
+        return np.where(codes < LETTERS, codes, shared)
+    at = np.minimum(np.searchsorted(alphabet[0], codes), len(alphabet[0]) - 1)
+    return np.where(codes == 0, 0, np.where(alphabet[0][at] == codes, alphabet[1][at], shared))
+
+
+def grams(texts: list[str], alphabet: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
     """ORDER-character windows, one for every character of a text, and where each text's begin. Texts are led by code 0."""
     plain = [" ".join(t.split()) for t in texts]
     lead = "\0" * (ORDER - 1)
     codes = np.frombuffer("".join([lead + t for t in plain]).encode("utf-32-le", "surrogatepass"), dtype=np.uint32)
-    far = len(codes) and int(codes.max()) >= 0xC00
+    if len(codes):
+        most = int(codes.max())
+        if most < 1 << 16:  # a table is faster than a search
+            codes = coded(np.arange(most + 1), alphabet)[codes]
+        else:
+            codes = coded(codes, alphabet)
     codes = codes.astype(np.int64)
-    if far:
-        codes = np.where(codes < 0xC00, codes, 0xC00 + codes % 0x400)
     key = codes.copy()
     for j in range(1, ORDER):
         key[j:] |= codes[:-j] << (BITS * j)
@@ -144,8 +188,9 @@ def _unbundle(packed: pa.Scalar) -> pa.Table:
     return pa.ipc.open_stream(packed.as_buffer()).read_all()
 
 
-def count_grams(docs: DataFrame, lang: str = "lang", text: str = "text") -> DataFrame:
-    """(lang, g, c): how often each window occurs in each language."""
+def count_grams(docs: DataFrame, lang: str = "lang", text: str = "text", letters: dict[str, np.ndarray] | None = None) -> DataFrame:
+    """(lang, g, c): how often each window occurs in each language. letters: the languages' alphabets."""
+    shared = docs.sparkSession.sparkContext.broadcast(letters or {})  # at most LETTERS pairs a language
 
     def run(batches):
         held: dict[str, list] = {}
@@ -164,7 +209,7 @@ def count_grams(docs: DataFrame, lang: str = "lang", text: str = "text") -> Data
             for name in sorted(set(names)):
                 mine = [t for t, x in zip(texts, names, strict=True) if x == name]
                 for i in range(0, len(mine), 400):
-                    found = np.unique(grams(mine[i : i + 400])[0], return_counts=True)
+                    found = np.unique(grams(mine[i : i + 400], shared.value.get(name))[0], return_counts=True)
                     held.setdefault(name, []).append(found)
                     size += len(found[0])
                 if size > 1_000_000:
@@ -210,8 +255,9 @@ def model(counts: DataFrame, docs: int) -> DataFrame:
     return parts.groupBy("lang", "key").agg(F.coalesce(F.max("share"), F.lit(0.0)).cast("float").alias("share"), F.coalesce(F.max("weight"), F.lit(1.0)).cast("float").alias("weight"))
 
 
-def perplexities(docs: DataFrame, table: DataFrame, id_column: str = "doc_id", text: str = "text", lang: str = "lang") -> DataFrame:
-    """(id, lang, n_chars, perplexity) of every row."""
+def perplexities(docs: DataFrame, table: DataFrame, id_column: str = "doc_id", text: str = "text", lang: str = "lang", letters: dict[str, np.ndarray] | None = None) -> DataFrame:
+    """(id, lang, n_chars, perplexity) of every row. letters: as the model's counts were made with."""
+    shared = docs.sparkSession.sparkContext.broadcast(letters or {})
     kind = dict(docs.dtypes)[id_column]
     name = F.coalesce(F.col(lang), F.lit("und"))
     sizes = {r[0]: r[1] for r in docs.groupBy(name.alias("l")).agg(F.sum(F.octet_length(text)).alias("n")).collect()}
@@ -228,7 +274,7 @@ def perplexities(docs: DataFrame, table: DataFrame, id_column: str = "doc_id", t
                 seen = held.setdefault((n.as_py(), p.as_py()), Table())
                 mine = texts_of(_unbundle(packed).column(2))
                 for i in range(0, len(mine), 200):
-                    seen.learn(grams(mine[i : i + 200])[0])
+                    seen.learn(grams(mine[i : i + 200], shared.value.get(n.as_py()))[0])
         for (n, p), seen in held.items():
             keys = needed(np.sort(seen.keys))
             for i in range(0, len(keys), 100_000):
@@ -247,7 +293,7 @@ def perplexities(docs: DataFrame, table: DataFrame, id_column: str = "doc_id", t
             table = _unbundle(packed)
             n_all, value_all = [], []
             for i in range(0, table.num_rows, 200):
-                g, at = grams(texts_of(table.column(2).slice(i, 200)))
+                g, at = grams(texts_of(table.column(2).slice(i, 200)), shared.value.get(table.column(1)[0].as_py()))
                 n = np.diff(at)
                 sums = np.zeros(len(n))
                 if len(g) and len(keys):
@@ -271,22 +317,39 @@ def held_back(id_column: str):
     return F.pmod(F.xxhash64(F.col(id_column).cast("string"), F.lit("held back")), F.lit(8)) == 0
 
 
-def classify(docs: DataFrame, labels: DataFrame, quantile: float = 0.995, slack: float = 1.1, short: float = 3.0, id_column: str = "doc_id", text: str = "text", lang: str = "lang", quality: str = "quality") -> DataFrame:
+def length_class(n_chars):
+    return sum([(n_chars >= x).cast("int") for x in LENGTHS], F.lit(0))
+
+
+def limits(scored: DataFrame, trusted: DataFrame, quantile: float, id_column: str = "doc_id") -> DataFrame:
+    """(lang, length, highest) for every length class of every language that has trusted texts; a few rows a language."""
+    own = scored.join(trusted, id_column, "left_semi").where("perplexity is not null").withColumn("length", length_class(F.col("n_chars")))
+    back = F.when(held_back(id_column), F.col("perplexity"))
+    at = lambda x: F.percentile_approx(x, quantile, 100_000)
+    wide = lambda x: F.exp(F.avg(F.log(x)) + 3 * (1 + 5 / F.count(x)) * F.coalesce(F.stddev(F.log(x)), F.lit(0.0)))
+    firm = lambda x: F.when(F.count(x) >= FIRM, at(x)).otherwise(F.greatest(at(x), wide(x)))
+    whole = own.groupBy("lang").agg(F.coalesce(firm(back), firm(F.col("perplexity"))).alias("whole"))
+    parts = own.groupBy("lang", "length").agg(F.when(F.count(back) >= LEAST, at(back)).alias("part"))
+    every = whole.select("lang", "whole", F.explode(F.sequence(F.lit(0), F.lit(len(LENGTHS)))).alias("length"))
+    return every.join(parts, ["lang", "length"], "left").select("lang", "length", F.coalesce("part", "whole").alias("highest"))
+
+
+def classify(docs: DataFrame, labels: DataFrame, quantile: float = 0.99, id_column: str = "doc_id", text: str = "text", lang: str = "lang", quality: str = "quality") -> DataFrame:
     """(id, lang, n_chars, perplexity, highest, kept) of every row; `highest` is the quantile of the held-back trusted texts of its
-    language times slack + short / sqrt(n_chars), since a short text's perplexity scatters."""
+    language and length class."""
     marks = cut(labels.groupBy(id_column).agg(F.min(quality).alias("q")).where("q = 1").select(id_column), labels.count())
     ids = F.broadcast(marks) if marks.count() <= BROADCAST_IDS else marks
-    trusted = docs.join(ids, id_column, "left_semi").where(~held_back(id_column) & F.col(text).isNotNull())
-    counts = count_grams(trusted.select(F.coalesce(F.col(lang), F.lit("und")).alias("lang"), F.col(text).alias("text")))
+    name = F.coalesce(F.col(lang), F.lit("und")).alias("lang")
+    trusted = docs.join(ids, id_column, "left_semi").where(~held_back(id_column) & F.col(text).isNotNull()).select(name, F.col(text).alias("text"))
     small_batches(docs.sparkSession)
+    letters = alphabets(trusted)
+    counts = count_grams(trusted, letters=letters)
     n = docs.count()
     table = model(counts, n)
     files = max(1, -(-n // TASK_ROWS))
-    scored = cut(perplexities(docs, table, id_column, text, lang).repartition(files))  # a few numbers a row
-    own = scored.join(ids, id_column, "left_semi").where("perplexity is not null")
-    back = F.when(held_back(id_column), F.col("perplexity"))
-    limits = own.groupBy("lang").agg((F.coalesce(F.percentile_approx(back, quantile, 100_000), F.percentile_approx("perplexity", quantile, 100_000))).alias("quantile"))
-    limits = F.broadcast(limits) if limits.count() <= BROADCAST_IDS else limits
+    scored = cut(perplexities(docs, table, id_column, text, lang, letters).repartition(files))  # a few numbers a row
+    bounds = cut(limits(scored, ids, quantile, id_column).coalesce(1))
+    bounds = F.broadcast(bounds) if bounds.count() <= BROADCAST_IDS else bounds
     kept = F.when(F.col("n_chars") == 0, F.lit(False)).otherwise(F.coalesce(F.col("perplexity") <= F.col("highest"), F.lit(True)))
-    scored = scored.join(limits, "lang", "left").withColumn("highest", F.col("quantile") * (F.lit(slack) + F.lit(short) / F.sqrt(F.greatest(F.col("n_chars"), F.lit(1)))))
+    scored = scored.withColumn("length", length_class(F.col("n_chars"))).join(bounds, ["lang", "length"], "left")
     return scored.select(id_column, "lang", "n_chars", "perplexity", "highest", kept.alias("kept"))

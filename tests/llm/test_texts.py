@@ -66,6 +66,11 @@ def test_a_language_left_out_of_training_is_rejected(spark, left_out):
     assert share[True] > 0.97 and share[False] < 0.03
 
 
+def test_letters_beyond_the_basic_plane_stay_apart():
+    found, _ = language_id.normalised(["\U00010400\U00010401\U00012000 a"])
+    assert len(set(found.tolist()) - {32}) == 4
+
+
 def test_no_training_rows(spark):
     df = spark.createDataFrame([(1, "some text", None)], "doc_id long, text string, lang string")
     empty = language_id.train(df)
@@ -280,6 +285,36 @@ def test_model_equals_the_definition(spark):
         assert r["weight"] == pytest.approx(want[r["key"]][1], abs=1e-6)
 
 
+def plain_perplexity(text, table, alphabet):
+    """By the recursion on dictionaries, character by character."""
+    import math
+
+    g, _ = quality_lm.grams([text], alphabet)
+    total = 0.0
+    for full in g.tolist():
+        p = 1 / (1 << quality_lm.BITS)
+        for k in range(1, quality_lm.ORDER + 1):
+            gram = full & ((1 << (12 * k)) - 1)
+            share = table.get((k << 60) | gram, (0.0, 1.0))[0]
+            weight = table.get(((k - 1) << 60) | (gram >> 12) if k > 1 else 0, (0.0, 1.0))[1]
+            p = share + weight * p
+        total += math.log2(p)
+    return 2 ** (-total / len(g))
+
+
+def test_perplexities_equal_the_definition(spark):
+    texts = ["the cat sat on the mat", "日本語の文章です、そして漢字と仮名", "the dog sat on the log", "", None, "नमस्ते दुनिया the cat", "\U00010400 z " * 3_000]
+    df = spark.createDataFrame([(i, t, "x") for i, t in enumerate(texts)], "doc_id long, text string, lang string")
+    letters = quality_lm.alphabets(df)
+    table = quality_lm.model(quality_lm.count_grams(df, letters=letters), len(texts))
+    values = {r["key"]: (r["share"], r["weight"]) for r in table.collect()}
+    got = {r["doc_id"]: r["perplexity"] for r in quality_lm.perplexities(df, table, letters=letters).collect()}
+    assert got[3] is None and got[4] is None
+    for i in (0, 1, 2, 5, 6):
+        assert got[i] == pytest.approx(plain_perplexity(texts[i], values, letters["x"]), rel=1e-4)
+    assert len(set(letters["x"][1].tolist())) == len({c for t in texts for c in t or ""})  # no two characters share a code
+
+
 def test_classifier_frame(spark):
     good = ["the river ran by the old house and the birds sang in the trees near the water", "a house by the river is a fine place to hear the birds sing in the morning"]
     rows = [(i, good[i % 2] + f" {i}", "en") for i in range(80)] + [(200, "#$%& zqx @@ !! jjq " * 20, "en"), (201, None, "en"), (202, "  ", "en"), (203, "untrained words", "fr"), (204, "no language", None)]
