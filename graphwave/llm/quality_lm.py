@@ -31,9 +31,9 @@ _BASE = 1.0 / (1 << BITS)
 LETTERS = (1 << BITS) - 256
 #: Bounds of the length classes, in characters, and held-back texts that a class needs.
 LENGTHS, LEAST = (250, 500, 1_000, 2_000, 4_000), 60
-#: Held-back texts of a language from which its quantile stands by itself; with fewer, which don't show so high a quantile, the limit is at
-#: least three standard deviations above the mean, in logarithms, and more the fewer texts there are: about what a prediction from n texts takes.
-FIRM = 100
+#: Held-back texts of a language from which its quantile stands by itself, and what is added to it where there are fewer, since so few
+#: don't show so high a quantile.
+FIRM, MARGIN = 100, 0.1
 
 
 def alphabets(trusted: DataFrame, lang: str = "lang", text: str = "text") -> dict[str, np.ndarray]:
@@ -326,8 +326,7 @@ def limits(scored: DataFrame, trusted: DataFrame, quantile: float, id_column: st
     own = scored.join(trusted, id_column, "left_semi").where("perplexity is not null").withColumn("length", length_class(F.col("n_chars")))
     back = F.when(held_back(id_column), F.col("perplexity"))
     at = lambda x: F.percentile_approx(x, quantile, 100_000)
-    wide = lambda x: F.exp(F.avg(F.log(x)) + 3 * (1 + 5 / F.count(x)) * F.coalesce(F.stddev(F.log(x)), F.lit(0.0)))
-    firm = lambda x: F.when(F.count(x) >= FIRM, at(x)).otherwise(F.greatest(at(x), wide(x)))
+    firm = lambda x: at(x) * F.when(F.count(x) >= FIRM, F.lit(1.0)).otherwise(F.lit(1 + MARGIN))
     whole = own.groupBy("lang").agg(F.coalesce(firm(back), firm(F.col("perplexity"))).alias("whole"))
     parts = own.groupBy("lang", "length").agg(F.when(F.count(back) >= LEAST, at(back)).alias("part"))
     every = whole.select("lang", "whole", F.explode(F.sequence(F.lit(0), F.lit(len(LENGTHS)))).alias("length"))
