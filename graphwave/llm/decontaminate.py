@@ -2,11 +2,13 @@
 
 Words are lower-cased runs of letters and digits; shingles are five words, or all words of a shorter item. Every item, and every window of
 every text that is as many words long as an item, gets a 64-bit SimHash of its shingles, weighted by how often each occurs. A multi-index
-over eight blocks of eight bits finds, for each window, the items whose fingerprint may lie within the radius: two fingerprints that differ
-in at most r bits differ in at most r // 8 bits in some block, so tables of all block values within that distance miss none; the distance of
+over four blocks of sixteen bits finds, for each window, the items whose fingerprint may lie within the radius: two fingerprints that differ
+in at most r bits differ in at most r // 4 bits in some block, so tables of all block values within that distance miss none; the distance of
 those is then worked out. Each pair within the radius is verified: first by how many of the window's shingles are any item's, which bounds
 the similarity from above, then exactly, by the weighted Jaccard similarity of the two multisets of shingles.
 
+Fingerprints are made of the windows in stretches of text that hold any item's shingle; everywhere else every window's similarity with every
+item is 0, so this loses nothing. (Fingerprints of all windows of all lengths take 650 CPU seconds a GB, beyond what the check allows.)
 A text shorter than an item is one window. An item of fewer than five words is a single shingle, whose fingerprint is its hash, and matches
 equal shingles only.
 
@@ -32,8 +34,8 @@ SHINGLE, SIMILARITY, RADIUS = 5, 0.8, 23
 #: Bytes of benchmark text that go over the rows at once.
 BLOCK_BYTES = 8 << 20
 #: Windows that are worked out at once, and items that one index holds (a bit each).
-PIECE, GROUP = 8_192, 64
-_BLOCKS = 8
+PIECE, GROUP = 4_096, 64
+_BLOCKS = 4
 
 
 def bit_sums(hashes: np.ndarray, kind=np.int32) -> np.ndarray:
@@ -48,27 +50,46 @@ def fingerprints(sums: np.ndarray) -> np.ndarray:
     return np.packbits((sums > 0).ravel(), bitorder="little").view("<u8")
 
 
+class Windows:
+    """Fingerprints of windows from two rows of sums, in memory that is used again."""
+
+    def __init__(self, most: int):
+        self.bits = np.empty((most, 64), dtype=bool)
+
+    def prints(self, ends: np.ndarray, begins: np.ndarray) -> np.ndarray:
+        bits = self.bits[: len(ends)]
+        np.greater(ends, begins, out=bits)
+        return np.packbits(bits.ravel(), bitorder="little").view("<u8")
+
+
+_NEAR = np.bitwise_count(np.arange(1 << 16, dtype=np.uint16))
+
+
 class Index:
-    """Fingerprints of up to GROUP items; for every block and block value, the items that differ from it in at most radius // 8 bits."""
+    """Fingerprints of up to GROUP items; for every block and block value, the items that differ from it in at most radius // 4 bits."""
 
     def __init__(self, prints: np.ndarray, radius: int):
         self.prints, self.radius = prints, radius
-        values = np.arange(256, dtype=np.uint8)
-        near = np.bitwise_count(values[:, None] ^ values[None, :]) <= radius // _BLOCKS
-        blocks = prints.astype("<u8").view(np.uint8).reshape(-1, _BLOCKS)
-        bit = np.uint64(1) << np.arange(len(prints), dtype=np.uint64)
-        self.table = np.stack([(near[:, blocks[:, b]] * bit).sum(axis=1, dtype=np.uint64) for b in range(_BLOCKS)])
+        kind = next(t for t, n in ((np.uint8, 8), (np.uint16, 16), (np.uint32, 32), (np.uint64, 64)) if len(prints) <= n)
+        values = np.arange(1 << 16, dtype=np.uint16)
+        blocks = prints.astype("<u8").view(np.uint16).reshape(-1, _BLOCKS)
+        self.table = np.zeros((_BLOCKS, 1 << 16), dtype=kind)
+        for i, own in enumerate(blocks):
+            for b in range(_BLOCKS):
+                self.table[b] |= (_NEAR[values ^ own[b]] <= radius // _BLOCKS).astype(kind) << kind(i)
 
     def within(self, windows: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Every (window, item, distance) within the radius."""
-        parts = windows.astype("<u8").view(np.uint8).reshape(-1, _BLOCKS)
-        maybe = self.table[0][parts[:, 0]]
+        parts = windows.view("<u2").reshape(-1, _BLOCKS)
+        maybe = self.table[0].take(parts[:, 0])
         for b in range(1, _BLOCKS):
-            maybe |= self.table[b][parts[:, b]]
+            maybe |= self.table[b].take(parts[:, b])
         own = np.flatnonzero(maybe)
-        apart = np.bitwise_count(windows[own, None] ^ self.prints)
-        w, i = np.divmod(np.flatnonzero(apart.ravel() <= self.radius), len(self.prints))
-        return own[w], i, apart[w, i]
+        if 4 * len(own) > 3 * len(windows):  # nearly all
+            own = np.arange(len(windows))
+        apart = np.bitwise_count(windows[None, own] ^ self.prints[:, None])
+        i, w = np.divmod(np.flatnonzero(apart.ravel() <= self.radius), max(1, len(own)))
+        return own[w], i, apart[i, w]
 
 
 def weighted_jaccard(a: Counter, b: Counter) -> float:
@@ -107,14 +128,14 @@ class Items:
         self.known = np.unique(np.concatenate(known)) if known else np.zeros(0, np.uint64)
         self.longest = max((g[0] for g in self.groups), default=0)
 
-    def _known_before(self, hashes: np.ndarray) -> np.ndarray:
-        """How many of the first i hashes are some item's."""
+    def _known(self, hashes: np.ndarray) -> np.ndarray:
+        """Which hashes are some item's."""
         at = np.minimum(np.searchsorted(self.known, hashes), len(self.known) - 1)
-        return np.concatenate(([0], np.cumsum(self.known[at] == hashes)))
+        return self.known[at] == hashes
 
-    def _verify(self, found: dict, group: tuple, hashes: np.ndarray, known: np.ndarray, starts: np.ndarray, stops: np.ndarray, row: np.ndarray, first: np.ndarray, near: tuple) -> None:
-        """Exact similarity of the pairs (window, item, distance) in `near`; windows are starts to stops of the hashes, in rows that begin at
-        first[row]."""
+    def _verify(self, found: dict, group: tuple, hashes: np.ndarray, known: np.ndarray, starts: np.ndarray, stops: np.ndarray, row: np.ndarray, word: np.ndarray, near: tuple) -> None:
+        """Exact similarity of the pairs (window, item, distance) in `near`; windows are starts to stops of the hashes, and begin at these
+        words of these rows. known: how many hashes before each place are some item's."""
         span, ids, bags, _ = group
         w, i, apart = near
         size = stops[w] - starts[w]
@@ -130,7 +151,30 @@ class Items:
                 continue
             s = weighted_jaccard(Counter(hashes[a:b].tolist()), bags[item])
             if s >= self.similarity and (old is None or (-s, int(apart[k]), a) < (-old[0], old[1], old[2])):
-                best[ids[item]] = (s, int(apart[k]), a, a - int(first[row[w[k]]]))
+                best[ids[item]] = (s, int(apart[k]), a, int(word[w[k]]))
+
+    def _stretches(self, found: dict, hashes: np.ndarray, rows: np.ndarray, place: np.ndarray, word: np.ndarray, real: np.ndarray) -> None:
+        """All windows of all item lengths in stretches of shingles, given where they stand; a stretch ends with its row or where places aren't
+        consecutive."""
+        n_all = len(hashes)
+        if not n_all:
+            return
+        ends = np.append(np.flatnonzero((np.diff(place) > 1) | (np.diff(rows) > 0)) + 1, n_all)
+        last = np.repeat(ends, np.diff(np.concatenate(([0], ends))))
+        known = np.concatenate(([0], np.cumsum(real)))
+        kind = np.int16 if PIECE + self.longest < 30_000 else np.int32
+        windows = Windows(min(PIECE, n_all))
+        for lo in range(0, n_all, PIECE):
+            hi = min(lo + PIECE, n_all)
+            sums = bit_sums(hashes[lo : hi + self.longest], kind)
+            for group in self.groups:
+                n = min(hi, n_all - group[0] + 1) - lo
+                if n > 0:
+                    w, i, apart = group[3].within(windows.prints(sums[group[0] : group[0] + n], sums[:n]))
+                    inside = np.flatnonzero(lo + w + group[0] <= last[lo + w])
+                    if len(inside):
+                        at = np.arange(lo, lo + n)
+                        self._verify(found, group, hashes, known, at, at + group[0], rows[lo : lo + n], word[lo : lo + n], (w[inside], i[inside], apart[inside]))
 
     def search(self, texts: list[str]) -> list[tuple[int, object, int, int, float]]:
         """(row, item id, first word, distance, similarity) of every row and item that match."""
@@ -139,24 +183,13 @@ class Items:
         if self.groups:
             hashes, rows, _ = shingles(words, SHINGLE)
             first = np.searchsorted(rows, np.arange(len(texts) + 1))
-            known = self._known_before(hashes)
-            last = first[rows + 1] if len(rows) else rows  # where each shingle's row ends
-            kind = np.int16 if PIECE + self.longest < 30_000 else np.int32
-            for lo in range(0, len(hashes), PIECE):
-                hi = min(lo + PIECE, len(hashes))
-                sums = bit_sums(hashes[lo : hi + self.longest], kind)
-                for group in self.groups:
-                    n = min(hi, len(hashes) - group[0] + 1) - lo
-                    if n > 0:
-                        prints = fingerprints(sums[group[0] : group[0] + n] - sums[:n])
-                        w, i, apart = group[3].within(prints)
-                        inside = np.flatnonzero(lo + w + group[0] <= last[lo + w])  # a window ends with its row
-                        w, i, apart = w[inside], i[inside], apart[inside]
-                        if len(w):
-                            at = np.arange(lo, lo + n)
-                            self._verify(found, group, hashes, known, at, at + group[0], rows[lo : lo + n], first, (w, i, apart))
+            real = self._known(hashes)
+            known = np.concatenate(([0], np.cumsum(real)))
+            place = np.arange(len(hashes))
+            near = np.flatnonzero(known[np.minimum(place + self.longest, len(hashes))] > known[np.maximum(place - self.longest + 1, 0)])
+            self._stretches(found, hashes[near], rows[near], near, (near - first[rows[near]]), real[near])
             count = np.diff(first)
-            small = np.flatnonzero((count > 0) & (count < self.longest))  # rows that some item is longer than
+            small = np.flatnonzero((known[first[1:]] > known[first[:-1]]) & (count < self.longest))  # rows that some item is longer than
             for lo in range(0, len(small), 512):
                 own = small[lo : lo + 512]
                 prints = np.concatenate([fingerprints(bit_sums(hashes[first[r] : first[r + 1]])[-1:]) for r in own.tolist()])
@@ -164,7 +197,7 @@ class Items:
                     less = np.flatnonzero((count[own] < group[0]) & (count[own] >= self.similarity * group[0]))
                     if len(less):
                         r = own[less]
-                        self._verify(found, group, hashes, known, first[r], first[r + 1], r, first, group[3].within(prints[less]))
+                        self._verify(found, group, hashes, known, first[r], first[r + 1], r, np.zeros(len(r), np.int64), group[3].within(prints[less]))
         for n, (values, by) in self.short.items():
             hashes, rows, at = shingles(words, n)
             for k in np.flatnonzero((words.count[rows] >= n) & np.isin(hashes, values)).tolist():
