@@ -10,11 +10,14 @@ links; a class is named by its smallest id.
    at random, and each slot keeps the lowest. Two slots agree with a probability equal to the weighted Jaccard similarity. Only
    points below the highest slot so far are drawn, so a text costs time in proportion to its shingles, plus a constant.
 3. 24 bands of 5 slots: a pair at 0.8 shares a band with probability 0.99993.
-4. Texts in a crowded band are dealt anew, without loss: with its elements (shingle, occurrence) in order of rarity, a text must share
-   one of its first n - ceil(0.8 n) + 1 with every text it is linked to. Each such element with another holder is a bucket.
-5. Buckets are never paired out. In rounds, the most central members of each bucket (most elements shared with others) are compared,
-   exactly, with members of other classes; links merge classes at once, so a group of copies costs one comparison per member. Rounds
-   take ever more members, until no bucket holds members of two classes that haven't been compared. Nothing is dropped or capped.
+4. Bands tell which texts may have a partner at all. Among these, partners are found without loss: with its elements (shingle,
+   occurrence) in order of rarity, a text must share one of its first n - ceil(0.8 n) + 1 with every text it is linked to. Each such element
+   is a bucket. How common an element is is counted before anything is joined; common ones are joined by broadcast, and a large bucket is
+   split into salted parts, so no element and no bucket is one task's.
+5. Buckets are never paired out. In the first round each bucket's most central member (most elements shared with others) is compared,
+   exactly, with the others; links merge classes at once, so a group of copies costs one comparison per member, and its bucket is done.
+   Only buckets that still hold members of several classes go on, with ever more members to compare with the others, as far as sizes and
+   places of elements allow a link; pairs within a class are left out. Nothing is dropped or capped.
 
 All tables stay distributed and each step's result is written to the shared checkpoint folder. Texts without words are never
 duplicates: each is its own class. Null texts count as such. A repeated row has one row per repetition in the result.
@@ -31,8 +34,8 @@ from .common import TASK_ROWS, Words, arrow_map, compact, cut, mix64, shingles,
 
 SHINGLE, SIMILARITY = 5, 0.8
 BANDS, ROWS = 24, 5
-#: Members beyond which a band is dealt anew by rare elements.
-CROWDED = 24
+#: Holders from which an element is joined by broadcast, members of a bucket's salted part, and pairs of one text that are compared in one go.
+HOT, SPLIT, RUN = 10_000, 20_000, 5_000
 #: Ids (8 bytes each) that are broadcast at most; beyond it tables are joined by shuffle.
 BROADCAST_IDS = 500_000
 
@@ -177,73 +180,100 @@ def _overlap(size_a, size_b):
     return F.lit(SIMILARITY / (1 + SIMILARITY)) * (size_a + size_b) - F.lit(1e-9)
 
 
+def _gated(df: DataFrame) -> DataFrame:
+    return F.broadcast(df) if df.count() <= BROADCAST_IDS else df
+
+
 def _buckets(entries: DataFrame, docs: DataFrame, id_column: str, text: str, most: int) -> tuple[DataFrame | None, DataFrame | None, int]:
-    """(bucket, rep, rank, size, shared, nth) of every bucket with two members or more, and (rep, elements) of all these members.
-    Rank 1 is the most central member, shared counts the elements that others hold too, and nth is the place of the bucket's element
-    among the member's by rarity (1 in buckets that are bands)."""
-    sizes = entries.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
-    entries = cut(entries.join(sizes, "bucket"), most * BANDS, 20 * TASK_ROWS)
-    members = cut(entries.groupBy("rep").agg(F.max("n").alias("n")), most)
+    """(bucket, salt, salts, rep, size, shared, nth) of every element that is among the first of a text and has other holders, and
+    (rep, elements) of all texts with a partner in some band. shared counts the elements that others hold too, nth is the place of the
+    bucket's element among the text's by rarity, and salts is how many parts the bucket has."""
+    sizes = entries.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1").select("bucket")
+    members = cut(entries.join(sizes, "bucket").select("rep").distinct(), most)
     most = members.count()
     if not most:
         return None, None, 0
     texts = cut(element_lists(keep_ids(docs, members.select(F.col("rep").alias(id_column)), id_column), id_column, text).dropDuplicates(["rep"]), most, 2_000)
-    crowd = members.where(F.col("n") > CROWDED).select("rep")
-    # each of these texts becomes hundreds of rows, so they are dealt out evenly, a hundred or so to a task
-    deal = max(1, min(-(-crowd.count() // 100), 8 * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions", "200"))))
-    held = texts.join(crowd, "rep", "left_semi").repartition(deal).select("rep", F.explode("elements").alias("element"))
-    held = held.withColumn("holders", F.count("*").over(Window.partitionBy("element")))
-    by = Window.partitionBy("rep")
-    held = held.select("rep", "element", "holders", F.row_number().over(by.orderBy("holders", "element")).alias("nth"), F.count("*").over(by).alias("size"), F.sum((F.col("holders") > 1).cast("long")).over(by).alias("shared"))
+    # each text becomes hundreds of rows, so texts are dealt out evenly, a hundred or so to a task
+    deal = max(1, min(-(-most // 100), 8 * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions", "200"))))
+    held = texts.repartition(deal).select("rep", F.size("elements").cast("long").alias("size"), F.explode("elements").alias("element"))
+    counts = cut(held.groupBy("element").agg(F.count("*").alias("holders")).where("holders > 1"), 200 * most, 20 * TASK_ROWS)
+    common = counts.where(F.col("holders") > HOT)
+    if common.count() <= BROADCAST_IDS:  # their rows stay where they are
+        rest = held.join(F.broadcast(common.select("element")), "element", "left_anti").join(counts.where(F.col("holders") <= HOT), "element")
+        held = rest.unionByName(held.join(F.broadcast(common), "element"))
+    else:
+        held = held.join(counts, "element")
+    by = Window.partitionBy("rep")  # a text's elements
+    held = held.withColumns({"shared": F.count("*").over(by), "after": F.row_number().over(by.orderBy("holders", "element"))})
+    held = held.withColumn("nth", F.col("size") - F.col("shared") + F.col("after"))  # elements that nobody else holds are the rarest
     first = F.col("nth") <= F.col("size") - F.ceil(F.col("size") * F.lit(SIMILARITY) - F.lit(1e-9)) + 1
-    rare = held.where((F.col("holders") > 1) & first).select(F.col("element").alias("bucket"), "rep", "size", "shared", "nth")
-    size = texts.select("rep", F.size("elements").cast("long").alias("size"))
-    few = entries.where(F.col("n") <= CROWDED).select("bucket", "rep").join(size, "rep").select("bucket", "rep", "size", F.col("size").alias("shared"), F.lit(1).alias("nth"))
-    together = Window.partitionBy("bucket")
-    ranked = few.unionByName(rare).withColumns({"rank": F.row_number().over(together.orderBy(F.desc(F.col("shared") / F.col("size")), "rep")), "most": F.count("*").over(together)})
-    return compact(cut(ranked.where("most > 1").drop("most"), most, 1_000)), texts, most
+    salts = F.ceil(F.col("holders") / SPLIT).cast("int")
+    rare = held.where(first).select(F.col("element").alias("bucket"), F.pmod(F.xxhash64("rep"), salts).cast("int").alias("salt"), salts.alias("salts"), "rep", "size", "shared", "nth")
+    return compact(cut(rare, most, 1_000)), texts, most
 
 
 def _compare(pairs: DataFrame, texts: DataFrame) -> DataFrame:
-    """The pairs (a, b) whose similarity reaches the threshold."""
-    left = texts.select(F.col("rep").alias("a"), F.col("elements").alias("x"))
+    """The pairs (a, b) whose similarity reaches the threshold. A text with very many partners is handed to several tasks."""
+    many = _gated(pairs.groupBy("a").count().where(F.col("count") > RUN).select("a", F.ceil(F.col("count") / RUN).cast("int").alias("runs")))
+    runs = F.coalesce("runs", F.lit(1))
     right = texts.select(F.col("rep").alias("b"), F.col("elements").alias("y"))
-    joined = pairs.join(right, "b").join(left, "a")
+    left = texts.select(F.col("rep").alias("a"), F.col("elements").alias("x")).join(many, "a", "left").select("a", "x", F.explode(F.sequence(F.lit(0), runs - 1)).alias("run"))
+    dealt = pairs.join(many, "a", "left").select("a", "b", F.pmod(F.xxhash64("b"), runs).cast("int").alias("run"))
+    joined = dealt.join(right, "b").join(left, ["a", "run"])
     return joined.where(F.size(F.array_intersect("x", "y")) >= _overlap(F.size("x"), F.size("y"))).select("a", "b")
 
 
+def _pairs(own: DataFrame, pivots: DataFrame) -> DataFrame:
+    """(a, b) of members and their bucket's pivots that may be linked and are of different classes. What two sets must share bounds the
+    elements they share with anybody; and where they first meet in order of rarity, enough must be left in both, so a pair that is linked
+    passes in the bucket of its first common element."""
+    pivots = pivots.select("bucket", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), *[F.col(c).alias(f"{c}_a") for c in ("rep", "turn", "size", "shared", "nth", "label")])
+    enough = _overlap(F.col("size"), F.col("size_a"))
+    fit = (
+        (F.col("turn") > F.col("turn_a"))
+        & (F.col("label") != F.col("label_a"))
+        & (F.least("shared", "shared_a") >= enough)
+        & (F.col("size") - F.col("nth") + 1 >= enough)
+        & (F.col("size_a") - F.col("nth_a") + 1 >= enough)
+    )
+    return own.join(pivots, ["bucket", "salt"]).where(fit).select(F.least("rep_a", "rep").alias("a"), F.greatest("rep_a", "rep").alias("b")).distinct()
+
+
 def link_classes(entries: DataFrame, docs: DataFrame, id_column: str, text: str, most: int) -> DataFrame | None:
     """(rep, label) of every text that is linked to another; None if there are no links."""
-    buckets, texts, most = _buckets(entries, docs, id_column, text, most)
-    if buckets is None:
+    rows, texts, most = _buckets(entries, docs, id_column, text, most)
+    if rows is None:
         return None
     links = labels = None
     done, take = 0, 1
+    central = F.struct(F.col("shared") / F.col("size"), F.col("rep"))
     while True:
-        own = buckets if labels is None else buckets.join(labels, "rep", "left")
-        own = own.withColumn("label", F.col("rep") if labels is None else F.coalesce("label", "rep"))
+        own = rows.withColumn("label", F.col("rep")) if labels is None else rows.join(labels, "rep", "left").withColumn("label", F.coalesce("label", "rep"))
         # buckets whose members are of one class are finished, and so are those whose members have all been compared
-        mixed = own.groupBy("bucket").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.max("rank").alias("most")).where((F.col("lo") < F.col("hi")) & (F.col("most") > done + 1)).select("bucket")
-        own = compact(cut(own.join(mixed, "bucket", "left_semi"), most, 1_000))
-        if own.isEmpty():
+        found = own.groupBy("bucket").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.max_by("rep", central).alias("first"), *([F.sum((F.col("turn") >= F.lit(done << 20)).cast("long")).alias("open")] if done else []))
+        mixed = found.where("lo < hi")
+        if done:
+            mixed = mixed.where("open > 1")
+        mixed = compact(cut(mixed.select("bucket", "first"), most))
+        if mixed.isEmpty():
             return labels
-        pivots = own.where((F.col("rank") > done) & (F.col("rank") <= done + take)).select("bucket", *[F.col(c).alias(f"{c}_a") for c in ("rep", "rank", "size", "shared", "nth", "label")])
-        # what two sets must share bounds the elements they share with anybody; and where they first meet in order of rarity, enough
-        # must be left in both, so a pair that is linked passes in the bucket of its first common element
-        enough = _overlap(F.col("size"), F.col("size_a"))
-        fit = (
-            (F.col("rank") > F.col("rank_a"))
-            & (F.col("label") != F.col("label_a"))
-            & (F.least("shared", "shared_a") >= enough)
-            & (F.col("size") - F.col("nth") + 1 >= enough)
-            & (F.col("size_a") - F.col("nth_a") + 1 >= enough)
-        )
-        pairs = own.join(pivots, "bucket").where(fit).select(F.least("rep_a", "rep").alias("a"), F.greatest("rep_a", "rep").alias("b")).distinct()
-        new = compact(cut(_compare(pairs, texts), most, 2_000))
+        if not done:  # the most central member of each bucket
+            own = compact(cut(own.join(_gated(mixed), "bucket").withColumn("turn", (F.col("rep") != F.col("first")).cast("long")).drop("first"), most, 1_000))
+            pivots = own.where("turn = 0")
+        else:
+            own = compact(cut(keep_ids(own, mixed.select("bucket"), "bucket"), most, 1_000))
+            pivots = own.where((F.col("turn") >= F.lit(done << 20)) & (F.col("turn") < F.lit((done + take) << 20)))
+        new = compact(cut(_compare(cut(_pairs(own, pivots)), texts), most, 2_000))
         if not new.isEmpty():
             links = new if links is None else links.unionByName(new)
             labels = components(links, most)
-        done, take = done + take, take * 16
+        if not done:  # whoever is left gets a turn: by place within the part, then by part
+            place = F.row_number().over(Window.partitionBy("bucket", "salt").orderBy(F.desc(F.col("shared") / F.col("size")), "rep"))
+            rows = compact(cut(own.where("turn > 0").withColumn("turn", F.shiftleft(place.cast("long"), 20) + F.col("salt")).drop("label"), most, 1_000))
+            done = 1
+        else:
+            done, take = done + take, take * 16
 
 
 def classes(docs: DataFrame, id_column: str = "doc_id", text: str = "text") -> DataFrame:

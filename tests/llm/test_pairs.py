@@ -89,12 +89,15 @@ def test_near_duplicates_equal_brute_force(spark):
     assert kept.columns == df.columns and sorted(r["doc_id"] for r in kept.collect()) == sorted(set(want.values()))
 
 
-def test_crowded_buckets_equal_brute_force(spark, monkeypatch):
-    """The same with every bucket dealt anew by rare elements."""
-    monkeypatch.setattr(near_dedup, "CROWDED", 2)
+def test_split_buckets_equal_brute_force(spark, monkeypatch):
+    """The same with common elements joined by broadcast or by shuffle, buckets in many parts, and texts handed to several tasks."""
     texts = corpus()
     df = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
-    assert {r["doc_id"]: r["class_id"] for r in near_dedup.classes(df).collect()} == brute_classes(texts)
+    want = brute_classes(texts)
+    for hot, split, run, ids in ((3, 2, 2, 500_000), (3, 5, 3, -1)):
+        for name, value in (("HOT", hot), ("SPLIT", split), ("RUN", run), ("BROADCAST_IDS", ids)):
+            monkeypatch.setattr(near_dedup, name, value)
+        assert {r["doc_id"]: r["class_id"] for r in near_dedup.classes(df).collect()} == want
 
 
 def test_near_duplicates_of_nothing(spark):
