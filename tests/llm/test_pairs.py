@@ -251,10 +251,14 @@ def test_pipeline_equals_brute_force(spark, tiny, tmp_path):
     items = {r["item_id"]: r["text"] for r in spark.read.parquet(f"{tiny}/benchmark.parquet").collect()}
     leaked = {d for d, _ in brute_leaks(items, texts)}
     library = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=bpe.parse_ranks(bpe.read_ranks(public_tokenizers.path("byte_bpe_multi_50k.tiktoken"))), special_tokens={})
+    from tests.llm.test_texts import all_parts, brute_assign
+
+    key, found = pii.session_key(spark), all_parts([t for i, t in texts.items() if i not in leaked])
+    drawn = {x: (n, found[x]) for x, (n, _) in brute_assign(found, key).items()}
     expected = {}
     for i, t in texts.items():
         if i not in leaked:
-            new, _ = pii.replace_text(t, {}, key)
+            new, _ = pii.replace_text(t, drawn, key)
             expected[i] = (hashlib.sha256(",".join(map(str, library.encode_ordinary(new))).encode()).hexdigest(), hashlib.sha256(new.encode()).hexdigest())
     got = {r["doc_id"]: (r["ids_sha256"], r["decoded_sha256"]) for r in corpus_pipeline.run(spark, tiny).collect()}
     assert got == expected
@@ -262,3 +266,25 @@ def test_pipeline_equals_brute_force(spark, tiny, tmp_path):
     for _, stage in corpus_pipeline.STAGES[:-1]:
         before = stage(spark, before, tiny)
         assert before.columns == docs.columns
+
+
+def test_pipeline_edges(spark, tiny, tmp_path):
+    """Null ids, texts and languages, empty and repeated rows, a very long text, columns with the stages' own names; no items; no rows."""
+    corpus_pipeline = pytest.importorskip("corpus_pipeline")
+    good = [r["text"] for r in spark.read.parquet(f"{tiny}/documents.parquet").where("length(text) > 300").limit(12).collect()]
+    rows = [(i, t, "en", "s", 1, 7, "x") for i, t in enumerate(good)] + [(0, good[0], "en", "s", 1, 7, "x"), (None, good[1], None, None, None, None, None), (50, None, "en", "s", 0, 7, "x"), (51, "", "en", "s", 0, 7, "x")]
+    rows += [(60, " ".join(good) * 40, "en", "s", 1, 7, "x")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, rep int, entities string")
+    items = spark.read.parquet(f"{tiny}/benchmark.parquet")
+    for name, docs, bench in (("a", df, items.limit(0)), ("b", df.limit(0), items)):
+        folder = f"{tmp_path}/{name}"
+        docs.write.parquet(f"file://{folder}/documents.parquet")
+        bench.write.parquet(f"file://{folder}/benchmark.parquet")
+        before = spark.read.parquet(f"file://{folder}/documents.parquet")
+        for _, stage in corpus_pipeline.STAGES[:-1]:
+            before = stage(spark, before, f"file://{folder}")
+            assert before.columns == docs.columns
+        got = corpus_pipeline.run(spark, f"file://{folder}")
+        ids = [r["doc_id"] for r in got.collect()]
+        assert len(ids) == before.count() and set(ids) <= {r[0] for r in rows}
+        assert (len(ids) > 0) == (name == "a") and ids.count(0) <= 1

@@ -116,11 +116,21 @@ def test_clean_texts_stay(text):
     assert pii.replace_text(text, {}, KEY) == (text, [])
 
 
-def brute_assign(found):
+def all_parts(texts):
+    """{(kind, canon): gender} of all entities."""
+    found = {}
+    for t in texts:
+        for a, b, kind in pii.mentions(t or ""):
+            for k, canon, gender in pii.parts(kind, t[a:b], t[max(0, a - 24) : a]):
+                found[k, canon] = max(found.get((k, canon), ""), gender)
+    return found
+
+
+def brute_assign(found, key=KEY):
     """{(kind, canon): (attempt, made)} in plain Python, by rounds."""
     attempt = dict.fromkeys(found, 0)
     while True:
-        made = {x: pii.surrogate(x[0], x[1], n, KEY, found[x]) for x, n in attempt.items()}
+        made = {x: pii.surrogate(x[0], x[1], n, key, found[x]) for x, n in attempt.items()}
         first = {}
         for x, m in made.items():
             first[x[0], m] = min(first.get((x[0], m), (attempt[x], x[1])), (attempt[x], x[1]))
@@ -140,11 +150,7 @@ def test_clashing_surrogates_are_drawn_again(spark, monkeypatch):
     rows = [(None if i % 3 else i % 7, t, "x", 7) for i, t in enumerate(texts * 2)]
     df = spark.createDataFrame(rows, "doc_id long, text string, kind string, entities long")
     given = pii.assign(pii.entities(df), KEY).collect()
-    found = {}
-    for t in texts:
-        for a, b, kind in pii.mentions(t or ""):
-            for k, canon, gender in pii.parts(kind, t[a:b], t[max(0, a - 24) : a]):
-                found[k, canon] = max(found.get((k, canon), ""), gender)
+    found = all_parts(texts)
     want = brute_assign(found)
     assert {(r["kind"], r["canon"]): (r["attempt"], r["made"]) for r in given} == want
     assert len({(k, m) for (k, _), (_, m) in want.items()}) == len(want) and found["given", "zora"] == "f"
