@@ -1,4 +1,14 @@
-"""The corpus pipeline: five stages over documents, each written as Parquet and read again as the next one's input."""
+"""The corpus pipeline: five stages over documents, each written as Parquet and read again as the next one's input.
+
+All stages but the last return the input's columns, whatever their names. An empty table goes through all of them. By stage:
+
+* language ID: rows without letters (null and empty texts too) are rejected and go; a repeated row is judged as often as it occurs.
+* near duplicates: one row of each class stays, the one with the smallest id; a row that repeats an id and its words is one row; texts without
+  words are never duplicates. A row with a null id always stays, since no id tells it from others.
+* decontamination: rows whose text holds an item's passage go; null and empty texts and items match nothing.
+* personal data: null and empty texts stay as they are; n_chars is left as it was.
+* encoding: a null text is the empty one.
+"""
 
 from __future__ import annotations
 
