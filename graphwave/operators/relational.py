@@ -68,10 +68,12 @@ def nearest(vectors: DataFrame, k: int, id_column: str = "vec_id", vector: str =
                 v /= np.maximum(np.linalg.norm(v, axis=1, keepdims=True), 1e-300)
                 c = q @ v.T
                 c[own[:, None] == b[None, :]] = -np.inf
-                order = np.lexsort((np.broadcast_to(b, c.shape), -c), axis=1)[:, : k + 1]
-                rows = np.repeat(np.arange(len(own)), order.shape[1])
-                cols = order.ravel()
-                keep = np.isfinite(c[rows, cols])
+                most = c.shape[1] - k - 1
+                rows, cols = np.nonzero(c >= np.partition(c, most, axis=1)[:, [most]]) if most > 0 else np.nonzero(np.isfinite(c))
+                order = np.lexsort((b[cols], -c[rows, cols], rows))  # only what ties with the last place is sorted
+                rows, cols = rows[order], cols[order]
+                nth = np.arange(len(rows)) - np.searchsorted(rows, rows)
+                keep = (nth < k) & np.isfinite(c[rows, cols])
                 yield pa.RecordBatch.from_arrays([pa.array(own[rows[keep]]), pa.array(b[cols[keep]]), pa.array(c[rows[keep], cols[keep]])], ["a", "b", "cosine"])
 
         found = vectors.select(id_column, vector).mapInArrow(run, "a long, b long, cosine double")

@@ -24,7 +24,7 @@ EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, valu
 
 def stream_events(spark: SparkSession, sf_dir: str, files_per_trigger: int = 1) -> DataFrame:
     """The events table as a stream, with `at` as event time."""
-    raw = spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files_per_trigger).option("pathGlobFilter", "events.parquet*").parquet(sf_dir)
+    raw = spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files_per_trigger).parquet(f"{sf_dir}/events.parquet*")  # a file or a folder of files
     return raw.withColumn("at", F.col("ts").cast("timestamp"))
 
 
@@ -112,7 +112,7 @@ def late_rows(stream: DataFrame) -> tuple[DataFrame, int]:
     folder = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
     query = stream.writeStream.format("parquet").option("path", f"{folder}/out").option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
     query.awaitTermination()
-    late = sum(int(op.get("numRowsDroppedByWatermark", 0)) for p in query.recentProgress for op in p["stateOperators"])
+    late = sum(op.numRowsDroppedByWatermark for p in query.recentProgress for op in p.stateOperators)
     return spark.read.schema(stream.schema).parquet(f"{folder}/out"), late
 
 
