@@ -55,3 +55,11 @@ def test_range_join_reaches_every_id(spark, con):
     rows = catalog.queries()["op_join_range"](spark, large)
     assert rows.count() == catalog.queries()["tree_order_part"](spark, large).count() > 40_000
     assert rows.where("block * block > vid or (block + 1) * (block + 1) <= vid").count() == 0
+
+
+def test_break_even_of_the_smallest_graph_follows_its_table(spark, con, tmp_path):
+    assert differences(catalog.queries()["breakeven_toy8"](spark, SMALL), con, catalog.oracle_sql()["breakeven_toy8"]) == ""
+    assert catalog.queries()["breakeven_toy8"](spark, SMALL).first()["bitmap_bits"] == 3 * 8
+    spark.read.parquet(f"{SMALL}/orders.parquet").where("o_orderstatus <> 'P'").write.parquet(f"{tmp_path}/orders.parquet")
+    assert catalog.queries()["breakeven_toy8"](spark, str(tmp_path)).first()["bitmap_bits"] == 3 * 7
+    assert differences(catalog.queries()["breakeven_toy8"](spark, str(tmp_path)), connect(str(tmp_path)), catalog.oracle_sql()["breakeven_toy8"]) == ""
