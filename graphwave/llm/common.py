@@ -45,10 +45,20 @@ def cut(df: DataFrame, rows: int | None = None, per: int = TASK_ROWS) -> DataFra
     return (df if rows is None else df.coalesce(max(1, -(-rows // per)))).checkpoint(eager=True)
 
 
+def row_count(df: DataFrame) -> int:
+    """Rows of a written table, by one job over its partitions: no plan with an exchange for the driver to keep."""
+    return df._jdf.queryExecution().toRdd().count()
+
+
+def packed(df: DataFrame) -> tuple[DataFrame, int]:
+    """A written table in as many partitions as its rows are worth (a few rows aren't dealt over hundreds of tasks), and its rows."""
+    rows = row_count(df)
+    n = max(1, -(-rows // TASK_ROWS))
+    return (df.coalesce(n) if n < df._jdf.queryExecution().toRdd().getNumPartitions() else df), rows
+
+
 def compact(df: DataFrame) -> DataFrame:
-    """A written table in as many partitions as its rows are worth: a few rows aren't dealt over hundreds of tasks."""
-    n = max(1, -(-df.count() // TASK_ROWS))
-    return df.coalesce(n) if n < df.rdd.getNumPartitions() else df
+    return packed(df)[0]
 
 
 def slices(batch: pa.RecordBatch, column: int, most: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:

@@ -24,10 +24,11 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import TASK_ROWS, Words, arrow_map, compact, cut, mix64, shingles, texts_of
+from .common import TASK_ROWS, Words, arrow_map, compact, cut, mix64, packed, row_count, shingles, small_batches, texts_of
 
 SHINGLE, SIMILARITY = 5, 0.8
 BANDS, ROWS = 24, 5
@@ -35,6 +36,10 @@ BANDS, ROWS = 24, 5
 CROWDED = 24
 #: Ids (8 bytes each) that are broadcast at most; beyond it tables are joined by shuffle.
 BROADCAST_IDS = 500_000
+#: Links that one task takes at most; beyond it labels travel by joins. Each join is a plan in the driver's memory.
+TASK_LINKS = 500_000
+#: Types of ids that are broadcast as an array.
+INTEGERS = ("tinyint", "smallint", "int", "bigint")
 
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 _RANGE = np.uint64(0xA0761D6478BD642F)
@@ -134,12 +139,16 @@ def sign(docs: DataFrame, id_column: str = "doc_id", text: str = "text") -> Data
     return arrow_map(docs.select(id_column, text), f"{id_column} {kind}, w1 long, w2 long, bands array<long>", make)
 
 
-def element_lists(docs: DataFrame, id_column: str, text: str) -> DataFrame:
-    """(rep, elements): the element set of every row's text."""
-    kind = dict(docs.dtypes)[id_column]
+def element_lists(docs: DataFrame, id_column: str, text: str, ids: DataFrame) -> DataFrame:
+    """(rep, elements): the element set of the text of every row whose id is one of the ids."""
+    kind, few = dict(docs.dtypes)[id_column], broadcast_ids(ids, id_column)
+    if few is None:
+        docs = joined(docs, ids, id_column, "left_semi")
 
     def make():
         def run(batch):
+            if few is not None:
+                batch = batch.filter(pa.array(held(batch.column(0), few.value)))
             words = Words(texts_of(batch.column(1)))
             row, h, count = bags(words)
             e, own = elements(h, count, row)
@@ -152,14 +161,80 @@ def element_lists(docs: DataFrame, id_column: str, text: str) -> DataFrame:
     return arrow_map(docs.select(id_column, text), f"rep {kind}, elements array<long>", make)
 
 
+def broadcast_ids(ids: DataFrame, column: str):
+    """The ids as a sorted array that every worker gets; None if they are many or no integers. The driver holds 8 bytes an id, where
+    the hash table of a join takes several times that of its heap."""
+    if dict(ids.dtypes)[column] not in INTEGERS or row_count(ids) > BROADCAST_IDS:
+        return None
+    found = ids.select(F.col(column).cast("long").alias("id")).where("id is not null").toArrow().column(0).to_numpy()
+    return ids.sparkSession.sparkContext.broadcast(np.unique(found.astype(np.int64)))
+
+
+def held(ids: pa.Array, known: np.ndarray) -> np.ndarray:
+    """Which of the ids are among the known ones, which are sorted; a null never is."""
+    if not len(known):
+        return np.zeros(len(ids), dtype=bool)
+    there = ids.is_valid().to_numpy(zero_copy_only=False)
+    own = pc.fill_null(ids, 0).to_numpy(zero_copy_only=False).astype(np.int64)
+    return there & (known[np.minimum(np.searchsorted(known, own), len(known) - 1)] == own)
+
+
+def joined(df: DataFrame, ids: DataFrame, column: str, how: str) -> DataFrame:
+    return df.join(F.broadcast(ids) if row_count(ids) <= BROADCAST_IDS else ids, column, how)
+
+
 def keep_ids(df: DataFrame, ids: DataFrame, column: str, how: str = "left_semi") -> DataFrame:
     """Semi or anti join on an id; the ids are broadcast only if a count shows that they are few."""
-    return df.join(F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids, column, how)
+    few = broadcast_ids(ids, column) if dict(df.dtypes)[column] in INTEGERS else None
+    if few is None:
+        return joined(df, ids, column, how)
+    small_batches(df.sparkSession)
+
+    @F.arrow_udf("boolean")
+    def known(x: pa.Array) -> pa.Array:
+        return pa.array(held(x, few.value))
 
+    return df.where(known(F.col(column)) if how == "left_semi" else ~known(F.col(column)))
 
-def components(links: DataFrame, most: int) -> DataFrame:
+
+def smallest(a: np.ndarray, b: np.ndarray, n: int) -> np.ndarray:
+    """Of each of n vertices the smallest one it is connected to by links (a, b). In a turn every component with a smaller neighbour joins it, so at
+    most half of those that have any neighbour are left."""
+    label = np.arange(n)
+    while True:
+        x, y = label[a], label[b]
+        apart = x != y
+        if not apart.any():
+            return label
+        a, b, x, y = a[apart], b[apart], x[apart], y[apart]
+        np.minimum.at(label, np.maximum(x, y), np.minimum(x, y))
+        while (label != (far := label[label])).any():
+            label = far
+
+
+def components_at_once(links: DataFrame) -> DataFrame:
+    """components() in one task."""
+    kind = dict(links.dtypes)["a"]
+
+    def run(batches):
+        parts = [(batch.column(0), batch.column(1)) for batch in batches if batch.num_rows]
+        if not parts:
+            return
+        a, b = (pa.chunked_array(x) for x in zip(*parts, strict=True))
+        ids = pc.unique(pa.chunked_array([*a.chunks, *b.chunks]))
+        ids = ids.take(pc.sort_indices(ids))
+        label = smallest(*(pc.index_in(x, value_set=ids).to_numpy().astype(np.int64) for x in (a, b)), len(ids))
+        yield pa.RecordBatch.from_arrays([ids, ids.take(pa.array(label))], ["rep", "label"])
+
+    return cut(links.select("a", "b").coalesce(1).mapInArrow(run, f"rep {kind}, label {kind}"))
+
+
+def components(links: DataFrame, most: int, count: int | None = None) -> DataFrame:
     """(rep, label) of every end of a link (a, b): the smallest id it is connected to. Labels travel along links and then jump to
-    their label's label, so a chain of length n takes about log2(n) rounds. most: a bound on the ids that are linked."""
+    their label's label, so a chain of length n takes about log2(n) rounds; a few links are one task. most: a bound on the ids that are
+    linked; count: how many links there are, counted if it isn't given."""
+    if dict(links.dtypes)["a"] in (*INTEGERS, "string") and (row_count(links) if count is None else count) <= TASK_LINKS:
+        return components_at_once(links)
     both = compact(cut(links.select("a", "b").unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), 2 * most))
     labels = compact(cut(both.groupBy(F.col("a").alias("rep")).agg(F.least(F.col("a"), F.min("b")).alias("label")), most))
     while True:
@@ -184,13 +259,13 @@ def _buckets(entries: DataFrame, docs: DataFrame, id_column: str, text: str, mos
     sizes = entries.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
     entries = cut(entries.join(sizes, "bucket"), most * BANDS, 20 * TASK_ROWS)
     members = cut(entries.groupBy("rep").agg(F.max("n").alias("n")), most)
-    most = members.count()
+    most = row_count(members)
     if not most:
         return None, None, 0
-    texts = cut(element_lists(keep_ids(docs, members.select(F.col("rep").alias(id_column)), id_column), id_column, text).dropDuplicates(["rep"]), most, 2_000)
+    texts = cut(element_lists(docs, id_column, text, members.select(F.col("rep").alias(id_column))).dropDuplicates(["rep"]), most, 2_000)
     crowd = members.where(F.col("n") > CROWDED).select("rep")
     # each of these texts becomes hundreds of rows, so they are dealt out evenly, a hundred or so to a task
-    deal = max(1, min(-(-crowd.count() // 100), 8 * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions", "200"))))
+    deal = max(1, min(-(-row_count(crowd) // 100), 8 * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions", "200"))))
     held = texts.join(crowd, "rep", "left_semi").repartition(deal).select("rep", F.explode("elements").alias("element"))
     held = held.withColumn("holders", F.count("*").over(Window.partitionBy("element")))
     by = Window.partitionBy("rep")
@@ -217,15 +292,15 @@ def link_classes(entries: DataFrame, docs: DataFrame, id_column: str, text: str,
     buckets, texts, most = _buckets(entries, docs, id_column, text, most)
     if buckets is None:
         return None
-    links = labels = None
+    labels = None
     done, take = 0, 1
     while True:
         own = buckets if labels is None else buckets.join(labels, "rep", "left")
         own = own.withColumn("label", F.col("rep") if labels is None else F.coalesce("label", "rep"))
         # buckets whose members are of one class are finished, and so are those whose members have all been compared
         mixed = own.groupBy("bucket").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.max("rank").alias("most")).where((F.col("lo") < F.col("hi")) & (F.col("most") > done + 1)).select("bucket")
-        own = compact(cut(own.join(mixed, "bucket", "left_semi"), most, 1_000))
-        if own.isEmpty():
+        own, left = packed(cut(own.join(mixed, "bucket", "left_semi"), most, 1_000))
+        if not left:
             return labels
         pivots = own.where((F.col("rank") > done) & (F.col("rank") <= done + take)).select("bucket", *[F.col(c).alias(f"{c}_a") for c in ("rep", "rank", "size", "shared", "nth", "label")])
         # what two sets must share bounds the elements they share with anybody; and where they first meet in order of rarity, enough
@@ -239,10 +314,11 @@ def link_classes(entries: DataFrame, docs: DataFrame, id_column: str, text: str,
             & (F.col("size_a") - F.col("nth_a") + 1 >= enough)
         )
         pairs = own.join(pivots, "bucket").where(fit).select(F.least("rep_a", "rep").alias("a"), F.greatest("rep_a", "rep").alias("b")).distinct()
-        new = compact(cut(_compare(pairs, texts), most, 2_000))
-        if not new.isEmpty():
-            links = new if links is None else links.unionByName(new)
-            labels = components(links, most)
+        new, found = packed(cut(_compare(pairs, texts), most, 2_000))
+        if found:
+            # what was linked before is known by its labels
+            links = new if labels is None else new.unionByName(labels.select(F.col("rep").alias("a"), F.col("label").alias("b")))
+            labels = components(links, most, found if labels is None else found + row_count(labels))
         done, take = done + take, take * 16
 
 
@@ -250,7 +326,7 @@ def classes(docs: DataFrame, id_column: str = "doc_id", text: str = "text") -> D
     """(id, class_id, n_copies, kept) of every row: its class, how many rows have the same words, and whether it stands for its class."""
     docs = docs.select(id_column, text)
     signed = cut(sign(docs, id_column, text))
-    rows = signed.count()
+    rows = row_count(signed)
     texts = signed.where("w1 is not null").groupBy("w1", "w2").agg(F.min(id_column).alias("rep"), F.count("*").alias("n_copies"), F.first("bands").alias("bands"))
     texts = cut(texts, rows)
     entries = texts.select("rep", F.explode("bands").alias("bucket"))

@@ -9,6 +9,8 @@ import pytest
 pytest.importorskip("public_tokenizers")
 np = pytest.importorskip("numpy")
 
+from pyspark.sql import functions as F  # noqa: E402
+
 from graphwave.llm import decontaminate, near_dedup  # noqa: E402
 from graphwave.llm.common import Words  # noqa: E402
 
@@ -122,6 +124,59 @@ def test_a_long_chain_is_one_class(spark):
     assert {r["label"] for r in near_dedup.components(links, 100).collect()} == {0}
 
 
+def test_components_in_one_task_and_by_joins(spark, monkeypatch):
+    """Both ways name every end of a link by the smallest id it is connected to, whatever the type of the ids."""
+    rng = random.Random(4)
+    pairs = [(rng.randrange(30), rng.randrange(30)) for _ in range(14)] + [(7, 7)]
+    label = {i: i for p in pairs for i in p}
+    while any(label[a] != label[b] for a, b in pairs):
+        for a, b in pairs:
+            label[a] = label[b] = min(label[a], label[b])
+    links = spark.createDataFrame(pairs, "a long, b long")
+    named = links.select(*[F.format_string("n%03d", F.col(c)).alias(c) for c in "ab"])
+    assert sorted((r["rep"], r["label"]) for r in near_dedup.components(named, 30).collect()) == sorted((f"n{a:03d}", f"n{b:03d}") for a, b in label.items())
+    for most in (near_dedup.TASK_LINKS, 0):
+        monkeypatch.setattr(near_dedup, "TASK_LINKS", most)
+        assert sorted((r["rep"], r["label"]) for r in near_dedup.components(links, 30).collect()) == sorted(label.items())
+
+
+def test_smallest_connected_vertex():
+    rng = np.random.default_rng(4)
+    a, b = rng.integers(0, 3_000, (2, 2_000))
+    want = np.arange(3_000)
+    while (want[a] != want[b]).any():
+        low = np.minimum(want[a], want[b])
+        np.minimum.at(want, a, low)
+        np.minimum.at(want, b, low)
+    assert (near_dedup.smallest(a, b, 3_000) == want).all()
+    assert len(near_dedup.smallest(a[:0], b[:0], 0)) == 0
+
+
+def test_ids_kept_by_array_and_by_join(spark, monkeypatch):
+    """Both ways keep the same rows with their types; a null id is never among the ids."""
+    rows = [(None, "null"), (-5, "a"), (0, "b"), (0, "b"), (3, "c"), (1 << 40, "d")]
+    df = spark.createDataFrame(rows, "id long, text string")
+    for most in (near_dedup.BROADCAST_IDS, 0):
+        monkeypatch.setattr(near_dedup, "BROADCAST_IDS", most)
+        for ids in ([0, 0, 1 << 40, 9], [None, -5], []):
+            listed = spark.createDataFrame([(i,) for i in ids], "id long")
+            inside = [r for r in rows if r[0] is not None and r[0] in ids]
+            assert sorted(map(tuple, near_dedup.keep_ids(df, listed, "id").collect())) == sorted(inside)
+            assert sorted(map(str, map(tuple, near_dedup.keep_ids(df, listed, "id", "left_anti").collect()))) == sorted(str(r) for r in rows if r not in inside)
+
+
+def test_near_duplicates_leave_few_plans_to_the_driver(spark):
+    """Every job costs the driver a plan. These texts took 188 jobs when labels travelled by joins and rows were counted by SQL."""
+    texts = corpus()
+    df = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    spark.sparkContext.setJobGroup("plans", "plans")
+    try:
+        near_dedup.classes(df).collect()
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert 0 < len(spark.sparkContext.statusTracker().getJobIdsForGroup("plans")) < 130
+
+
 # ---------------------------------------------------------------------------------------------------------------------
 
 
