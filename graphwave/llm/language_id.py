@@ -286,6 +286,7 @@ def train(docs: DataFrame, id_column: str = "doc_id", text: str = "text", lang:
         return run
 
     shown = arrow_map(drawn, "own long, length long, bits double", score).groupBy("own", "length").agg(F.count("*").alias("n"), F.percentile("bits", F.lit(0.5)).alias("middle"), F.percentile("bits", F.lit(quantile)).alias("high")).collect()
+    shared.destroy()  # else the driver keeps it beside the finished model, for as long as something refers to it
     model.limit = _curves(len(model.languages), [(r["own"], r["length"], r["n"], r["high"] + allowance * (r["high"] - r["middle"])) for r in shown])
     return model
 

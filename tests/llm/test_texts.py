@@ -71,6 +71,14 @@ def test_letters_beyond_the_basic_plane_stay_apart():
     assert len(set(found.tolist()) - {32}) == 4
 
 
+def test_training_leaves_no_model_to_the_driver(spark, documents, monkeypatch):
+    """What training broadcasts is gone when it ends; only the finished model is left."""
+    made, own = [], type(spark.sparkContext).broadcast
+    monkeypatch.setattr(type(spark.sparkContext), "broadcast", lambda self, value: made.append(own(self, value)) or made[-1])
+    assert language_id.train(documents).limit
+    assert made and not any(x._jbroadcast.isValid() for x in made)
+
+
 def test_no_training_rows(spark):
     df = spark.createDataFrame([(1, "some text", None)], "doc_id long, text string, lang string")
     empty = language_id.train(df)
